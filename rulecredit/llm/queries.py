@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from rulecredit.llm import quality, url_filter
+from rulecredit.llm import chunk_bpe, packing, quality, token_counts, url_filter
 
 QUERIES = {
+    "op1_bpe_chunk_reuse": chunk_bpe.op1_bpe_chunk_reuse,
     "op2_quality_rules": quality.op2_quality_rules,
+    "op3_best_fit_packing": packing.op3_best_fit_packing,
+    "op5_token_rollup": token_counts.op5_token_rollup,
     "op6_url_language_model": url_filter.op6_url_language_model,
 }
 
