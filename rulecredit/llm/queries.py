@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from rulecredit.llm import chunk_bpe, packing, quality, token_counts, toxicity, url_filter, vector_dedup
+from rulecredit.llm import chunk_bpe, packing, quality, suffix_dedup, token_counts, toxicity, url_filter, vector_dedup
 
 QUERIES = {
     "op1_bpe_chunk_reuse": chunk_bpe.op1_bpe_chunk_reuse,
@@ -12,6 +12,7 @@ QUERIES = {
     "op6_url_language_model": url_filter.op6_url_language_model,
     "op7_pstable_vectors": vector_dedup.op7_pstable_vectors,
     "op8_toxicity_lexicon": toxicity.op8_toxicity_lexicon,
+    "op9_suffix_interval_dedup": suffix_dedup.op9_suffix_interval_dedup,
 }
 
 ORACLES = {
