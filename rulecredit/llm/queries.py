@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from rulecredit.llm import chunk_bpe, packing, quality, suffix_dedup, token_counts, toxicity, url_filter, vector_dedup
+from rulecredit.llm import chunk_bpe, packing, quality, substring, suffix_dedup, token_counts, toxicity, url_filter, vector_dedup
 
 QUERIES = {
     "op1_bpe_chunk_reuse": chunk_bpe.op1_bpe_chunk_reuse,
     "op2_quality_rules": quality.op2_quality_rules,
     "op3_best_fit_packing": packing.op3_best_fit_packing,
+    "op4_suffix_automata_dedup": substring.op4_suffix_automata_dedup,
     "op5_token_rollup": token_counts.op5_token_rollup,
     "op6_url_language_model": url_filter.op6_url_language_model,
     "op7_pstable_vectors": vector_dedup.op7_pstable_vectors,
