@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from rulecredit.llm import chunk_bpe, packing, quality, substring, suffix_dedup, token_counts, toxicity, url_filter, vector_dedup
+from rulecredit.llm import chunk_bpe, jaccard_join, packing, quality, substring, suffix_dedup, token_counts, toxicity, url_filter, vector_dedup
 
 QUERIES = {
     "op1_bpe_chunk_reuse": chunk_bpe.op1_bpe_chunk_reuse,
+    "op10_size_aware_jaccard": jaccard_join.op10_size_aware_jaccard,
     "op2_quality_rules": quality.op2_quality_rules,
     "op3_best_fit_packing": packing.op3_best_fit_packing,
     "op4_suffix_automata_dedup": substring.op4_suffix_automata_dedup,
