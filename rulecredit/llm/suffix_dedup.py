@@ -30,7 +30,9 @@ from rulecredit.llm import anchors
 from rulecredit.llm import bytehash as bh
 from rulecredit.llm.runtime import SharedStore, ship
 
-MIN_BYTES, GRAM = 400, 40
+MIN_BYTES = 400
+#: Part of the minimum length that an anchor's gram has.
+GRAM_PART = 0.4
 #: Bytes of block text in a shard (a single anchor's blocks stay together).
 SHARD_BYTES = 1_500_000
 SEPARATOR = 255  # never a byte of UTF-8
@@ -43,7 +45,7 @@ def _find(length: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordB
         for buf in bh.slices(b.column(1), 1 << 21):
             if len(buf.data) < length:
                 continue
-            gram = min(GRAM, length)
+            gram = max(1, int(GRAM_PART * length))
             prefix = buf.prefix()
             at = np.arange(len(buf.data) - gram + 1, dtype=np.int64)
             found = anchors.find_blocks(bh.range_hash(prefix, at, at + gram), prefix, buf.offs, length, gram)
