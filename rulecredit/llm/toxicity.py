@@ -4,7 +4,9 @@ Folding lower-cases, maps look-alike letters of other alphabets and digit or sig
 substitutions to Latin letters, and drops zero-width and combining marks; runs of
 other characters become one blank, so every lexicon entry is anchored at a word start.
 
-Training (labelled rows only): Spark counts, for both labels, the documents that hold
+Training takes at most ``TRAIN_ROWS`` labelled rows, those with the smallest hash of
+their id; their number being bounded, their ids are broadcast and the texts picked in
+the scan. Spark counts, for both labels, the documents that hold
 each word-start prefix of 3 to 8 characters. An entry is a prefix with enough toxic
 documents whose log-odds exceed a bound. It gives way to an extension that holds nearly
 all its documents, and to a shorter remaining entry; its weight is the log-odds. Exception phrases are whole words (learned: they
@@ -30,12 +32,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulecredit.llm.runtime import ship
+from rulecredit.llm.runtime import SharedStore, ship
 
 PREFIX_LENGTHS = range(3, 9)
 #: An entry needs this share of the toxic documents (and at least 5 of them), and these log-odds.
 MIN_SHARE, MIN_DOCS, MIN_LOG_ODDS = 0.01, 5, 3.0
 MAX_ENTRIES = 2_000
+#: Labelled rows the lexicon is learned from, at most (those with the smallest hash).
+TRAIN_ROWS = 40_000
 #: Labelled rows used to fit the cut (those with the smallest hash).
 FIT_ROWS = 20_000
 PRIOR_WORDS = 20.0
@@ -100,7 +104,7 @@ class Lexicon:
 
 
 def learn_lexicon(labelled: DataFrame) -> Lexicon:
-    """Entries and exceptions from (text, toxic); reads every labelled row."""
+    """Entries and exceptions from (text, toxic); reads every row given."""
     ship(labelled.sparkSession)
     rows = labelled.where("toxic is not null").select("text", F.col("toxic").cast("int").alias("toxic"))
     totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
@@ -248,7 +252,11 @@ def held_out(doc_id=None):
 
 
 def training_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    return docs.select("doc_id", "text").join(labels.select("doc_id", "toxic").where(~held_out()), "doc_id")
+    """(doc_id, text, toxic) of at most TRAIN_ROWS labelled documents outside the held-out fifth, written once."""
+    rows = labels.where(~held_out()).where("toxic is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "toxic")
+    chosen = rows.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(TRAIN_ROWS)
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return SharedStore(docs.sparkSession, "toxicity").write(texts.join(F.broadcast(chosen), "doc_id"), "training")
 
 
 def op8_toxicity_lexicon(spark: SparkSession, sf_dir: str) -> DataFrame:
