@@ -11,7 +11,9 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
   any one order of shingles. The order puts shingles that very many texts hold last; a
   fixed-size counting sketch over all texts finds those.
 * The boundary minimises the rows that both ways emit, from the histogram of small sizes.
-* Links are checked exactly on the texts. Round 1 checks each set against its list's
+* Candidates pass a parity bitmap of each set first: differing bits bound the symmetric
+  difference from below, so a pair that fails cannot link. Links are then checked exactly
+  on the texts. Round 1 checks each set against its list's
   smallest set, which ties large groups of near copies together in linear work. Round 2
   checks every remaining pair of a list whose sets are still in different groups, so no
   link between groups is missed.
@@ -97,17 +99,43 @@ def set_key(tokens: np.ndarray) -> int:
     return int(bh.signed(bh.mix(np.array([total], np.uint64)))[0])
 
 
+def parity_bits(tokens: np.ndarray) -> bytes:
+    """Bit i tells whether an odd number of shingles falls to cell i; about two to four cells a shingle."""
+    cells = max(64, 4 << (len(tokens) - 1).bit_length() >> 1)
+    at = ((tokens >> bh.U(22)) & bh.U(cells - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=cells) & 1).astype(np.uint8)).tobytes()
+
+
+def _folded(bits: np.ndarray, size: int) -> np.ndarray:
+    while len(bits) > size:
+        bits = bits[: len(bits) // 2] ^ bits[len(bits) // 2 :]
+    return bits
+
+
+def _may_overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (x, y, n_x, bits_x, n_y, bits_y); keeps the pairs whose bitmaps allow a link."""
+    for b in batches:
+        keep = []
+        for s, p, t, q in zip(*(b.column(i).to_pylist() for i in (2, 3, 4, 5))):
+            p, q = np.frombuffer(p, np.uint8), np.frombuffer(q, np.uint8)
+            size = min(len(p), len(q))
+            differ = int(np.bitwise_count(_folded(p, size) ^ _folded(q, size)).sum())
+            keep.append((s + t - differ) // 2 >= need(s, t))
+        yield pa.RecordBatch.from_arrays(list(b.columns[:2]), ["x", "y"]).filter(pa.array(keep, pa.bool_()))
+
+
 def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """kind 0: (doc_id, set size, set key); kind 1: (sketch cell, texts in it), at a task's end."""
+    """kind 0: (doc_id, set size, set key, parity bits); kind 1: (sketch cell, texts in it), at a task's end."""
     cells = np.zeros(CELLS, np.int32)
     texts = 0
     for b in batches:
         size, key = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
+        bits: list[bytes] = [b""] * b.num_rows
         held: list[np.ndarray] = []
         waiting = 0
         for i, t in shingle_sets(b.column(1)):
             if len(t):
-                size[i], key[i] = len(t), set_key(t)
+                size[i], key[i], bits[i] = len(t), set_key(t), parity_bits(t)
                 held.append(t)
                 waiting += len(t)
                 texts += 1
@@ -117,11 +145,18 @@ def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if held:
             cells += np.bincount((np.concatenate(held) & bh.U(CELLS - 1)).astype(np.int64), minlength=CELLS).astype(np.int32)
         kind = pa.array(np.zeros(b.num_rows, np.int32))
-        yield pa.RecordBatch.from_arrays([kind, b.column(0), pa.array(size), pa.array(key)], ["kind", "id", "n", "sid"])
+        cols = [kind, b.column(0), pa.array(size), pa.array(key), pa.array(bits, pa.binary())]
+        yield pa.RecordBatch.from_arrays(cols, ["kind", "id", "n", "sid", "bits"])
     hot = np.flatnonzero(cells >= max(4, TASK_SHARE * texts))
     yield pa.RecordBatch.from_arrays(
-        [pa.array(np.ones(len(hot), np.int32)), pa.array(hot), pa.array(cells[hot].astype(np.int64)), pa.array(np.zeros(len(hot), np.int64))],
-        ["kind", "id", "n", "sid"],
+        [
+            pa.array(np.ones(len(hot), np.int32)),
+            pa.array(hot),
+            pa.array(cells[hot].astype(np.int64)),
+            pa.array(np.zeros(len(hot), np.int64)),
+            pa.nulls(len(hot), pa.binary()),
+        ],
+        ["kind", "id", "n", "sid", "bits"],
     )
 
 
@@ -211,6 +246,14 @@ def _check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
 
 
+def filter_pairs(pairs: DataFrame, reps: DataFrame) -> DataFrame:
+    """The pairs (x, y) whose parity bitmaps allow a link. ``reps``: (sid, n, bits)."""
+    x = reps.select(F.col("sid").alias("x"), F.col("n").alias("n_x"), F.col("bits").alias("bits_x"))
+    y = reps.select(F.col("sid").alias("y"), F.col("n").alias("n_y"), F.col("bits").alias("bits_y"))
+    both = pairs.join(x, "x").join(y, "y").select("x", "y", "n_x", "bits_x", "n_y", "bits_y")
+    return both.mapInArrow(_may_overlap, "x long, y long")
+
+
 def verify_pairs(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
     """The linked ones (a, b) of ``pairs`` (x, y). ``reps``: (sid, doc_id); ``docs``: (doc_id, text)."""
     parts = F.ceil(F.count("*").over(Window.partitionBy("x")) / F.lit(CHUNK))
@@ -229,9 +272,10 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
     spark = docs.sparkSession
     ship(spark)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    summary = store.write(texts.mapInArrow(_summary, "kind int, id long, n long, sid long"), "summary")
+    summary = store.write(texts.mapInArrow(_summary, "kind int, id long, n long, sid long, bits binary"), "summary")
     members = summary.where("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), "sid")
-    reps = store.write(members.where("n_shingles > 0").groupBy("sid").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n")), "reps")
+    own_sets = summary.where("kind = 0 and n > 0").groupBy("sid")
+    reps = store.write(own_sets.agg(F.min("id").alias("doc_id"), F.first("n").alias("n"), F.first("bits").alias("bits")), "reps")
     sets = reps.count()
     small = reps.where(F.col("n") <= MAX_LIGHT).groupBy("n").agg(F.count("*").alias("c")).collect()
     boundary = choose_boundary({r["n"]: r["c"] for r in small})
@@ -269,7 +313,9 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
         "pairs1",
     )
     texts_by_rep = reps.select("sid", "doc_id")
-    edges1 = store.write(verify_pairs(pairs1, texts_by_rep, texts), "edges1")
+    likely1 = store.write(filter_pairs(pairs1, reps), "likely1")
+    store.release()
+    edges1 = store.write(verify_pairs(likely1, texts_by_rep, texts), "edges1")
     store.release()
     groups = store.write(connected_components(edges1, store, "cc1"), "groups1")
 
@@ -287,11 +333,12 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
     both = (x["token"] == y["token"]) & (F.col("g_x") != F.col("g_y")) & ahead
     filters = _may_link(F.col("n_x"), F.col("pos_x"), F.col("n_y"), F.col("pos_y"))
     pairs2 = x.join(y, both & filters).select(F.col("sid_x").alias("x"), F.col("sid_y").alias("y")).distinct()
-    pairs2 = store.write(pairs2.join(pairs1, ["x", "y"], "left_anti"), "pairs2")
+    pairs2 = pairs2.join(pairs1, ["x", "y"], "left_anti")
+    likely2 = store.write(filter_pairs(pairs2, reps), "likely2")
     store.release()
     edges = edges1
-    if not pairs2.isEmpty():
-        edges = edges.unionByName(store.write(verify_pairs(pairs2, texts_by_rep, texts), "edges2"))
+    if not likely2.isEmpty():
+        edges = edges.unionByName(store.write(verify_pairs(likely2, texts_by_rep, texts), "edges2"))
         store.release()
     final = connected_components(edges, store, "cc2")
     named = final.withColumnRenamed("node", "sid").join(texts_by_rep, "sid")
