@@ -13,10 +13,11 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
 * The boundary minimises the rows that both ways emit, from the histogram of small sizes.
 * Candidates pass a parity bitmap of each set first: differing bits bound the symmetric
   difference from below, so a pair that fails cannot link. Links are then checked exactly
-  on the texts. Round 1 checks each set against its list's
-  smallest set, which ties large groups of near copies together in linear work. Round 2
-  checks every remaining pair of a list whose sets are still in different groups, so no
-  link between groups is missed.
+  on the texts. Round 1 checks each set against one set at most, the smallest of its lists'
+  smallest sets that may link, which ties large groups of near copies together in linear
+  work. Round 2 checks every remaining pair of a list whose sets are still in different
+  groups, so no link between groups is missed; lists are cut into blocks of bounded size,
+  and only pairs that pass all filters leave a block.
 
 Defined results: null and blank texts have empty sets and stay alone; texts under five
 words are one shingle; repeated rows and ties share a component, named by its smallest
@@ -43,8 +44,8 @@ WIDTH = 5
 CELLS, TASK_SHARE, FREQUENT_SHARE = 1 << 22, 0.0002, 0.0004
 #: Sizes among which the boundary is chosen, and list rows scanned per row emitted.
 MAX_LIGHT, SCAN_COST = 20, 4
-#: Sets checked against one leader in a unit of work.
-CHUNK = 64
+#: Sets checked against one leader in a unit of work, and list rows in a block.
+CHUNK, BLOCK = 64, 1024
 
 
 def need(s: int, t: int) -> int:
@@ -121,7 +122,63 @@ def _may_overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             size = min(len(p), len(q))
             differ = int(np.bitwise_count(_folded(p, size) ^ _folded(q, size)).sum())
             keep.append((s + t - differ) // 2 >= need(s, t))
-        yield pa.RecordBatch.from_arrays(list(b.columns[:2]), ["x", "y"]).filter(pa.array(keep, pa.bool_()))
+        yield pa.RecordBatch.from_arrays(list(b.columns[:3]), ["x", "y", "n_x"]).filter(pa.array(keep, pa.bool_()))
+
+
+def _block_pairs(rows: list[tuple]) -> Iterator[tuple[int, int]]:
+    """Pairs (x, y) of a unit's rows (sid, n, pos, g, bits, block) that pass every filter; x is the smaller set."""
+    sid, n, pos, g, block = (np.array([r[k] for r in rows], np.int64) for k in (0, 1, 2, 3, 5))
+    order = np.lexsort((sid, n))
+    sid, n, pos, g, block = sid[order], n[order], pos[order], g[order], block[order]
+    bits = [np.frombuffer(rows[k][4], np.uint8) for k in order.tolist()]
+    size = np.array([len(b) for b in bits])
+    indexed = (pos < 0) | (pos < n - -(-6 * n // 7) + 1)
+    for a in range(0, len(rows), 256):
+        c = slice(a, a + 256)
+        ok = indexed[c, None] & (g[c, None] != g[None, :]) & (4 * n[c, None] >= 3 * n[None, :])
+        ok &= np.arange(len(rows))[None, :] > np.arange(len(rows))[c, None]
+        if block.min() != block.max():
+            ok &= block[c, None] != block[None, :]
+        left = np.minimum((n - pos)[c, None], (n - pos)[None, :])
+        ok &= (pos[c, None] < 0) | (left >= -(-3 * (n[c, None] + n[None, :]) // 7))
+        i, j = np.nonzero(ok)
+        i += a
+        least = np.minimum(size[i], size[j])
+        for s in np.unique(least).tolist():
+            here = least == s
+            p, q = i[here], j[here]
+            used = np.unique(np.concatenate([p, q]))
+            table = np.stack([_folded(bits[k], s) for k in used.tolist()])
+            for at in range(0, len(p), 20_000):
+                u, v = p[at : at + 20_000], q[at : at + 20_000]
+                differ = np.bitwise_count(table[np.searchsorted(used, u)] ^ table[np.searchsorted(used, v)]).sum(axis=1, dtype=np.int64)
+                good = (n[u] + n[v] - differ) // 2 >= -(-3 * (n[u] + n[v]) // 7)
+                yield from zip(sid[u[good]].tolist(), sid[v[good]].tolist())
+
+
+def _pair_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (token, bi, bj, sid, n, pos, g, bits, block) sorted by unit; yields each pair once a task."""
+    rows: list[tuple] = []
+    unit: tuple | None = None
+    out: set[tuple[int, int]] = set()
+
+    def flush() -> pa.RecordBatch:
+        x, y = zip(*out) if out else ((), ())
+        out.clear()
+        return pa.RecordBatch.from_arrays([pa.array(list(x), pa.int64()), pa.array(list(y), pa.int64())], ["x", "y"])
+
+    for b in batches:
+        for r in zip(*(c.to_pylist() for c in b.columns)):
+            if unit != r[:3]:
+                if len(rows) > 1:
+                    out.update(_block_pairs(rows))
+                rows, unit = [], r[:3]
+            rows.append(r[3:])
+        if len(out) > 200_000:
+            yield flush()
+    if len(rows) > 1:
+        out.update(_block_pairs(rows))
+    yield flush()
 
 
 def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -247,11 +304,24 @@ def _check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def filter_pairs(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """The pairs (x, y) whose parity bitmaps allow a link. ``reps``: (sid, n, bits)."""
+    """(x, y, n_x) of the pairs whose parity bitmaps allow a link. ``reps``: (sid, n, bits)."""
     x = reps.select(F.col("sid").alias("x"), F.col("n").alias("n_x"), F.col("bits").alias("bits_x"))
     y = reps.select(F.col("sid").alias("y"), F.col("n").alias("n_y"), F.col("bits").alias("bits_y"))
     both = pairs.join(x, "x").join(y, "y").select("x", "y", "n_x", "bits_x", "n_y", "bits_y")
-    return both.mapInArrow(_may_overlap, "x long, y long")
+    return both.mapInArrow(_may_overlap, "x long, y long, n_x long")
+
+
+def pair_lists(lists: DataFrame, reps: DataFrame) -> DataFrame:
+    """Distinct pairs (x, y) of different groups within lists (token, sid, n, pos, g) that may link."""
+    sized = lists.withColumn("blocks", F.ceil(F.count("*").over(Window.partitionBy("token")) / F.lit(BLOCK)).cast("int"))
+    dealt = sized.withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")).withColumn(
+        "other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    )
+    units = dealt.join(reps.select("sid", "bits"), "sid").select(
+        "token", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "sid", "n", "pos", "g", "bits", "block"
+    )
+    ordered = units.repartition("token", "bi", "bj").sortWithinPartitions("token", "bi", "bj")
+    return ordered.mapInArrow(_pair_lists, "x long, y long").distinct()
 
 
 def verify_pairs(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
@@ -313,7 +383,8 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
         "pairs1",
     )
     texts_by_rep = reps.select("sid", "doc_id")
-    likely1 = store.write(filter_pairs(pairs1, reps), "likely1")
+    nearest = filter_pairs(pairs1, reps).groupBy("y").agg(F.min(F.struct("n_x", "x")).alias("lead"))
+    likely1 = store.write(nearest.select("lead.x", "y"), "likely1")
     store.release()
     edges1 = store.write(verify_pairs(likely1, texts_by_rep, texts), "edges1")
     store.release()
@@ -326,15 +397,7 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
         "split",
     )
     store.drop("lists")
-    x = split.select("token", *[F.col(c).alias(f"{c}_x") for c in ("sid", "n", "pos", "g")])
-    y = split.select("token", *[F.col(c).alias(f"{c}_y") for c in ("sid", "n", "pos", "g")])
-    x = x.where((F.col("pos_x") < 0) | _indexed(F.col("n_x"), F.col("pos_x")))
-    ahead = (F.col("n_x") < F.col("n_y")) | ((F.col("n_x") == F.col("n_y")) & (F.col("sid_x") < F.col("sid_y")))
-    both = (x["token"] == y["token"]) & (F.col("g_x") != F.col("g_y")) & ahead
-    filters = _may_link(F.col("n_x"), F.col("pos_x"), F.col("n_y"), F.col("pos_y"))
-    pairs2 = x.join(y, both & filters).select(F.col("sid_x").alias("x"), F.col("sid_y").alias("y")).distinct()
-    pairs2 = pairs2.join(pairs1, ["x", "y"], "left_anti")
-    likely2 = store.write(filter_pairs(pairs2, reps), "likely2")
+    likely2 = store.write(pair_lists(split, reps).join(likely1, ["x", "y"], "left_anti"), "likely2")
     store.release()
     edges = edges1
     if not likely2.isEmpty():
