@@ -4,9 +4,9 @@ Folding lower-cases, maps look-alike letters of other alphabets and digit or sig
 substitutions to Latin letters, and drops zero-width and combining marks; runs of
 other characters become one blank, so every lexicon entry is anchored at a word start.
 
-Training takes at most ``TRAIN_ROWS`` labelled rows, those with the smallest hash of
-their id; their number being bounded, their ids are broadcast and the texts picked in
-the scan. Spark counts, for both labels, the documents that hold
+Training takes about ``TRAIN_ROWS`` labelled rows at most, those whose id hashes below a
+threshold set by the number of labels; so bounded, their ids are broadcast and the texts
+picked in the scan. Spark counts, for both labels, the documents that hold
 each word-start prefix of 3 to 8 characters. An entry is a prefix with enough toxic
 documents whose log-odds exceed a bound. It gives way to an extension that holds nearly
 all its documents, and to a shorter remaining entry; its weight is the log-odds. Exception phrases are whole words (learned: they
@@ -38,7 +38,7 @@ PREFIX_LENGTHS = range(3, 9)
 #: An entry needs this share of the toxic documents (and at least 5 of them), and these log-odds.
 MIN_SHARE, MIN_DOCS, MIN_LOG_ODDS = 0.01, 5, 3.0
 MAX_ENTRIES = 2_000
-#: Labelled rows the lexicon is learned from, at most (those with the smallest hash).
+#: Labelled rows the lexicon is learned from, at most (up to the spread of a hash threshold).
 TRAIN_ROWS = 40_000
 #: Labelled rows used to fit the cut (those with the smallest hash).
 FIT_ROWS = 20_000
@@ -252,9 +252,13 @@ def held_out(doc_id=None):
 
 
 def training_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(doc_id, text, toxic) of at most TRAIN_ROWS labelled documents outside the held-out fifth, written once."""
+    """(doc_id, text, toxic) of about TRAIN_ROWS labelled documents at most outside the held-out fifth, written once."""
     rows = labels.where(~held_out()).where("toxic is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "toxic")
-    chosen = rows.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(TRAIN_ROWS)
+    total = rows.count()
+    if total > TRAIN_ROWS:  # by a hash threshold: no task has to merge the samples of all others
+        bound = int(TRAIN_ROWS / total * (1 << 30))
+        rows = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < bound)
+    chosen = rows
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return SharedStore(docs.sparkSession, "toxicity").write(texts.join(F.broadcast(chosen), "doc_id"), "training")
 
