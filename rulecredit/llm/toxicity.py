@@ -81,10 +81,17 @@ def fold(text: str) -> str:
 
 
 def _word_docs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(feature, toxic): the distinct words and word-start prefixes of each text."""
+    """(feature, toxic): the distinct words and word-start prefixes of each text, in small batches."""
+
+    def flush() -> pa.RecordBatch:
+        made = [pa.array(out, pa.string()), pa.array(label, pa.int32())]
+        out.clear()
+        label.clear()
+        return pa.RecordBatch.from_arrays(made, ["feature", "toxic"])
+
+    out: list[str] = []
+    label: list[int] = []
     for b in batches:
-        out: list[str] = []
-        label: list[int] = []
         for text, toxic in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
             found: set[str] = set()
             for w in set(fold(text or "").split()):
@@ -93,7 +100,9 @@ def _word_docs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     found.add(w + " ")
             out.extend(found)
             label.extend([toxic] * len(found))
-        yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()), pa.array(label, pa.int32())], ["feature", "toxic"])
+            if len(out) > 100_000:
+                yield flush()
+    yield flush()
 
 
 @dataclass(frozen=True)
