@@ -13,11 +13,11 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
 * The boundary minimises the rows that both ways emit, from the histogram of small sizes.
 * Candidates pass a parity bitmap of each set first: differing bits bound the symmetric
   difference from below, so a pair that fails cannot link. Links are then checked exactly
-  on the texts. Round 1 checks each set against one set at most, the smallest of its lists'
-  smallest sets that may link, which ties large groups of near copies together in linear
-  work. Round 2 checks every remaining pair of a list whose sets are still in different
-  groups, so no link between groups is missed; lists are cut into blocks of bounded size,
-  and only pairs that pass all filters leave a block.
+  on the texts. A few leader rounds check each set against one set at most: each list names
+  a leader, and a set takes the leader whose bitmap is closest. This ties large groups of
+  near copies together in linear work. The last round checks every remaining pair of a
+  list whose sets are still in different groups, so no link between groups is missed; lists
+  are cut into blocks of bounded size, and only pairs that pass all filters leave a block.
 
 Defined results: null and blank texts have empty sets and stay alone; texts under five
 words are one shingle; repeated rows and ties share a component, named by its smallest
@@ -46,6 +46,8 @@ CELLS, TASK_SHARE, FREQUENT_SHARE = 1 << 22, 0.0002, 0.0004
 MAX_LIGHT, SCAN_COST = 20, 4
 #: Sets checked against one leader in a unit of work, and list rows in a block.
 CHUNK, BLOCK = 64, 1024
+#: Rounds that check each set against one leader before the exhaustive one.
+LEADER_ROUNDS = 3
 
 
 def need(s: int, t: int) -> int:
@@ -114,15 +116,17 @@ def _folded(bits: np.ndarray, size: int) -> np.ndarray:
 
 
 def _may_overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (x, y, n_x, bits_x, n_y, bits_y); keeps the pairs whose bitmaps allow a link."""
+    """Rows (x, y, n_x, bits_x, n_y, bits_y); keeps the pairs whose bitmaps allow a link, with how near they may be."""
     for b in batches:
-        keep = []
+        keep, common = [], []
         for s, p, t, q in zip(*(b.column(i).to_pylist() for i in (2, 3, 4, 5))):
             p, q = np.frombuffer(p, np.uint8), np.frombuffer(q, np.uint8)
             size = min(len(p), len(q))
             differ = int(np.bitwise_count(_folded(p, size) ^ _folded(q, size)).sum())
             keep.append((s + t - differ) // 2 >= need(s, t))
-        yield pa.RecordBatch.from_arrays(list(b.columns[:3]), ["x", "y", "n_x"]).filter(pa.array(keep, pa.bool_()))
+            common.append((s + t - differ) // 2 / (s + t))
+        cols = [*b.columns[:2], pa.array(common, pa.float64())]
+        yield pa.RecordBatch.from_arrays(cols, ["x", "y", "near"]).filter(pa.array(keep, pa.bool_()))
 
 
 def _block_pairs(rows: list[tuple]) -> Iterator[tuple[int, int]]:
@@ -304,11 +308,30 @@ def _check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def filter_pairs(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """(x, y, n_x) of the pairs whose parity bitmaps allow a link. ``reps``: (sid, n, bits)."""
+    """(x, y, near) of the pairs whose parity bitmaps allow a link. ``reps``: (sid, n, bits)."""
     x = reps.select(F.col("sid").alias("x"), F.col("n").alias("n_x"), F.col("bits").alias("bits_x"))
     y = reps.select(F.col("sid").alias("y"), F.col("n").alias("n_y"), F.col("bits").alias("bits_y"))
     both = pairs.join(x, "x").join(y, "y").select("x", "y", "n_x", "bits_x", "n_y", "bits_y")
-    return both.mapInArrow(_may_overlap, "x long, y long, n_x long")
+    return both.mapInArrow(_may_overlap, "x long, y long, near double")
+
+
+def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, turn: int) -> DataFrame:
+    """(x, y): each set y with the nearest leader x of its lists (token, sid, n, pos, g) that may link.
+
+    The first turn's leaders are the lists' smallest sets; later ones are drawn by hash.
+    """
+    own = Window.partitionBy("token")
+    order = F.col("n").cast("long") if turn == 0 else F.xxhash64("sid", F.lit(turn))
+    led = lists.withColumn("lead", F.min(F.struct(order.alias("o"), "sid", "n", "pos", "g")).over(own)).where("g <> lead.g")
+    ahead = (F.col("lead.n") < F.col("n")) | ((F.col("lead.n") == F.col("n")) & (F.col("lead.sid") < F.col("sid")))
+    pick = lambda c, first: F.when(ahead if first else ~ahead, F.col(f"lead.{c}")).otherwise(F.col(c))
+    small, large = ({c: pick(c, first) for c in ("n", "pos")} for first in (True, False))
+    fits = ((small["pos"] < 0) | _indexed(small["n"], small["pos"])) & _may_link(small["n"], small["pos"], large["n"], large["pos"])
+    pairs = led.where(fits).select(F.col("lead.sid").alias("x"), F.col("sid").alias("y")).distinct()
+    if tested is not None:
+        pairs = pairs.join(tested, ["x", "y"], "left_anti")
+    best = filter_pairs(pairs, reps).groupBy("y").agg(F.max(F.struct("near", "x")).alias("best"))
+    return best.select("best.x", "y")
 
 
 def pair_lists(lists: DataFrame, reps: DataFrame) -> DataFrame:
@@ -363,46 +386,45 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
         lambda it: _prefix_rows(boundary, np.unpackbits(shared.value).astype(bool), it), "token long, sid long, n int, pos int"
     )
     own = Window.partitionBy("token")
-    first = F.min(F.when((F.col("pos") < 0) | _indexed(F.col("n"), F.col("pos")), F.struct("n", "sid", "pos"))).over(own)
     lists = store.write(
         rows.repartition("token")
-        .withColumn("lead", first)
         .withColumn("lo", F.min("sid").over(own))
         .withColumn("hi", F.max("sid").over(own))
-        .where("lo < hi and lead is not null")
+        .where("lo < hi")
         .dropDuplicates(["token", "sid"])
-        .select("token", "sid", "n", "pos", "lead"),
+        .select("token", "sid", "n", "pos", F.col("sid").alias("g")),
         "lists",
     )
     store.release()
-    pairs1 = store.write(
-        lists.where("sid <> lead.sid and n >= lead.n")
-        .where(_may_link(F.col("lead.n"), F.col("lead.pos"), F.col("n"), F.col("pos")))
-        .select(F.col("lead.sid").alias("x"), F.col("sid").alias("y"))
-        .distinct(),
-        "pairs1",
-    )
     texts_by_rep = reps.select("sid", "doc_id")
-    nearest = filter_pairs(pairs1, reps).groupBy("y").agg(F.min(F.struct("n_x", "x")).alias("lead"))
-    likely1 = store.write(nearest.select("lead.x", "y"), "likely1")
-    store.release()
-    edges1 = store.write(verify_pairs(likely1, texts_by_rep, texts), "edges1")
-    store.release()
-    groups = store.write(connected_components(edges1, store, "cc1"), "groups1")
-
-    own = Window.partitionBy("token")
-    tagged = lists.drop("lead").join(groups.withColumnRenamed("node", "sid"), "sid", "left").withColumn("g", F.coalesce("component", "sid"))
-    split = store.write(
-        tagged.withColumn("lo", F.min("g").over(own)).withColumn("hi", F.max("g").over(own)).where("lo < hi").select("token", "sid", "n", "pos", "g"),
-        "split",
-    )
-    store.drop("lists")
-    likely2 = store.write(pair_lists(split, reps).join(likely1, ["x", "y"], "left_anti"), "likely2")
+    edges = tested = None
+    for turn in range(LEADER_ROUNDS):
+        pairs = store.write(leader_pairs(lists, reps, tested, turn), f"leaders{turn}")
+        if pairs.isEmpty():
+            break
+        store.release()
+        found = store.write(verify_pairs(pairs, texts_by_rep, texts), f"edges{turn}")
+        store.release()
+        both = pairs.unionByName(pairs.select(F.col("y").alias("x"), F.col("x").alias("y")))
+        tested = both if tested is None else tested.unionByName(both)
+        edges = found if edges is None else edges.unionByName(found)
+        groups = store.write(connected_components(edges, store, f"cc{turn}"), f"groups{turn}")
+        tagged = lists.drop("g").join(groups.withColumnRenamed("node", "sid"), "sid", "left").withColumn("g", F.coalesce("component", "sid"))
+        # lists within one group can give no more
+        lists = store.write(
+            tagged.withColumn("lo", F.min("g").over(own)).withColumn("hi", F.max("g").over(own)).where("lo < hi").select("token", "sid", "n", "pos", "g"),
+            f"lists{turn}",
+        )
+        store.drop("lists" if turn == 0 else f"lists{turn - 1}")
+    rest = pair_lists(lists, reps)
+    rest = store.write(rest if tested is None else rest.join(tested, ["x", "y"], "left_anti"), "rest")
     store.release()
-    edges = edges1
-    if not likely2.isEmpty():
-        edges = edges.unionByName(store.write(verify_pairs(likely2, texts_by_rep, texts), "edges2"))
+    if not rest.isEmpty():
+        found = store.write(verify_pairs(rest, texts_by_rep, texts), "edges-rest")
+        edges = found if edges is None else edges.unionByName(found)
         store.release()
+    if edges is None:
+        edges = spark.createDataFrame([], "a long, b long")
     final = connected_components(edges, store, "cc2")
     named = final.withColumnRenamed("node", "sid").join(texts_by_rep, "sid")
     low = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
