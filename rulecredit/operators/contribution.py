@@ -119,7 +119,7 @@ def pruned_coalitions(values: DataFrame) -> DataFrame:
 def _with_attrs(sets: DataFrame, elements: DataFrame) -> DataFrame:
     """Adds ``attrs`` by a literal map of the (few) elements."""
     pairs = [F.lit(x) for r in elements.select("elem_id", "attr_id").collect() for x in (r[0], r[1])]
-    of = F.create_map(*pairs)
+    of = F.create_map(*pairs).cast("map<int,int>")
     return sets.withColumn("attrs", F.transform("items", lambda i: of[i]))
 
 
@@ -159,7 +159,7 @@ def contribution_multi(values: DataFrame, elements: DataFrame) -> DataFrame:
     """All elements over the shared coalitions: each set meets the elements of the attributes it lacks."""
     n, top = shape(values, elements)
     sets = _with_attrs(pruned_coalitions(values), elements)
-    every = F.array(*[F.lit(r[0]) for r in elements.select("attr_id").distinct().collect()])
+    every = F.array(*[F.lit(r[0]) for r in elements.select("attr_id").distinct().collect()]).cast("array<int>")
     lacking = sets.select("items", F.explode(F.array_except(every, "attrs")).alias("attr_id"))
     rows = lacking.join(F.broadcast(elements.select("elem_id", "attr_id")), "attr_id").select("items", "elem_id")
     scores = _weighted(rows, values, shapley_weights(n, top)).groupBy("elem_id").agg(F.sum("d").alias("x"))
@@ -189,7 +189,7 @@ def count_naive(elements: DataFrame) -> DataFrame:
     total = 1
     for s in sizes.values():
         total *= s + 1
-    own = F.create_map(*[F.lit(x) for a, s in sizes.items() for x in (a, str(total // (s + 1)))])
+    own = F.create_map(*[F.lit(x) for a, s in sizes.items() for x in (a, str(total // (s + 1)))]).cast("map<int,string>")
     exact = own[F.col("attr_id")]
     wide = F.when(F.length(exact) <= 38, exact.cast("decimal(38,0)"))
     return elements.select("elem_id", "attr_id", wide.alias("naive"), (F.length(exact) - 1 + F.log10(F.concat(F.substring(exact, 1, 1), F.lit("."), F.substring(exact, 2, 15)).cast("double"))).alias("log10_naive"))

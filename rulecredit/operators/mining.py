@@ -132,11 +132,14 @@ def _fpgrowth(rows: DataFrame, least: int, max_len: int, n_rows: int) -> DataFra
 
 
 def frequent_itemsets(
-    view: DataFrame, min_support: float, max_len: int = 5, method: str = "levelwise", store: TableStore | None = None
+    view: DataFrame, min_support: float, max_len: int = 5, method: str = "levelwise", store: TableStore | None = None, weight: str | None = None
 ) -> Mined:
-    """Mine a wide view (one STRING column per attribute). Methods: levelwise, cube, fpgrowth."""
+    """Mine a wide view (one STRING column per attribute). Methods: levelwise, cube, fpgrowth.
+
+    ``weight``: a column with the number of rows a tuple stands for.
+    """
     store = store or TableStore(view.sparkSession)
-    tuples = store.write(compress(view), "tuples")
+    tuples = store.write(compress(view, weight), "tuples")
     n_rows = tuples.agg(F.sum("c")).first()[0] or 0
     least = max(1, min_count(min_support, n_rows))
     elements = store.write(build_elements(tuples, max(n_rows, 1), least, "c"), "elements")
@@ -163,7 +166,8 @@ def generate_rules(mined: Mined, min_confidence: float = 0.0) -> DataFrame:
     split = splits.select("items", "size", "cnt", side(1).alias("lhs"), side(0).alias("rhs"))
     counts = lambda s: sets.select(F.col("items").alias(s), F.col("cnt").alias(f"{s}_cnt"))
     rules = split.join(counts("lhs"), "lhs").join(counts("rhs"), "rhs")
-    attr_of = F.create_map(*[F.lit(x) for r in mined.elements.select("elem_id", "attr_id").collect() for x in (r[0], r[1])])
+    numbers = [F.lit(x) for r in mined.elements.select("elem_id", "attr_id").collect() for x in (r[0], r[1])]
+    attr_of = F.create_map(*numbers).cast("map<int,int>")
     rules = rules.withColumn("n_rows", F.lit(mined.n_rows).cast("bigint")).withColumn(
         "attrs", F.array_sort(F.transform("items", lambda i: attr_of[i]))
     )

@@ -109,6 +109,7 @@ def discretize(df: DataFrame, spec: dict[str, Bins], nulls: str = "none", max_di
     return df.select(*out)
 
 
-def compress(view: DataFrame) -> DataFrame:
-    """Distinct tuples with their number ``c``: one shuffle with map-side combine."""
-    return view.groupBy(*view.columns).agg(F.count("*").alias("c"))
+def compress(view: DataFrame, weight: str | None = None) -> DataFrame:
+    """Distinct tuples with their number ``c`` (or summed weight): one shuffle with map-side combine."""
+    attrs = [c for c in view.columns if c != weight]
+    return view.groupBy(*attrs).agg((F.sum(weight) if weight else F.count("*")).alias("c"))
