@@ -34,7 +34,7 @@ SAFE = re.compile(f"[\x00-ɏ{PUNCTUATION}]*")
 SPLIT = re.compile(
     f"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^{BLANKS}{LETTERS}{NUMBERS}]+|[{BLANKS}]+(?![^{BLANKS}])|[{BLANKS}]+"
 )
-MEMO_ENTRIES = 300_000
+MEMO_ENTRIES = 200_000
 
 
 def byte_alphabet() -> dict[str, int]:

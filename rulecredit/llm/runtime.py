@@ -21,8 +21,15 @@ from pyspark.sql import DataFrame, SparkSession
 _shipped: set[str] = set()
 
 
+#: Rows handed to a Python worker at once: texts are long, and a worker's memory should not follow the default.
+BATCH_ROWS = 1000
+
+
 def ship(spark: SparkSession) -> None:
-    """Add this package to the executors' import path (idempotent)."""
+    """Add this package to the executors' import path (idempotent) and keep worker batches small."""
+    rows = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(rows, "10000")) <= BATCH_ROWS:
+        spark.conf.set(rows, str(BATCH_ROWS))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
