@@ -46,6 +46,8 @@ CELLS, TASK_SHARE, FREQUENT_SHARE = 1 << 22, 0.0002, 0.0004
 MAX_LIGHT, SCAN_COST = 20, 4
 #: Sets checked against one leader in a unit of work, and list rows in a block.
 CHUNK, BLOCK = 64, 1024
+#: Tasks over which lists with the same smallest set are spread.
+LIST_TASKS = 8
 #: Rounds that check each set against one leader before the exhaustive one.
 LEADER_ROUNDS = 3
 
@@ -336,14 +338,19 @@ def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, tu
 
 def pair_lists(lists: DataFrame, reps: DataFrame) -> DataFrame:
     """Distinct pairs (x, y) of different groups within lists (token, sid, n, pos, g) that may link."""
-    sized = lists.withColumn("blocks", F.ceil(F.count("*").over(Window.partitionBy("token")) / F.lit(BLOCK)).cast("int"))
+    own = Window.partitionBy("token")
+    sized = lists.withColumn("blocks", F.ceil(F.count("*").over(own) / F.lit(BLOCK)).cast("int")).withColumns(
+        {"lead": F.min("sid").over(own), "salt": F.pmod("token", F.lit(LIST_TASKS))}
+    )
     dealt = sized.withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")).withColumn(
         "other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     )
     units = dealt.join(reps.select("sid", "bits"), "sid").select(
-        "token", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "sid", "n", "pos", "g", "bits", "block"
+        "token", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "sid", "n", "pos", "g", "bits", "block", "lead", "salt"
     )
-    ordered = units.repartition("token", "bi", "bj").sortWithinPartitions("token", "bi", "bj")
+    # lists with one smallest id mostly hold the same sets: a few tasks for them instead of one a
+    # token let a task see, and drop, most repeats of a pair
+    ordered = units.repartition("lead", "salt", "bi", "bj").drop("lead", "salt").sortWithinPartitions("token", "bi", "bj")
     return ordered.mapInArrow(_pair_lists, "x long, y long").distinct()
 
 
