@@ -7,7 +7,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rulecredit.sources.tables import table
@@ -131,3 +131,11 @@ VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "embeddings": v_embeddings,
     "star": v_star,
 }
+
+
+def with_previous_event(events: DataFrame, gap: str = "7 days") -> DataFrame:
+    """Adds ``prev``: the type of the user's latest earlier event within ``gap`` (an as-of lookup on itself)."""
+    own = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    last = F.lag(F.struct("ts", "event_type")).over(own)
+    near = last["ts"] >= F.col("ts") - F.expr(f"interval {gap}")
+    return events.withColumn("prev", F.when(near, last["event_type"]))
