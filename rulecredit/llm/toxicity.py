@@ -40,7 +40,7 @@ MIN_SHARE, MIN_DOCS, MIN_LOG_ODDS = 0.01, 5, 3.0
 MAX_ENTRIES = 2_000
 #: Labelled rows the lexicon is learned from, at most (up to the spread of a hash threshold).
 TRAIN_ROWS = 40_000
-#: Labelled rows used to fit the cut (those with the smallest hash).
+#: Labelled rows used to fit the cut, about (by a hash threshold).
 FIT_ROWS = 20_000
 PRIOR_WORDS = 20.0
 #: Harmless phrases that hold entries of an English insult list.
@@ -233,12 +233,9 @@ def train(labelled: DataFrame) -> Lexicon:
     lexicon = learn_lexicon(labelled)
     if not lexicon.weights:
         return lexicon
-    sample = (
-        labelled.where("toxic is not null")
-        .orderBy(F.xxhash64("doc_id"), "doc_id")
-        .limit(FIT_ROWS)
-        .select("text", F.col("toxic").cast("int").alias("toxic"))
-    )
+    share = FIT_ROWS / max(labelled.count(), FIT_ROWS)
+    picked = labelled.where(F.pmod(F.xxhash64("doc_id", F.lit("fit")), F.lit(1 << 30)) < int(share * (1 << 30)))
+    sample = picked.where("toxic is not null").select("text", F.col("toxic").cast("int").alias("toxic"))
     got = sample.mapInArrow(lambda it: _weights(lexicon, it), "weight double, toxic int").collect()
     return Lexicon(lexicon.weights, lexicon.exceptions, fit_cut([(r["weight"], r["toxic"]) for r in got]))
 
