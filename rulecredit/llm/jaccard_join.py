@@ -46,6 +46,8 @@ CELLS, TASK_SHARE, FREQUENT_SHARE = 1 << 22, 0.0002, 0.0004
 MAX_LIGHT, SCAN_COST = 20, 4
 #: Sets checked against one leader in a unit of work, and list rows in a block.
 CHUNK, BLOCK = 64, 1024
+#: Cells of a parity bitmap up to which small sets get finer ones.
+FINE_CELLS = 2048
 #: Tasks over which lists with the same smallest set are spread.
 LIST_TASKS = 8
 #: Rounds that check each set against one leader before the exhaustive one.
@@ -105,8 +107,10 @@ def set_key(tokens: np.ndarray) -> int:
 
 
 def parity_bits(tokens: np.ndarray) -> bytes:
-    """Bit i tells whether an odd number of shingles falls to cell i; about two to four cells a shingle."""
-    cells = max(64, 4 << (len(tokens) - 1).bit_length() >> 1)
+    """Bit i tells whether an odd number of shingles falls to cell i; at least two cells a shingle,
+    and up to sixteen while that stays within FINE_CELLS: fewer collisions, a tighter bound."""
+    size = 1 << (len(tokens) - 1).bit_length()
+    cells = max(64, 2 * size, min(8 * size, FINE_CELLS))
     at = ((tokens >> bh.U(22)) & bh.U(cells - 1)).astype(np.int64)
     return np.packbits((np.bincount(at, minlength=cells) & 1).astype(np.uint8)).tobytes()
 
