@@ -34,7 +34,7 @@ MIN_BYTES = 400
 #: Part of the minimum length that an anchor's gram has.
 GRAM_PART = 0.4
 #: Bytes of block text in a shard (a single anchor's blocks stay together).
-SHARD_BYTES = 1_500_000
+SHARD_BYTES = 1_000_000
 SEPARATOR = 255  # never a byte of UTF-8
 
 BLOCKS = "a long, body long, doc_id long, start int, n int"
@@ -78,26 +78,28 @@ def _cut_blocks(length: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.R
 
 
 def sort_suffixes(data: np.ndarray, depth: int) -> np.ndarray:
-    """Suffix order by at least the first ``depth`` bytes (prefix doubling; the end sorts first)."""
+    """Suffix order (int32) by at least the first ``depth`` bytes (prefix doubling; the end sorts first)."""
     n = len(data)
-    padded = np.concatenate([data, np.zeros(8, np.uint8)]).astype(np.uint64)
     key = np.zeros(n, np.uint64)
     for j in range(8):
-        key = (key << bh.U(8)) | padded[j : j + n]
-    order = np.argsort(key)
+        key <<= bh.U(8)
+        key[: max(n - j, 0)] |= data[j:]
+    order = np.argsort(key).astype(np.int32)
     have = 8
     while True:
-        fresh = np.ones(n, np.int64)
+        fresh = np.ones(n, bool)
         sorted_key = key[order]
-        fresh[1:] = sorted_key[1:] != sorted_key[:-1]
-        rank = np.empty(n, np.int64)
-        rank[order] = np.cumsum(fresh)
-        if have >= depth or int(fresh.sum()) == n:
+        np.not_equal(sorted_key[1:], sorted_key[:-1], out=fresh[1:])
+        del sorted_key
+        rank = np.empty(n, np.int32)
+        rank[order] = np.cumsum(fresh, dtype=np.int32)
+        if have >= depth or fresh.all():
             return order
-        later = np.zeros(n, np.int64)
-        later[: max(n - have, 0)] = rank[have:]
-        key = (rank.astype(np.uint64) << bh.U(32)) | later.astype(np.uint64)
-        order = np.argsort(key)
+        key[:] = rank
+        key <<= bh.U(32)
+        key[: max(n - have, 0)] |= rank[have:].astype(np.uint64)
+        del order, rank
+        order = np.argsort(key).astype(np.int32)
         have *= 2
 
 
@@ -109,13 +111,14 @@ def shared_intervals(data: np.ndarray, order: np.ndarray, depth: int) -> np.ndar
     """
     n = len(data)
     transform = data[order - 1]
-    by_byte = np.argsort(transform, kind="stable")
-    step = np.empty(n, np.int64)
-    step[by_byte] = np.arange(n)
-    prior = np.full(n, -1, np.int64)
+    by_byte = np.argsort(transform, kind="stable").astype(np.int32)
+    step = np.empty(n, np.int32)
+    step[by_byte] = np.arange(n, dtype=np.int32)
+    prior = np.full(n, -1, np.int32)
     same = transform[by_byte[1:]] == transform[by_byte[:-1]]
     prior[by_byte[1:][same]] = by_byte[:-1][same]
-    start, stop = np.zeros(n, np.int64), np.full(n, n, np.int64)
+    del transform, by_byte, same
+    start, stop = np.zeros(n, np.int32), np.full(n, n, np.int32)
     border = np.zeros(n, bool)
     border[0] = True
     new = step[prior < 0]
@@ -126,13 +129,13 @@ def shared_intervals(data: np.ndarray, order: np.ndarray, depth: int) -> np.ndar
         border[new] = True
         left = np.unique(start[new])
         size = stop[left] - left
-        place = bh.ragged_arange(left, size)
+        place = bh.ragged_arange(left.astype(np.int64), size.astype(np.int64)).astype(np.int32)
         old = np.repeat(left, size)
         head = np.flatnonzero(border[place])
         counts = np.diff(np.append(head, len(place)))
         begin = np.repeat(place[head], counts)
         start[place] = begin
-        stop[place] = np.repeat(place[head] + counts, counts)
+        stop[place] = begin + np.repeat(counts.astype(np.int32), counts)
         before = prior[place]
         new = step[place[(before >= old) & (before < begin)]]
     return start
@@ -146,11 +149,12 @@ def repeated_windows(blocks: list[bytes], weights: list[int], length: int) -> li
     start = shared_intervals(data, order, length)
     at = np.cumsum(size + 1) - (size + 1)
     windows = size - length + 1
-    weight = np.zeros(len(data), np.int64)
-    weight[bh.ragged_arange(at, windows)] = np.repeat(np.array(weights, np.int64), windows)
-    total = np.bincount(start, weight[order], len(data))
+    weight = np.zeros(len(data), np.int8)  # two and more are alike
+    weight[bh.ragged_arange(at, windows)] = np.repeat(np.minimum(np.array(weights, np.int64), 2).astype(np.int8), windows)
+    head = np.flatnonzero(start == np.arange(len(data), dtype=np.int32))
+    total = np.add.reduceat(weight[order], head, dtype=np.int64)
     flag = np.zeros(len(data), bool)
-    flag[order] = total[start] >= 2
+    flag[order] = np.repeat(total >= 2, np.diff(np.append(head, len(data))))
     return [flag[a : a + w] for a, w in zip(at.tolist(), windows.tolist())]
 
 
