@@ -42,7 +42,7 @@ BLOCKS = "a long, body long, doc_id long, start int, n int"
 
 def _find(length: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        for buf in bh.slices(b.column(1), 1 << 21):
+        for buf in bh.slices(b.column(1), 1 << 20):
             if len(buf.data) < length:
                 continue
             gram = max(1, int(GRAM_PART * length))
