@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 U = np.uint64
 _B = 0x9E3779B97F4A7C15 | 1
 _B_INV = pow(_B, -1, 1 << 64)
-SLICE_BYTES = 3 << 20
+SLICE_BYTES = 1 << 20
 
 
 def mix(x: np.ndarray) -> np.ndarray:
