@@ -371,3 +371,38 @@ FROM (SELECT time_bucket(INTERVAL '{days} days', ts, TIMESTAMP '1970-01-01') AS
 def window_contribution_sql(start: str, days: int, setting: Setting) -> str:
     where = f"WHERE ts >= TIMESTAMP '{start}' AND ts < TIMESTAMP '{start}' + INTERVAL '{days} days'"
     return f"WITH RECURSIVE {rule_ctes('events', setting=setting, where=where)}, {decomposed_ctes()} {X_OUT}"
+
+
+def windows_contribution_sql(days: int, setting: Setting) -> str:
+    """Every window mined and scored on its own rows; over pruned coalitions, the window ``g`` in every key."""
+    cols = ", ".join(f'{e} AS "{c}"' for c, e in EVENT_COLUMNS.items())
+    parts = " UNION ALL ".join(f"SELECT g, rid, c, '{c}=' || \"{c}\" AS e FROM t WHERE \"{c}\" IS NOT NULL" for c in EVENT_COLUMNS)
+    pct = round(setting.min_support * 100)
+    attr = attribute
+    return f"""WITH RECURSIVE v AS (SELECT time_bucket(INTERVAL '{days} days', ts, TIMESTAMP '1970-01-01') AS g, {cols} FROM events),
+t AS (SELECT row_number() OVER () AS rid, * FROM (SELECT *, count(*) AS c FROM v GROUP BY ALL)),
+nn AS (SELECT g, sum(c)::BIGINT AS n FROM t GROUP BY g),
+el AS ({parts}),
+fe AS (SELECT g, e FROM el JOIN nn USING (g) GROUP BY g, e, n HAVING sum(c) * 100 >= {pct} * n),
+fel AS (SELECT g, rid, c, e FROM el SEMI JOIN fe USING (g, e)),
+s AS (SELECT g, rid, c, [e] AS items, e AS last FROM fel
+  UNION ALL
+  SELECT s.g, s.rid, s.c, list_append(s.items, f.e), f.e FROM s JOIN fel f ON f.rid = s.rid AND f.e > s.last WHERE len(s.items) < {setting.max_len}),
+its AS (SELECT g, items, len(items)::INT AS size, sum(c)::BIGINT AS cnt, n FROM s JOIN nn USING (g) GROUP BY g, items, n HAVING sum(c) * 100 >= {pct} * n),
+sp AS (SELECT g, items, size, cnt, n, unnest(range(1, (1 << size) - 1)) AS m FROM its WHERE size >= 2),
+sd AS (SELECT *, list_filter(items, lambda x, i: ((m >> (i - 1)::INT) & 1) = 1) AS lhs,
+              list_filter(items, lambda x, i: ((m >> (i - 1)::INT) & 1) = 0) AS rhs FROM sp),
+rc AS (SELECT sd.*, l.cnt AS lc, h.cnt AS hc FROM sd JOIN its l ON l.g = sd.g AND l.items = lhs JOIN its h ON h.g = sd.g AND h.items = rhs),
+rm AS (SELECT *, cnt::DOUBLE / n AS sup, (cnt::DOUBLE * n) / (lc::DOUBLE * hc) AS lift FROM rc),
+rs AS (SELECT *, sqrt(sup * lift) AS score FROM rm WHERE greatest(lift, 1 / lift) >= {setting.min_lift}),
+val AS (SELECT g, items, size, max(score) AS v FROM rs GROUP BY g, items, size),
+ee AS (SELECT DISTINCT g, unnest(items) AS e FROM val),
+en AS (SELECT g, count(*) AS n FROM ee GROUP BY g),
+wt AS (SELECT g, k, 1.0::DOUBLE / (n * coalesce(list_aggregate(list_transform(range(1, k + 1), lambda i: (n - i)::DOUBLE / i), 'product'), 1.0)) AS w
+       FROM en, (SELECT unnest(range(0, 12)) AS k) WHERE k < n),
+co AS (SELECT g, items FROM val UNION SELECT g, list_filter(items, lambda y, i: i <> j) FROM val, (SELECT unnest(range(1, 12)) AS j) WHERE j <= size),
+pr AS (SELECT co.g, e, co.items FROM co JOIN ee USING (g) WHERE len(list_filter(co.items, lambda y: {attr('y')} = {attr('e')})) = 0),
+x AS (SELECT pr.g, e, sum(w * (coalesce(v1.v, 0) - coalesce(v0.v, 0))) AS x FROM pr
+      JOIN wt ON wt.g = pr.g AND wt.k = len(pr.items) LEFT JOIN val v0 ON v0.g = pr.g AND v0.items = pr.items
+      LEFT JOIN val v1 ON v1.g = pr.g AND v1.items = list_sort(list_append(pr.items, e)) GROUP BY pr.g, e)
+SELECT strftime(g, '%Y-%m-%d') AS window_start, {attr('e')} AS attr, {value_of('e')} AS val, {rounded('x')} AS x FROM x"""

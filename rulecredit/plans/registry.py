@@ -24,7 +24,7 @@ from rulecredit.plans.fixtures import example_elements, example_rules
 from rulecredit.plans.workbench import SETTINGS, Bench, Setting, bench
 from rulecredit.sources.tables import table
 from rulecredit.sources.views import VIEWS
-from rulecredit.streaming.windows import tumbling, window_contribution, windowed_tuples
+from rulecredit.streaming.windows import contribution_by_window, tumbling, windowed_tuples
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -390,7 +390,6 @@ add("evaluation_coalitions", _evaluation_set)
 
 WINDOW_DAYS = 7
 WINDOW_SETTING = Setting(0.05, 3, "cube")
-WINDOW_START = "2024-01-11"
 
 
 def _window_counts(spark: SparkSession, folder: str) -> DataFrame:
@@ -400,10 +399,9 @@ def _window_counts(spark: SparkSession, folder: str) -> DataFrame:
 
 def _window_contribution(spark: SparkSession, folder: str) -> DataFrame:
     tuples = windowed_tuples(table(spark, folder, "events"), tumbling(f"{WINDOW_DAYS} days"))
-    one = tuples.where(F.col("start") == F.lit(WINDOW_START).cast("timestamp"))
-    scores = window_contribution(one, WINDOW_SETTING.min_support, WINDOW_SETTING.max_len, WINDOW_SETTING.min_lift)
-    return scores.select("attr", "val", rounded("x").alias("x"))
+    scores = contribution_by_window(tuples, WINDOW_SETTING.min_support, WINDOW_SETTING.max_len, WINDOW_SETTING.min_lift)
+    return scores.select(F.date_format("start", "yyyy-MM-dd").alias("window_start"), "attr", "val", rounded("x").alias("x"))
 
 
 add("stream_window_counts", _window_counts, sql.window_counts_sql(WINDOW_DAYS))
-add("windowed_contribution_events", _window_contribution, sql.window_contribution_sql(WINDOW_START, WINDOW_DAYS, WINDOW_SETTING))
+add("windowed_contribution_events", _window_contribution, sql.windows_contribution_sql(WINDOW_DAYS, WINDOW_SETTING))

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rulecredit.operators.contribution import contribution, merge_statistics
+from rulecredit.operators.grouped import grouped_contribution, grouped_itemsets, grouped_rules, grouped_values, limits, tuple_texts
 from rulecredit.operators.mining import filter_lift, frequent_itemsets, generate_rules, with_score
 from rulecredit.sources.store import TableStore
 from rulecredit.sources.views import event_attributes
@@ -56,6 +57,21 @@ def window_contribution(tuples: DataFrame, min_support: float = 0.05, max_len: i
     return contribution(with_score(filter_lift(generate_rules(mined), min_lift)), mined.elements)
 
 
+def contribution_by_window(
+    tuples: DataFrame, min_support: float = 0.05, max_len: int = 3, min_lift: float = 1.05, store: TableStore | None = None
+) -> DataFrame:
+    """(start, attr, val, x) of the elements of every window, each mined on its own rows: the scores
+    of ``window_contribution``, with the window as a key instead of a loop."""
+    store = store or TableStore(tuples.sparkSession, "windows")
+    attrs = [c for c in tuples.columns if c not in {"start", "end", "c"}]
+    held = store.write(tuples.select(F.col("start").alias("g"), tuple_texts(attrs).alias("items"), "c"), "tuples")
+    groups = held.select("g").distinct().withColumns({"min_support": limits(min_support), "min_lift": F.lit(min_lift)})
+    sets = grouped_itemsets(held, groups, max_len, len(attrs), store)
+    values = store.write(grouped_values(grouped_rules(sets)), "values")
+    scores = grouped_contribution(values, max_len)
+    return scores.select(F.col("g").alias("start"), F.substring_index("elem", "=", 1).alias("attr"), F.expr("substring(elem, instr(elem, '=') + 1)").alias("val"), "x")
+
+
 def score_closed_windows(out: str, **knobs) -> Callable[[DataFrame, int], None]:
     """A ``foreachBatch`` handler for append-mode windowed tuples.
 
