@@ -24,14 +24,14 @@ class Setting:
     min_lift: float = 1.05
 
 
-#: Settings of the views; attributes of the star view are near-independent and need lower support.
+#: Settings of the views, itemsets up to all attributes; attributes of the star view are near-independent and need lower support.
 SETTINGS = {
     "conversations": Setting(0.05, 5, "cube"),
-    "documents": Setting(0.05, 5),
-    "events": Setting(0.01, 5, "cube"),
-    "pages": Setting(0.05, 5, "cube"),
-    "embeddings": Setting(0.05, 5),
-    "star": Setting(0.02, 3),
+    "documents": Setting(0.05, 8),
+    "events": Setting(0.01, 6, "cube"),
+    "pages": Setting(0.05, 6, "cube"),
+    "embeddings": Setting(0.05, 9),
+    "star": Setting(0.02, 11),
 }
 
 

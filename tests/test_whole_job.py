@@ -1,10 +1,17 @@
 """Queries return the whole of their job."""
 
+from collections import Counter
+from itertools import combinations
+
+import pytest
 from pyspark.sql import functions as F
 
+from rulecredit.operators.mining import min_count
 from rulecredit.plans import registry
 from rulecredit.plans.registry import QUERIES
+from rulecredit.plans.workbench import SETTINGS, bench
 from rulecredit.sources.tables import table
+from rulecredit.sources.views import VIEWS
 from rulecredit.streaming.windows import tumbling, window_contribution, windowed_tuples
 
 
@@ -20,3 +27,25 @@ def test_every_window_is_scored(spark, small):
         want |= {(day, r["attr"], r["val"]): r["x"] for r in one.collect()}
     assert len(starts) > 1 and got.keys() == want.keys()
     assert max(abs(got[k] - want[k]) for k in got) < 2e-6
+
+
+def all_sets(rows, least):
+    """Every itemset of any size met ``least`` times, by enumeration."""
+    counts = Counter(
+        picked for items in rows for k in range(1, len(items) + 1) for picked in combinations(sorted(items), k)
+    )
+    return {(s, n) for s, n in counts.items() if n >= least}
+
+
+@pytest.mark.parametrize("view", ["documents", "events", "pages"])
+def test_itemsets_of_every_size(spark, small, view):
+    rows = [[f"{a}={v}" for a, v in r.asDict().items() if v is not None] for r in VIEWS[view](spark, small).collect()]
+    b = bench(spark, small, view)
+    names = {r["elem_id"]: f"{r['attr']}={r['val']}" for r in b.elements.collect()}
+    got = {(tuple(names[i] for i in r["items"]), r["cnt"]) for r in b.itemsets.collect()}
+    assert got == all_sets(rows, min_count(SETTINGS[view].min_support, len(rows)))
+
+
+@pytest.mark.parametrize("view", list(SETTINGS))
+def test_settings_do_not_cap_sizes(spark, small, view):
+    assert SETTINGS[view].max_len >= len(VIEWS[view](spark, small).columns)
