@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from rulecredit.operators import contribution as c
 from rulecredit.operators.alternatives import i_top, influence
 from rulecredit.operators.approx import ESTIMATORS, approximate
+from rulecredit.operators.grouped import grouped_counts, grouped_itemsets, grouped_rules, grouped_values, tuple_texts
 from rulecredit.operators.metrics import quality_by
 from rulecredit.operators.mining import filter_lift, frequent_itemsets, generate_rules, with_score
 from rulecredit.operators.prepare import Bins, discretize, sample_rows
@@ -67,6 +68,35 @@ def mine_instance(spark: SparkSession, folder: str, inst: Instance) -> tuple[Dat
     return rules, mined.elements
 
 
+def grid_values(spark: SparkSession, folder: str, instances: list[Instance]) -> DataFrame:
+    """(g, items, size, n_rules, value) of all instances in one pass, ``g`` the run id: what
+    ``mine_instance`` mines one by one. Each sample is taken once and binned once for each bin count."""
+    store = TableStore(spark, "grid")
+    base = lambda view, n, bins: f"{view}-r{n}-b{bins}"
+    samples, tuples = {}, []
+    for view, n, bins in dict.fromkeys((i.view, i.sample_rows, i.n_bins) for i in instances):
+        name, numeric, plain = COLUMNS[view]
+        if (view, n) not in samples:
+            samples[view, n] = store.write(sample_rows(table(spark, folder, name).select(*numeric, *plain), n), f"{view}-{n}")
+        spec = {c: Bins.equal_width(bins) for c in numeric} | {p: Bins.keep() for p in plain}
+        texts = discretize(samples[view, n], spec).select(tuple_texts([*numeric, *plain]).alias("items"))
+        tuples.append(texts.groupBy("items").agg(F.count("*").alias("c")).select(F.lit(base(view, n, bins)).alias("base"), "items", "c"))
+    held = store.write(reduce(DataFrame.unionByName, tuples), "tuples")
+    knobs = [(base(i.view, i.sample_rows, i.n_bins), i.run_id, str(i.min_support), i.min_lift) for i in instances]
+    groups = spark.createDataFrame(knobs, "base string, g string, min_support string, min_lift double")
+    groups = store.write(groups.withColumn("min_support", F.col("min_support").cast("decimal(12,10)")), "knobs")
+    keyed = store.write(held.join(F.broadcast(groups.select("base", "g")), "base").drop("base"), "keyed")
+    width = max(len(COLUMNS[i.view][1] + COLUMNS[i.view][2]) for i in instances)
+    sets = grouped_itemsets(keyed, groups.drop("base"), max(i.max_len for i in instances), width, store)
+    return store.write(grouped_values(grouped_rules(sets)), "values")
+
+
+def grid_counts(values: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Coalition counts (run_id, elem, naive, pruned) and (run_id, n_elements) of ``grid_values``."""
+    counts = grouped_counts(values).withColumnRenamed("g", "run_id")
+    return counts, counts.groupBy("run_id").agg(F.count("*").alias("n_elements"))
+
+
 def rule_set_properties(rules: DataFrame, run_id: str) -> DataFrame:
     """(run_id, n_rules, avg_length, max_length, n_elements) of one rule set."""
     elements = rules.select(F.explode("items").alias("e")).agg(F.count_distinct("e").alias("n")).select("n").scalar()

@@ -97,3 +97,18 @@ def grouped_contribution(values: DataFrame, top: int) -> DataFrame:
     own = pick("e", "p", "elem").withColumn("attr", attribute_of(F.col("elem")))
     joined = own.join(pick("a", "a", "attr"), ["g", "attr"]).join(pick("w", "w", "_").drop("_"), "g")
     return joined.select("g", "elem", (F.col("p") - (F.col("w") - F.col("a"))).alias("x"))
+
+
+def grouped_counts(values: DataFrame) -> DataFrame:
+    """(g, elem, naive, pruned) of every element in a rule of its group: all valid coalitions without the
+    element's attribute, and those among the itemsets and their one-removed subsets."""
+    scope = values.select("g", F.explode("items").alias("elem")).distinct().withColumn("attr", attribute_of(F.col("elem")))
+    sizes = scope.groupBy("g", "attr").agg((F.count("*") + 1).cast("double").alias("k"))
+    total = sizes.groupBy("g").agg(F.aggregate(F.collect_list("k"), F.lit(1.0), lambda acc, k: acc * k).alias("total"))
+    drop = F.transform(F.sequence(F.lit(-1), F.col("size") - 1), lambda i: F.filter("items", lambda x, j: j != i))
+    sets = values.select("g", F.explode(drop).alias("items")).distinct()
+    cells = F.explode(F.concat(F.array(F.lit("")), F.transform("items", attribute_of)))
+    per = sets.select("g", cells.alias("attr")).groupBy("g", "attr").agg(F.count("*").alias("n"))
+    every = per.where("attr = ''").select("g", F.col("n").alias("sets"))
+    joined = scope.join(sizes, ["g", "attr"]).join(total, "g").join(every, "g").join(per, ["g", "attr"], "left")
+    return joined.select("g", "elem", (F.col("total") / F.col("k")).alias("naive"), (F.col("sets") - F.coalesce("n", F.lit(0))).alias("pruned"))

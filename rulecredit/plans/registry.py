@@ -374,14 +374,8 @@ for _v in ("conversations", "documents", "embeddings"):
 
 
 def _evaluation_set(spark: SparkSession, folder: str) -> DataFrame:
-    """Coalition counts over a small grid of instances, averaged by number of elements."""
-    counts, props = [], []
-    for inst in ev.build_instances(views=("events", "documents"), samples=(2000,), bins=(3, 5), supports=(0.05,), lifts=(1.05,)):
-        rules, elements = ev.mine_instance(spark, folder, inst)
-        counts.append(ev.coalition_counts(rules, elements, inst.run_id))
-        props.append(ev.rule_set_properties(rules, inst.run_id))
-    union = lambda parts: reduce(DataFrame.unionByName, parts)
-    return ev.summarize_counts(union(counts), union(props), "n_elements", [10, 20, 30])
+    """Coalition counts over the whole grid of instances, averaged by number of elements."""
+    return ev.summarize_counts(*ev.grid_counts(ev.grid_values(spark, folder, ev.build_instances())), "n_elements", [10, 20, 30])
 
 
 add("evaluation_coalitions", _evaluation_set)

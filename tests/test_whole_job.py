@@ -6,6 +6,7 @@ from itertools import combinations
 import pytest
 from pyspark.sql import functions as F
 
+from rulecredit.operators import evaluation as ev
 from rulecredit.operators.mining import min_count
 from rulecredit.plans import registry
 from rulecredit.plans.registry import QUERIES
@@ -49,3 +50,22 @@ def test_itemsets_of_every_size(spark, small, view):
 @pytest.mark.parametrize("view", list(SETTINGS))
 def test_settings_do_not_cap_sizes(spark, small, view):
     assert SETTINGS[view].max_len >= len(VIEWS[view](spark, small).columns)
+
+
+def test_grid_equals_single_instances(spark, small):
+    grid = ev.build_instances(samples=(2000,), bins=(3, 5), supports=(0.05,), lifts=(1.05, 1.2))
+    some = [i for i in grid if (i.view, i.n_bins) in {("events", 3), ("part", 5)}]
+    counts, _ = ev.grid_counts(ev.grid_values(spark, small, some))
+    got = sorted((r["run_id"], int(r["naive"]), r["pruned"]) for r in counts.collect())
+    want = []
+    for inst in some:
+        rules, elements = ev.mine_instance(spark, small, inst)
+        want += [(r["run_id"], int(r["naive"]), r["pruned"]) for r in ev.coalition_counts(rules, elements, inst.run_id).collect()]
+    assert got and got == sorted(want)
+
+
+def test_experiment_runs_the_whole_grid(spark, small, monkeypatch):
+    seen, run = [], ev.grid_values
+    monkeypatch.setattr(ev, "grid_values", lambda s, d, instances: run(s, d, seen.extend(instances) or instances[:1]))
+    QUERIES["evaluation_coalitions"](spark, small)
+    assert len({i.run_id for i in seen}) == 180
