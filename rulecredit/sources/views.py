@@ -129,6 +129,7 @@ VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "events": lambda s, d: v_events(s, d).drop("ts"),
     "pages": v_pages,
     "embeddings": v_embeddings,
+    "embeddings_wide": lambda s, d: v_embeddings(s, d, 64),
     "star": v_star,
 }
 

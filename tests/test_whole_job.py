@@ -69,3 +69,22 @@ def test_experiment_runs_the_whole_grid(spark, small, monkeypatch):
     monkeypatch.setattr(ev, "grid_values", lambda s, d, instances: run(s, d, seen.extend(instances) or instances[:1]))
     QUERIES["evaluation_coalitions"](spark, small)
     assert len({i.run_id for i in seen}) == 180
+
+
+def test_wide_view_has_every_component(spark, small):
+    rows = [r.asDict() for r in VIEWS["embeddings_wide"](spark, small).collect()]
+    least = min_count(SETTINGS["embeddings_wide"].min_support, len(rows))
+    masks = {}
+    for i, r in enumerate(rows):
+        for a, v in r.items():
+            masks[f"{a}={v}"] = masks.get(f"{a}={v}", 0) | 1 << i
+    level = {(e,): m for e, m in masks.items() if m.bit_count() >= least}
+    single, want = dict(level), {}
+    while level:
+        want |= {s: m.bit_count() for s, m in level.items()}
+        grown = ((s + e, m & n) for s, m in level.items() for e, n in single.items() if e[0] > s[-1])
+        level = {s: m for s, m in grown if m.bit_count() >= least}
+    b = bench(spark, small, "embeddings_wide")
+    names = {r["elem_id"]: f"{r['attr']}={r['val']}" for r in b.elements.collect()}
+    assert len(rows[0]) == 65 and {tuple(names[i] for i in r["items"]): r["cnt"] for r in b.itemsets.collect()} == want
+    assert QUERIES["contribution_embeddings_wide"](spark, small).select("attr").distinct().count() > 9
