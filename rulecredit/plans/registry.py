@@ -157,7 +157,18 @@ def _one(form: Callable[[DataFrame, DataFrame, int], DataFrame]) -> Query:
 
 _USER = " WHERE e = 'role=user'"
 add("contribution_single", _one(c.contribution_single), sql.contribution_sql(FLAGSHIP, "decomposed") + _USER)
-add("contribution_naive", _one(c.contribution_naive), sql.contribution_sql(FLAGSHIP, "decomposed") + _USER)
+
+
+def _naive(spark: SparkSession, folder: str) -> DataFrame:
+    """Every element of the scope over all its valid coalitions."""
+    b = bench(spark, folder, FLAGSHIP)
+    values = _values(b)
+    ids = [r["elem_id"] for r in b.scope.select("elem_id").orderBy("elem_id").collect()]
+    none = b.scope.select("elem_id", F.lit(0.0).alias("x")).limit(0)
+    return _x(reduce(DataFrame.unionByName, [c.contribution_naive(values, b.scope, e) for e in ids] or [none]), b.elements)
+
+
+add("contribution_naive", _naive, sql.contribution_sql(FLAGSHIP, "decomposed"))
 
 
 def _example(score: str, method: str) -> Query:

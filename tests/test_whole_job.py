@@ -88,3 +88,9 @@ def test_wide_view_has_every_component(spark, small):
     names = {r["elem_id"]: f"{r['attr']}={r['val']}" for r in b.elements.collect()}
     assert len(rows[0]) == 65 and {tuple(names[i] for i in r["items"]): r["cnt"] for r in b.itemsets.collect()} == want
     assert QUERIES["contribution_embeddings_wide"](spark, small).select("attr").distinct().count() > 9
+
+
+def test_naive_form_scores_every_element(spark, small):
+    got, want = ({(r["attr"], r["val"]): r["x"] for r in QUERIES[q](spark, small).collect()} for q in ("contribution_naive", "contribution_conversations"))
+    assert len(got) > 1 and got.keys() == want.keys()
+    assert max(abs(got[k] - want[k]) for k in got) < 2e-6
