@@ -19,6 +19,9 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
   list whose sets are still in different groups, so no link between groups is missed; lists
   are cut into blocks of bounded size, and only pairs that pass all filters leave a block.
 
+The result is the exact components, not the linked pairs: two sets already in one group are
+not tested against each other, so links inside a group are neither listed nor counted.
+
 Defined results: null and blank texts have empty sets and stay alone; texts under five
 words are one shingle; repeated rows and ties share a component, named by its smallest
 doc_id; an empty table gives an empty result.
