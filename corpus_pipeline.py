@@ -2,6 +2,12 @@
 
 Each stage takes ``(spark, docs, sf_dir)`` and works on all rows its predecessor kept.
 All but the last return the columns of ``documents``; the last returns packed pieces.
+
+Every stage passes any columns on, whatever their names, and gives an empty table for an
+empty one. Null and blank texts fail the quality rules and go there; in the later stages alone
+they count as empty: not toxic, similar to nothing, one piece holding the end id. Rows that repeat
+an id and a text are one document to the Jaccard stage, which keeps one of them; rows that
+repeat an id with another text are documents of their own throughout. Ties go to the smallest id.
 """
 
 from __future__ import annotations
@@ -25,8 +31,13 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     return jaccard_join.one_per_component(docs)
 
 
+#: Passages of over 50 words that repeat go: so many words, in at least so many bytes (natural
+#: text of 51 words has more); repeated strings of ``suffix_dedup.MIN_BYTES`` go however few words they hold.
+PASSAGE_BYTES, PASSAGE_WORDS = 200, 51
+
+
 def repeated_string_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    out = suffix_dedup.remove_repeats(docs)
+    out = suffix_dedup.remove_repeats(docs, PASSAGE_BYTES, PASSAGE_WORDS)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return out

@@ -3,9 +3,16 @@
 Every window of ``window`` symbols (bytes or words) is assigned to its smallest gram,
 the leftmost on ties. The choice depends on the window's content only, so equal windows
 anywhere share their anchor. Runs of windows with one anchor form a block; a block's
-``body`` hashes the symbols its windows cover, so equal bodies hold equal windows.
-Comparing blocks that share an anchor is therefore enough to find every repeated window,
-and folding equal bodies first keeps hot groups of copies small.
+``body`` is a key of the symbols its windows cover and of the anchor's place in them, so
+equal bodies hold equal windows. Comparing blocks that share an anchor is therefore enough
+to find every repeated window, and folding equal bodies first keeps groups of copies small.
+
+An anchor with very many different blocks (a common line in ever other surroundings) is
+split further by :func:`split_block`: its windows are dealt by the anchor's place in them
+and by the symbols around it that all windows of such a place share.
+
+Rows are known by ``doc_id`` and a hash of their text, so rows that repeat an id with
+another text, or have none, stay apart.
 """
 
 from __future__ import annotations
@@ -13,8 +20,17 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import xxhash
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 from rulecredit.llm import bytehash as bh
+from rulecredit.llm.runtime import SharedStore, spread_join
+
+#: Columns of block rows: anchor, body, row (doc_id, h), first window, number of windows.
+BLOCKS = "a long, body long, doc_id long, h long, start int, n int"
+#: Low bits of a gram that give way to its place; texts are below 2 ** 32 symbols.
+PLACE_BITS = bh.U(32)
 
 
 @dataclass
@@ -28,32 +44,83 @@ class Blocks:
     body: np.ndarray
 
 
-def find_blocks(grams: np.ndarray, prefix: np.ndarray, offs: np.ndarray, window: int, gram: int) -> Blocks:
-    """Blocks of the texts at ``offs`` (symbol offsets) of one sequence.
+def _placed(grams: np.ndarray) -> np.ndarray:
+    """Grams with their low bits replaced by their place, so that minima tell where they are."""
+    return ((grams >> PLACE_BITS) << PLACE_BITS) | np.arange(len(grams), dtype=np.uint64)
+
+
+def find_blocks(grams: np.ndarray, symbols: np.ndarray, offs: np.ndarray, window: int, gram: int) -> Blocks:
+    """Blocks of the texts at ``offs`` (symbol offsets) of one sequence of ``symbols``.
 
-    ``grams``: hash of the gram starting at each symbol. ``prefix``: polynomial prefix
-    sums of the symbols, as :func:`bytehash.range_hash` takes them.
+    ``grams``: hash of the gram starting at each symbol.
     """
     z = np.zeros(0, np.int64)
     size = np.maximum(np.diff(offs) - window + 1, 0)
     if not size.any():
         return Blocks(z, z, z, z.view(np.uint64), z.view(np.uint64))
-    bits = bh.U(max(1, int(len(grams)).bit_length()))
-    keyed = ((grams >> bits) << bits) | np.arange(len(grams), dtype=np.uint64)
-    low = bh.sliding_min(keyed, window - gram + 1)
+    low = bh.sliding_min(_placed(grams), window - gram + 1)
     at = bh.ragged_arange(offs[:-1], size)
-    pos = (low[at] & ((bh.U(1) << bits) - bh.U(1))).astype(np.int64)
+    pos = (low[at] & ((bh.U(1) << PLACE_BITS) - bh.U(1))).astype(np.int64)
     text = np.repeat(np.arange(len(size)), size)
     first = np.ones(len(at), bool)
     first[1:] = (pos[1:] != pos[:-1]) | (text[1:] != text[:-1])
     head = np.flatnonzero(first)
     count = np.diff(np.append(head, len(at)))
     start, where = at[head], pos[head]
-    span = bh.range_hash(prefix, start, start + count - 1 + window)
-    body = bh.mix(span + (where - start).astype(np.uint64) * bh.U(0x9E6C63D0876A9A47))
+    body = bh.range_keys(symbols, start, start + count - 1 + window, where - start)
     return Blocks(text[head], start - offs[:-1][text[head]], count, grams[where], body)
 
 
+def split_block(symbols: np.ndarray, grams: np.ndarray, window: int, gram: int, spread: int) -> list[tuple[int, int, int, int]]:
+    """(group, body, first window, windows) of the parts of one block's ``symbols``.
+
+    A window's offset is the anchor's place in it. Windows whose offsets agree but for the last
+    ``spread`` form a part; its group is a key of the symbols that all windows of such offsets
+    share, ``window - spread + 1`` of them. With a spread of 1 the group is the window itself.
+    """
+    n = len(symbols) - window + 1
+    at = int(np.argmin(_placed(grams[: window - gram + 1])))
+    view, item = memoryview(np.ascontiguousarray(symbols)).cast("B"), symbols.itemsize
+    out = []
+    for k in range((at - n + 1) // spread, at // spread + 1):
+        lo, hi = max(0, at - k * spread - spread + 1), min(n - 1, at - k * spread)
+        core = at - k * spread
+        group = xxhash.xxh3_64_intdigest(view[core * item : (core - spread + 1 + window) * item], k)
+        body = xxhash.xxh3_64_intdigest(view[lo * item : (hi + window) * item], at - lo)
+        out.append((group, body, lo, hi - lo + 1))
+    return out
+
+
+def row_key(text: str = "text") -> Column:
+    return F.xxhash64(text)
+
+
+def same_row(a: DataFrame, b: DataFrame) -> Column:
+    return a["doc_id"].eqNullSafe(b["doc_id"]) & (a["h"] == b["h"])
+
+
+def shared_blocks(blocks: DataFrame, meets: Column, store: SharedStore) -> DataFrame:
+    """The rows of ``blocks`` (BLOCKS) under an anchor that ``meets`` the condition (an aggregate)."""
+    held = store.write(blocks, "blocks")
+    shared = held.groupBy("a").agg(F.count("*").alias("c"), meets.alias("_meets")).where("_meets").select("a", "c")
+    out = store.write(spread_join(held, store.write(shared, "anchors"), ["a"], "c", ["doc_id", "h", "start"]), "occurrences")
+    store.drop("blocks", "anchors")
+    store.release()
+    return out.drop("c")
+
+
+def crowded(folded: DataFrame, key: str, width: int, store: SharedStore, name: str) -> DataFrame:
+    """The rows of ``folded`` (written; ``n`` windows a row) whose ``key`` has several, with ``size``, the key's symbols."""
+    sizes = folded.groupBy(key).agg(F.count("*").alias("bodies"), F.sum(F.col("n") + (width - 1)).alias("size")).where("bodies > 1")
+    return spread_join(folded, store.write(sizes, name), [key], "bodies", ["body"])
+
+
+def runs_by_row(runs: DataFrame) -> DataFrame:
+    """(doc_id, h, starts, counts) of runs of windows (doc_id, h, s, c); rows that repeat add nothing."""
+    found = runs.groupBy("doc_id", "h").agg(F.collect_set(F.struct("s", "c")).alias("r"))
+    return found.select("doc_id", "h", F.col("r.s").alias("starts"), F.col("r.c").alias("counts"))
+
+
 def merge_runs(start: np.ndarray, count: np.ndarray, window: int) -> list[tuple[int, int]]:
     """Maximal covered ranges [a, b) of windows given as runs of starts."""
     order = np.argsort(start, kind="stable")

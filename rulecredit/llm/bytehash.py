@@ -1,9 +1,12 @@
 """Vectorised hashing over the byte buffers of Arrow string columns.
 
-A batch's texts lie end to end in one byte array. Prefix sums of a polynomial
-over 64-bit wrap-around integers give the hash of any byte range in O(1), so
-words, shingles, grams and blocks are hashed without a Python loop over texts.
-Nulls count as empty texts.
+A batch's texts lie end to end in one byte array. Words are keyed by mixing their bytes
+(16 at once; longer words by xxh3), so unequal words share a 64-bit key by chance only.
+
+Prefix sums of a polynomial over 64-bit wrap-around integers give a hash of any byte
+range in O(1). Some unequal byte strings always share such a hash (long Thue-Morse
+words, for one), so it only picks places, as anchors and chunk borders; what is taken as
+equal is compared by :func:`range_keys` or by word keys. Nulls count as empty texts.
 """
 
 from __future__ import annotations
@@ -14,6 +17,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 
 U = np.uint64
 _B = 0x9E3779B97F4A7C15 | 1
@@ -66,12 +70,22 @@ class Buffer:
 
 
 def range_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """Hash of the byte ranges [start, end), the same for equal bytes anywhere."""
+    """Place-picking hash of the byte ranges [start, end), the same for equal bytes anywhere."""
     inv = powers(len(prefix), "inv")
     h = (prefix[end] - prefix[start]) * inv[start]
     return mix(h + (end - start).astype(np.uint64) * U(0xA24BAED4963EE407))
 
 
+def range_keys(symbols: np.ndarray, start: np.ndarray, end: np.ndarray, seed: np.ndarray) -> np.ndarray:
+    """xxh3 keys of the ranges [start, end) of a contiguous array, each under its own seed."""
+    if not len(start):
+        return np.zeros(0, np.uint64)
+    view, size = memoryview(np.ascontiguousarray(symbols)).cast("B"), symbols.itemsize
+    ends = (end * size).tolist()
+    keys = [xxhash.xxh3_64_intdigest(view[a:b], s) for a, b, s in zip((start * size).tolist(), ends, seed.tolist())]
+    return np.array(keys, np.uint64)
+
+
 def string_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string or binary column; nulls become empty."""
     if isinstance(column, pa.ChunkedArray):
@@ -132,8 +146,22 @@ def words(buf: Buffer, lower: bool = False) -> Words:
     after = np.empty(n, bool)
     after[-1], after[:-1] = False, inside[1:]
     end = np.flatnonzero(inside & (~after | tail)) + 1
-    key = range_hash(Buffer(data, buf.offs, 0).prefix(), start, end)
-    return Words(start, end, key, np.searchsorted(start, buf.offs, "left"))
+    return Words(start, end, word_keys(data, start, end), np.searchsorted(start, buf.offs, "left"))
+
+
+_LOW_BYTES = np.array([(1 << (8 * k)) - 1 for k in range(9)], np.uint64)
+
+
+def word_keys(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """A key of each byte range [start, end), of any length; the ranges are short as a rule."""
+    eight = np.ndarray(len(data) + 9, "<u8", np.concatenate([data, np.zeros(16, np.uint8)]), strides=(1,)).copy()
+    size = end - start
+    low = eight[start] & _LOW_BYTES[np.minimum(size, 8)]
+    high = eight[np.minimum(start + 8, len(data))] & _LOW_BYTES[np.clip(size - 8, 0, 8)]
+    key = mix(mix(mix(low + U(0xA24BAED4963EE407)) ^ high) + size.astype(np.uint64) * U(_B))
+    long = np.flatnonzero(size > 16)
+    key[long] = range_keys(data, start[long], end[long], np.zeros(len(long), np.int64))
+    return key
 
 
 def gram_keys(key: np.ndarray, width: int) -> np.ndarray:

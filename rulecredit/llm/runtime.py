@@ -5,18 +5,20 @@
 * ``SharedStore`` writes intermediate tables below ``spark.checkpoint.dir`` (the
   folder every executor sees) and drops them again; re-reading a written table
   cuts lineage and survives lost executors.
+* ``spread_join`` joins on keys of which a few may hold a large part of all rows.
 """
 
 from __future__ import annotations
 
 import gc
-import os
 import tempfile
-import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from rulecredit.sources.store import TableStore
 
 _shipped: set[str] = set()
 
@@ -42,37 +44,35 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(app)
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The cluster's shared folder; a folder of our own only where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = base.get() if base.isDefined() else f"file://{os.path.join(tempfile.gettempdir(), 'checkpoints')}"
-    return base.rstrip("/")
+#: Left rows of one key that go to one task, and the most keys that may be dealt over several.
+KEY_ROWS, MOST_HOT = 50_000, 1_000
 
 
-class SharedStore:
+class SharedStore(TableStore):
     """Named intermediate tables of one operator call."""
 
-    def __init__(self, spark: SparkSession, label: str):
-        self.spark = spark
-        self.root = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
-
-    def write(self, df: DataFrame, name: str) -> DataFrame:
-        path = f"{self.root}/{name}"
-        df.write.mode("overwrite").parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
-
-    def drop(self, *names: str) -> None:
-        for name in names:
-            self._delete(f"{self.root}/{name}")
-
-    def _delete(self, path: str) -> None:
-        jvm = self.spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
     def release(self) -> None:
         """Let Spark's cleaner remove shuffle files of finished phases."""
         gc.collect()
         self.spark.sparkContext._jvm.System.gc()
+
+
+def spread_join(left: DataFrame, right: DataFrame, keys: list[str], rows: str, row: list[str | Column], how: str = "inner") -> DataFrame:
+    """``left`` joined to ``right`` on ``keys``, hot keys dealt over many tasks.
+
+    ``right`` (read three times: pass a written table) has one row a key and, in column
+    ``rows``, how many rows of ``left`` hold it. A key with more than a bound of rows has its
+    right row copied once for each so many rows, and a left row takes the copy its ``row``
+    columns hash to. The bound is at least a ``MOST_HOT``-th of all rows, so that the
+    broadcast list of hot keys never has more than ``MOST_HOT`` entries.
+    """
+    total = right.agg(F.sum(rows)).first()[0] or 0
+    bound = max(KEY_ROWS, total // MOST_HOT)
+    if not right.where(F.col(rows) > bound).take(1):
+        return left.join(right, keys, how)
+    copies = F.ceil(F.col(rows) / F.lit(bound)).cast("int")
+    hot = right.where(F.col(rows) > bound).select(*keys, copies.alias("_copies"))
+    salt = F.coalesce(F.pmod(F.xxhash64(*row), F.col("_copies")), F.lit(0)).cast("int")
+    salted = left.join(F.broadcast(hot), keys, "left").withColumn("_salt", salt).drop("_copies")
+    copied = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), copies - 1)))
+    return salted.join(copied, [*keys, "_salt"], how).drop("_salt")

@@ -15,36 +15,43 @@ def digest(data):
 
 
 def substring(docs, window=13):
-    """{doc_id: (n_words, n_removed, kept_sha256)}"""
-    first, split = {}, {k: words(t) for k, t in docs.items()}
-    for k in sorted(split):
-        w = split[k]
+    """[(doc_id, n_words, n_removed, kept_sha256)] of a list of (doc_id, text)."""
+    first = {}
+    for k, t in docs:
+        w = words(t)
         for i in range(len(w) - window + 1):
-            first.setdefault(tuple(w[i : i + window]), k)
-    out = {}
-    for k, w in split.items():
-        gone = set()
+            if k is not None:
+                first[tuple(w[i : i + window])] = min(k, first.get(tuple(w[i : i + window]), k))
+    out = []
+    for k, t in docs:
+        w, gone = words(t), set()
         for i in range(len(w) - window + 1):
-            if first[tuple(w[i : i + window])] < k:
+            if k is not None and first[tuple(w[i : i + window])] < k:
                 gone.update(range(i, i + window))
-        out[k] = (len(w), len(gone), digest(b" ".join(x for i, x in enumerate(w) if i not in gone)))
+        out.append((k, len(w), len(gone), digest(b" ".join(x for i, x in enumerate(w) if i not in gone))))
     return out
 
 
-def cut_bytes(docs, length=400):
-    """{doc_id: (kept bytes, n_spans)}; docs is a list of (doc_id, text)."""
+def cut_bytes(docs, length=400, min_words=0, sure=400):
+    """[(kept bytes, n_spans)] of a list of (doc_id, text); runs under ``sure`` bytes need ``min_words`` words."""
     seen = Counter()
     for _, t in docs:
         raw = (t or "").encode()
         seen.update(raw[i : i + length] for i in range(len(raw) - length + 1))
-    out = {}
-    for k, t in docs:
-        raw, gone = (t or "").encode(), set()
+    out = []
+    for _, t in docs:
+        raw, runs = (t or "").encode(), []
         for i in range(len(raw) - length + 1):
             if seen[raw[i : i + length]] > 1:
-                gone.update(range(i, i + length))
-        spans = sum(1 for g in gone if g - 1 not in gone)
-        out[k] = (bytes(b for i, b in enumerate(raw) if i not in gone), spans)
+                if runs and i <= runs[-1][1]:
+                    runs[-1][1] = i + length
+                else:
+                    runs.append([i, i + length])
+        runs = [(a, b) for a, b in runs if b - a >= sure or len(raw[a:b].split()) >= min_words]
+        kept, at = b"", 0
+        for a, b in runs:
+            kept, at = kept + raw[at:a], b
+        out.append((kept + raw[at:], len(runs)))
     return out
 
 

@@ -1,6 +1,7 @@
 """Quality rules, substring and suffix-array removal, Jaccard join, pipeline, against brute force."""
 
 import random
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -47,6 +48,22 @@ def frame(spark, docs):
     return spark.createDataFrame(list(docs.items()), "doc_id long, text string").repartition(5).cache()
 
 
+def rows_of(docs):
+    """The documents and rows that repeat an id (with the same text, another, none), or have none."""
+    more = [(5, "other " * 3 + docs[60]), (None, docs[58]), (None, "z" * 900), (3, None), (3, docs[3]), (58, docs[58])]
+    return list(docs.items()) + more
+
+
+@pytest.fixture(scope="module")
+def messy(spark, docs, tmp_path_factory):
+    """(folder, rows) with null and repeated ids and clashing column names."""
+    rows = rows_of(docs)
+    folder = str(tmp_path_factory.mktemp("messy"))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    df.selectExpr("doc_id", "'x' as h", "text", "1 as starts", "2 as _row", "'s' as sid").write.parquet(f"{folder}/documents.parquet")
+    return folder, rows
+
+
 def empty(spark):
     return spark.createDataFrame([], "doc_id long, text string")
 
@@ -67,13 +84,12 @@ def test_quality_verdicts(spark):
     assert quality.kept_documents(empty(spark)).count() == 0
 
 
-def test_substring(spark, frame, docs):
-    spans = substring.removal_spans(frame, SharedStore(spark, "t"))
-    out = frame.join(spans, "doc_id", "left").select("doc_id", "text", "starts", "counts")
-    want = brute.substring(docs)
-    for r in out.collect():
-        n, rest = substring._kept_words(r.text, r.starts, r.counts, 13)
-        assert (n, n - len(rest), brute.digest(b" ".join(rest))) == want[r.doc_id], r.doc_id
+@pytest.mark.parametrize("shard", [60_000, 100, 20])
+def test_substring(spark, messy, monkeypatch, shard):
+    monkeypatch.setattr(substring, "SHARD_WORDS", shard)
+    folder, rows = messy
+    got = [tuple(r) for r in substring.op4_suffix_automata_dedup(spark, folder).collect()]
+    assert Counter(got) == Counter(brute.substring(rows))
     assert substring.removal_spans(empty(spark), SharedStore(spark, "t")).count() == 0
 
 
@@ -103,23 +119,67 @@ def test_suffix_intervals():
         assert [f.tolist() for f in flags] == [[count[b[i : i + 6]] > 1 for i in range(len(b) - 5)] for b in blocks]
 
 
-@pytest.mark.parametrize("length", [40, 400])
-def test_suffix_removal(spark, frame, docs, length):
-    want = brute.cut_bytes(list(docs.items()), length)
-    out = suffix_dedup.remove_repeats(frame, length)
-    for r in out.collect():
-        kept = want[r.doc_id][0].decode("utf-8", errors="ignore")
-        assert (r.text or "") == kept, r.doc_id
+@pytest.mark.parametrize(("length", "shard", "spreads"), [(40, 10**6, (16, 1)), (40, 500, (5, 2, 1)), (400, 10**6, (16, 1)), (400, 500, (16, 1)), (400, 500, (1,))])
+def test_suffix_removal(spark, messy, monkeypatch, length, shard, spreads):
+    monkeypatch.setattr(suffix_dedup, "SHARD_BYTES", shard)
+    monkeypatch.setattr(suffix_dedup, "SPREADS", spreads)
+    folder, rows = messy
+    df = spark.read.parquet(f"{folder}/documents.parquet")
+    out = suffix_dedup.remove_repeats(df, length)
+    assert out.schema == df.schema
+    want = [(k, None if t is None else x.decode("utf-8", errors="ignore")) for (k, t), (x, _) in zip(rows, brute.cut_bytes(rows, length))]
+    assert Counter((r.doc_id, r.text) for r in out.collect()) == Counter(want)
     assert suffix_dedup.remove_repeats(empty(spark), length).count() == 0
 
 
-def test_suffix_digest(spark, tmp_path, frame, docs):
-    frame.write.parquet(str(tmp_path / "documents.parquet"))
-    want = brute.cut_bytes(list(docs.items()))
-    for r in suffix_dedup.op9_suffix_interval_dedup(spark, str(tmp_path)).collect():
-        kept, spans = want[r.doc_id]
-        size = len((docs[r.doc_id] or "").encode())
-        assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (size, size - len(kept), spans, brute.digest(kept))
+def test_passages_by_words(spark, docs):
+    rows = list(docs.items())
+    out = suffix_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), 60, 20, 150)
+    want = {k: x.decode("utf-8", errors="ignore") for (k, _), (x, _) in zip(rows, brute.cut_bytes(rows, 60, 20, 150))}
+    assert {r.doc_id: r.text or "" for r in out.collect()} == want
+
+
+def test_suffix_digest(spark, messy):
+    folder, rows = messy
+    got = [tuple(r) for r in suffix_dedup.op9_suffix_interval_dedup(spark, folder).collect()]
+    sizes = [len((t or "").encode()) for _, t in rows]
+    want = [(k, n, n - len(x), spans, brute.digest(x)) for (k, _), n, (x, spans) in zip(rows, sizes, brute.cut_bytes(rows))]
+    assert Counter(got) == Counter(want)
+
+
+def test_common_line_in_many_surroundings(spark, monkeypatch):
+    """One line in every text, surroundings all different, some texts sharing a little around it."""
+    monkeypatch.setattr(suffix_dedup, "SHARD_BYTES", 2_000)
+    monkeypatch.setattr(substring, "SHARD_WORDS", 200)
+    rng = random.Random(11)
+    make = lambda n: " ".join(rng.choice(VOCAB) for _ in range(n))
+    line, near = make(40), [make(6) for _ in range(3)]
+    rows = [(i, f"{make(20)} {rng.choice(near)} {line} {rng.choice(near)} {make(20)}") for i in range(120)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    out = {r.doc_id: r.text for r in suffix_dedup.remove_repeats(df, 120).collect()}
+    assert out == {k: x.decode("utf-8", errors="ignore") for (k, _), (x, _) in zip(rows, brute.cut_bytes(rows, 120))}
+    spans = substring.removal_spans(df, SharedStore(spark, "t"))
+    got = {r.doc_id: substring._kept_words(r.text, r.starts, r.counts, 13) for r in df.join(spans, "doc_id", "left").collect()}
+    assert {(k, n, n - len(w), brute.digest(b" ".join(w))) for k, (n, w) in got.items()} == set(brute.substring(rows))
+
+
+def thue_morse(a, b, bits):
+    return [(a, b)[i.bit_count() & 1] for i in range(1 << bits)], [(b, a)[i.bit_count() & 1] for i in range(1 << bits)]
+
+
+def test_structured_texts(spark):
+    """Strings whose polynomial hashes agree modulo a power of two are still told apart."""
+    one, two = ("".join(w) for w in thue_morse("a", "b", 11))
+    left, right = (" ".join(w) for w in thue_morse("w", "v", 11))
+    rows = [(1, "x y z " + one), (2, "x y z " + two), (3, left), (4, right), (5, one + " u v"), (6, two + " u v")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = jaccard_join.jaccard_components(df, SharedStore(spark, "t"))
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got.collect()} == brute.jaccard(dict(rows))
+    out = {r.doc_id: r.text for r in suffix_dedup.remove_repeats(df).collect()}
+    assert out == {k: x.decode() for (k, _), (x, _) in zip(rows, brute.cut_bytes(rows))}
+    spans = substring.removal_spans(df, SharedStore(spark, "t"))
+    kept = {r.doc_id: substring._kept_words(r.text, r.starts, r.counts, 13) for r in df.join(spans, "doc_id", "left").collect()}
+    assert {(k, n, n - len(w), brute.digest(b" ".join(w))) for k, (n, w) in kept.items()} == set(brute.substring(rows))
 
 
 def test_jaccard(spark, frame, docs):
@@ -164,7 +224,7 @@ def test_anchors_follow_content():
     for data in (one, two):
         prefix = bh.Buffer(data, np.array([0, len(data)]), 0).prefix()
         at = np.arange(len(data) - 7)
-        b = anchors.find_blocks(bh.range_hash(prefix, at, at + 8), prefix, np.array([0, len(data)]), 30, 8)
+        b = anchors.find_blocks(bh.range_hash(prefix, at, at + 8), data, np.array([0, len(data)]), 30, 8)
         assert b.count.sum() == len(data) - 29
         found = {}
         for s, c, a in zip(b.start.tolist(), b.count.tolist(), b.anchor.tolist()):
