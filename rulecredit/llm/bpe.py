@@ -3,9 +3,9 @@
 :class:`ExactEncoder` returns, for a whole text, the ids of ``tokenizers`` as
 little-endian unsigned 32-bit bytes. The byte-level scheme never merges across
 pre-token borders, so a text's ids are its pre-tokens' ids in a row; pre-tokens
-repeat a lot, so each worker keeps a bounded memo from pre-token to ids.
-Texts with characters whose class could differ between Unicode versions, and
-texts that hold a special token's string, go to the library whole.
+repeat a lot, so each worker keeps a bounded memo from pre-token to ids. Where a text has
+characters whose class could differ between Unicode versions, the library splits it.
+Texts that hold a special token's string go to the library whole.
 
 ``load`` checks the tokenizer file against the fast path's assumptions (byte-level
 pre-tokenizer with the usual pattern, merges in id order, no normaliser); with any
@@ -117,11 +117,21 @@ class ExactEncoder:
             return None
         return {bytes(alphabet[c] for c in t): i for t, i in words.items()}
 
+    def in_pieces(self, text: str) -> bool:
+        """Whether the text's ids are its pre-tokens' ids in a row."""
+        return self.memo is not None and not any(s in text for s in self.special)
+
+    def split(self, text: str) -> list[str]:
+        """The text's pre-tokens, in order."""
+        if SAFE.fullmatch(text):
+            return SPLIT.findall(text)
+        return [text[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(text)]
+
     def encode(self, text: str) -> bytes:
         """Ids of a whole text as little-endian uint32 bytes."""
-        if self.memo is not None and SAFE.fullmatch(text) and not any(s in text for s in self.special):
+        if self.in_pieces(text):
             memo = self.memo
-            return b"".join(map(memo.__getitem__, SPLIT.findall(text)))
+            return b"".join(map(memo.__getitem__, self.split(text)))
         return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def decode(self, ids: np.ndarray) -> str:

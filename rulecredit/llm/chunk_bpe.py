@@ -1,19 +1,22 @@
 """BPE encoding with reuse of content-defined chunks.
 
-1. ``affinity``: a rolling hash cuts each text into chunks wherever 32 bytes hash to
-   a multiple of about 1,000; the smallest chunk hash is the text's affinity key.
-2. The texts are rebalanced by that key, so texts that share chunks meet in a task
-   (a hot key's partition is split again by Spark, which only costs reuse).
-3. A task encodes each distinct chunk once (bounded memo). At each chunk join the
-   last pre-tokens of the left chunk are dropped and the text is re-encoded until a
-   pre-token border agrees with one of the right chunk; from there on both
-   encodings are the same, so the whole text's ids are exact.
-
-Decoding maps ids back to bytes and decodes as the library does.
-
-Defined results: null and empty texts have no ids; texts outside the encoder's safe
-character range and texts with special tokens go to the library whole; repeated rows
-are encoded alike; an empty table gives an empty result.
+1. A rolling hash cuts each text into chunks wherever 32 bytes hash to a multiple of about
+   1,000, so equal passages are cut alike wherever they stand; a text without a cut is one chunk.
+   A first pass writes each chunk's place and 128-bit key.
+2. A key that occurs twice or more is a shared chunk. Its first occurrence is encoded, once for
+   all documents; the ids go, with the pre-token borders near both ends, to every text that holds it.
+3. A text is encoded from left to right: shared chunks bring their ids, others are encoded
+   where they stand. At each chunk join the last pre-tokens of the left chunk are dropped
+   and the text is re-encoded until a pre-token border agrees with one of the right
+   chunk; from there on both encodings are the same, as the pre-tokenizer looks ahead only. If none
+   agrees near the join, the right chunk is encoded with it. So the whole text's ids are exact.
+
+Texts travel compressed. Decoding maps ids back to bytes and decodes as the library does.
+
+Defined results: null and empty texts have no ids; texts with a special token's string go
+to the library whole; every row is a text of its own, whatever ids repeat or are null; repeated rows
+are encoded alike; a very long text is one row of one task and many chunks; an empty table
+gives an empty result; columns other than the two named are not read; ties cannot arise.
 """
 
 from __future__ import annotations
@@ -22,15 +25,23 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from rulecredit.llm import anchors
 from rulecredit.llm import bytehash as bh
-from rulecredit.llm.bpe import SAFE, SPLIT, ExactEncoder, default_path, load, sha256
-from rulecredit.llm.runtime import ship
+from rulecredit.llm.bpe import ExactEncoder, default_path, load, sha256
+from rulecredit.llm.runtime import SharedStore, ship, spread_join
 
 GRAM, MEAN_CHUNK, MIN_CHUNK = 32, 1024, 256
-MEMO_BYTES = 48 << 20
+#: Pre-tokens whose borders are known at a chunk's start and end, and characters of the right chunk a join may re-encode.
+HEAD, TAIL, LOOK = 24, 4, 256
+#: Pre-tokens at a chunk's end that following text may change: a blank run, or a contraction's parts.
+UNSURE = 3
+
+CHUNKS = "doc_id long, h long, at int, size int, k1 long, k2 long"
 
 
 def cut_points(buf: bh.Buffer) -> list[np.ndarray]:
@@ -64,153 +75,191 @@ def cut_points(buf: bh.Buffer) -> list[np.ndarray]:
 
 
 class Chunk:
-    """A chunk's own encoding: characters, pre-token borders, and ids (4 bytes each) with their borders."""
+    """A chunk's own encoding: ids (4 bytes each), pre-tokens, and (character, id) places of the borders near its ends."""
+
+    __slots__ = ("n", "head", "tail", "ids")
 
-    __slots__ = ("text", "borders", "index", "ids", "ends")
+    def __init__(self, n: int, head: list[tuple[int, int]], tail: list[tuple[int, int]], ids: bytes):
+        self.n, self.head, self.tail, self.ids = n, head, tail, ids
 
-    def __init__(self, text: str, encoder: ExactEncoder):
-        pieces = SPLIT.findall(text)
+    @staticmethod
+    def of(text: str, encoder: ExactEncoder) -> Chunk:
+        pieces = encoder.split(text)
         coded = [encoder.memo[p] for p in pieces]
-        self.text = text
-        self.borders = [0]
-        self.ends = [0]
-        at = done = 0
+        places, at, done = [(0, 0)], 0, 0
         for p, c in zip(pieces, coded):
             at += len(p)
             done += len(c)
-            self.borders.append(at)
-            self.ends.append(done)
-        self.index = None
-        self.ids = b"".join(coded)
+            places.append((at, done))
+        return Chunk(len(pieces), places[: HEAD + 1], places[-TAIL - 1 :], b"".join(coded))
 
-    def where(self) -> dict[int, int]:
-        if self.index is None:
-            self.index = {b: i for i, b in enumerate(self.borders)}
-        return self.index
+    def place(self, i: int) -> tuple[int, int]:
+        """(character, id) where pre-token i starts; i near an end."""
+        return self.head[i] if i < len(self.head) else self.tail[i - self.n - 1]
 
+    def pack(self) -> bytes:
+        numbers = [self.n, len(self.head), len(self.tail), *(x for p in self.head + self.tail for x in p)]
+        return np.array(numbers, "<u4").tobytes() + self.ids
 
-class ChunkEncoder:
-    #: Pre-tokens at a chunk's end that following text may change: a blank run, or a contraction's parts.
-    UNSURE = 3
+    @staticmethod
+    def unpack(raw: bytes) -> Chunk:
+        n, head, tail = np.frombuffer(raw, "<u4", 3).tolist()
+        places = list(map(tuple, np.frombuffer(raw, "<u4", 2 * (head + tail), 12).reshape(-1, 2).tolist()))
+        return Chunk(n, places[:head], places[head:], raw[12 + 8 * (head + tail) :])
 
+
+class ChunkEncoder:
     def __init__(self, encoder: ExactEncoder):
         self.encoder = encoder
-        self.memo: dict[bytes, Chunk] = {}
-        self.held = 0
-        self.encoded = self.reused = 0
+        self.encoded = self.reused = self.joined = 0
 
-    def chunk(self, raw: bytes) -> Chunk:
-        hit = self.memo.get(raw)
-        if hit is not None:
-            self.reused += 1
-            return hit
-        self.encoded += 1
-        made = Chunk(raw.decode(), self.encoder)
-        if self.held > MEMO_BYTES:
-            self.memo.clear()
-            self.held = 0
-        self.held += len(raw) * 6 + 40 * len(made.borders)
-        self.memo[raw] = made
-        return made
-
-    def encode(self, raw: bytes, cuts: np.ndarray) -> bytes:
-        text = raw.decode()
-        if self.encoder.memo is None or len(cuts) == 0 or not SAFE.fullmatch(text) or any(s in text for s in self.encoder.special):
-            return self.encoder.encode(text)
+    def encode(self, raw: bytes, cuts: np.ndarray, known: dict[int, bytes] | None = None) -> bytes:
+        """Ids of a text cut at ``cuts``; ``known``: packed chunks by their start."""
+        known = known or {}
+        if not self.encoder.in_pieces(raw.decode()):
+            return self.encoder.encode(raw.decode())
         bounds = [0, *cuts.tolist(), len(raw)]
-        chunks = [self.chunk(raw[a:b]) for a, b in zip(bounds, bounds[1:])]
         out: list[bytes] = []
-        memo = self.encoder.memo
-        left, start = chunks[0], 0  # the chunk being emitted, from its piece number `start`
-        pending = ""  # text before `left` that no emitted ids cover
-        for right in chunks[1:]:
-            keep = max(start, len(left.borders) - 1 - self.UNSURE)
-            out.append(left.ids[left.ends[start] : left.ends[keep]])
-            pending = left.text[left.borders[keep] :]
-            # re-encode the join until a border agrees with one of the right chunk
-            size = len(pending)
-            joined = pending + right.text
-            where, at, agreed = right.where(), 0, None
-            fresh: list[bytes] = []
-            for m in SPLIT.finditer(joined):
-                if m.end() == len(joined):  # the right chunk ended before an agreement
-                    break
-                at = m.end()
-                fresh.append(memo[m.group()])
-                agreed = where.get(at - size) if at >= size else None
-                if agreed is not None:
-                    break
-            if agreed is not None and agreed <= len(right.borders) - 1 - self.UNSURE:
+        left, text, start = self._chunk(raw, 0, bounds[1], known), raw[: bounds[1]].decode(), 0
+        for a, b in zip(bounds[1:], bounds[2:]):
+            right, right_text = self._chunk(raw, a, b, known), raw[a:b].decode()
+            keep = max(start, left.n - UNSURE)
+            (at, done), begun = left.place(keep), left.place(start)[1]
+            out.append(left.ids[begun:done])
+            fresh, agreed = self._join(text[at:], right, right_text)
+            if agreed is None:  # no agreement in time: the join and the right chunk become one chunk
+                text = text[at:] + right_text
+                left, start = Chunk.of(text, self.encoder), 0
+                self.joined += 1
+            else:
                 out.extend(fresh)
-                left, start = right, agreed
-            else:  # no agreement in time: the join and the right chunk become one chunk
-                left, start = Chunk(joined, self.encoder), 0
-        out.append(left.ids[left.ends[start] :])
+                left, text, start = right, right_text, agreed
+        out.append(left.ids[left.place(start)[1] :])
         return b"".join(out)
 
+    def _chunk(self, raw: bytes, a: int, b: int, known: dict[int, bytes]) -> Chunk:
+        if a in known:
+            self.reused += 1
+            return Chunk.unpack(known[a])
+        self.encoded += 1
+        return Chunk.of(raw[a:b].decode(), self.encoder)
+
+    def _join(self, pending: str, right: Chunk, right_text: str) -> tuple[list[bytes], int | None]:
+        """Ids from the pending text on up to the first border that agrees with one of ``right``, and that border's pre-token."""
+        size, at = len(pending), 0
+        where = {p[0]: i for i, p in enumerate(right.head)}
+        fresh: list[bytes] = []
+        for piece in self.encoder.split(pending + right_text[:LOOK])[:-UNSURE]:
+            at += len(piece)
+            fresh.append(self.encoder.memo[piece])
+            agreed = where.get(at - size) if at >= size else None
+            if agreed is not None:
+                return fresh, agreed if agreed <= right.n - UNSURE else None
+        return fresh, None
+
+
+def _chunk_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """CHUNKS of rows (doc_id, h, text)."""
+    for batch in batches:
+        for buf in bh.slices(batch.column(2)):
+            rows: list[int] = []
+            cols: tuple[list, list, list, list] = ([], [], [], [])
+            for i, cuts in enumerate(cut_points(buf)):
+                raw = buf.text(i)
+                if not raw:
+                    continue
+                bounds = [0, *cuts.tolist(), len(raw)]
+                for a, b in zip(bounds, bounds[1:]):
+                    key = xxhash.xxh3_128_intdigest(raw[a:b])
+                    rows.append(buf.first + i)
+                    for col, v in zip(cols, (a, b - a, key >> 64, key & (1 << 64) - 1)):
+                        col.append(v)
+            at = pa.array(rows, pa.int64())
+            keys = [pa.array(bh.signed(np.array(c, np.uint64))) for c in cols[2:]]
+            sizes = [pa.array(c, pa.int32()) for c in cols[:2]]
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), *sizes, *keys], ["doc_id", "h", "at", "size", "k1", "k2"])
+
 
 def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, affinity, packed text)"""
+    """(doc_id, h, compressed text)"""
     zip_ = zstandard.ZstdCompressor(level=1)
     for batch in batches:
-        ids, column = batch.column(0), batch.column(1)
-        for buf in bh.slices(column):
-            cuts = cut_points(buf)
-            prefix = buf.prefix()
-            n = len(cuts)
-            keys = np.zeros(n, np.uint64)
-            for i, c in enumerate(cuts):
-                bounds = np.concatenate([[0], c, [buf.offs[i + 1] - buf.offs[i]]]).astype(np.int64) + buf.offs[i]
-                keys[i] = bh.range_hash(prefix, bounds[:-1], bounds[1:]).min()
-            packed = [zip_.compress(buf.text(i)) for i in range(n)]
-            yield pa.RecordBatch.from_arrays(
-                [ids.slice(buf.first, n), pa.array(bh.signed(keys)), pa.array(packed, pa.binary())],
-                ["doc_id", "affinity", "packed"],
-            )
+        packed = [zip_.compress((t or "").encode()) for t in batch.column(2).to_pylist()]
+        yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(packed, pa.binary())], ["doc_id", "h", "packed"])
 
 
-def _digest(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    encoder = ChunkEncoder(load(path))
-    unzip = zstandard.ZstdDecompressor()
+def _encode_shared(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(k1, k2, code) of rows (doc_id, h, packed, want); equal rows in a row count once."""
+    encoder, unzip, last = load(path), zstandard.ZstdDecompressor(), None
     for batch in batches:
-        raws = [unzip.decompress(x) for x in batch.column(2).to_pylist()]
         cols: tuple[list, list, list] = ([], [], [])
+        for doc, h, packed, want in zip(*(c.to_pylist() for c in batch.columns)):
+            if (doc, h) == last:
+                continue
+            last = (doc, h)
+            raw = unzip.decompress(packed)
+            if not encoder.in_pieces(raw.decode()):
+                continue  # the library takes such texts whole
+            for w in want:
+                cols[0].append(w["k1"])
+                cols[1].append(w["k2"])
+                cols[2].append(Chunk.of(raw[w["at"] : w["at"] + w["size"]].decode(), encoder).pack())
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.binary()))], ["k1", "k2", "code"])
+
+
+def _encoded(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, ExactEncoder, list[np.ndarray]]]:
+    """Each batch of (doc_id, packed, held) with its texts' ids."""
+    encoder, unzip = ChunkEncoder(load(path)), zstandard.ZstdDecompressor()
+    for batch in batches:
+        raws = [unzip.decompress(x) for x in batch.column(1).to_pylist()]
+        held, ids = batch.column(2), []
         for buf in bh.slices(pa.array(raws, pa.binary())):
             for i, cuts in enumerate(cut_points(buf)):
-                ids = np.frombuffer(encoder.encode(buf.text(i), cuts), "<u4")
-                cols[0].append(len(ids))
-                cols[1].append(sha256(encoder.encoder.ids_text(ids).encode()))
-                cols[2].append(sha256(encoder.encoder.decode(ids).encode()))
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.string())],
-            ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],
+                known = {w["at"]: w["code"] for w in held[buf.first + i].as_py() or ()}
+                ids.append(np.frombuffer(encoder.encode(buf.text(i), cuts, known), "<u4"))
+        yield batch, encoder.encoder, ids
+
+
+def _digest(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch, encoder, ids in _encoded(path, batches):
+        cols = (
+            pa.array([len(x) for x in ids], pa.int64()),
+            pa.array([sha256(encoder.ids_text(x).encode()) for x in ids], pa.string()),
+            pa.array([sha256(encoder.decode(x).encode()) for x in ids], pa.string()),
         )
+        yield pa.RecordBatch.from_arrays([batch.column(0), *cols], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
 
 def _ids(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    encoder = ChunkEncoder(load(path))
-    unzip = zstandard.ZstdDecompressor()
-    for batch in batches:
-        raws = [unzip.decompress(x) for x in batch.column(2).to_pylist()]
-        for buf in bh.slices(pa.array(raws, pa.binary())):
-            rows = [np.frombuffer(encoder.encode(buf.text(i), c), "<u4").astype(np.int32) for i, c in enumerate(cut_points(buf))]
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0).slice(buf.first, len(rows)), pa.array(rows, pa.list_(pa.int32()))], ["doc_id", "ids"]
-            )
+    for batch, _, ids in _encoded(path, batches):
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32()))], ["doc_id", "ids"])
 
 
-def _gathered(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
+def _with_shared(docs: DataFrame, path: str, store: SharedStore, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, packed, held): every text with the encodings of its shared chunks."""
     ship(docs.sparkSession)
-    packed = docs.selectExpr(f"cast(`{doc_id}` as long) as doc_id", f"`{text}` as text").mapInArrow(
-        _pack, "doc_id long, affinity long, packed binary"
-    )
-    return packed.hint("rebalance", "affinity")
+    texts = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
+    texts = texts.select("doc_id", F.xxhash64("text").alias("h"), "text")
+    packed = texts.mapInArrow(_pack, "doc_id long, h long, packed binary")
+    chunks = texts.where("text <> ''").mapInArrow(_chunk_rows, CHUNKS).dropDuplicates(["doc_id", "h", "at"])
+    chunks = store.write(chunks, "chunks")
+    keys = chunks.groupBy("k1", "k2").agg(F.count("*").alias("rows"), F.min(F.struct("doc_id", "h", "at", "size")).alias("first")).where("rows > 1")
+    keys = store.write(keys.select("k1", "k2", "rows", "first.*"), "keys")
+    wanted = keys.groupBy("doc_id", "h").agg(F.collect_list(F.struct("at", "size", "k1", "k2")).alias("want"))
+    first = packed.join(wanted, anchors.same_row(packed, wanted)).select(packed["doc_id"], packed["h"], "packed", "want")
+    codes = first.mapInArrow(lambda it: _encode_shared(path, it), "k1 long, k2 long, code binary").dropDuplicates(["k1", "k2"])
+    codes = store.write(codes.join(keys.select("k1", "k2", "rows"), ["k1", "k2"]), "codes")
+    store.release()
+    places = spread_join(chunks.select("doc_id", "h", "at", "k1", "k2"), codes, ["k1", "k2"], "rows", ["doc_id", "h", "at"])
+    held = places.groupBy("doc_id", "h").agg(F.collect_list(F.struct("at", "code")).alias("held"))
+    return packed.join(held, anchors.same_row(packed, held), "left").select(packed["doc_id"], "packed", "held")
 
 
 def encode_documents(docs: DataFrame, path: str | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, ids): the exact ids of every text."""
     where = path or default_path()
-    return _gathered(docs, doc_id, text).mapInArrow(lambda it: _ids(where, it), "doc_id long, ids array<int>")
+    rows = _with_shared(docs, where, SharedStore(docs.sparkSession, "chunks"), doc_id, text)
+    return rows.mapInArrow(lambda it: _ids(where, it), "doc_id long, ids array<int>")
 
 
 def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
@@ -231,4 +280,4 @@ def op1_bpe_chunk_reuse(spark: SparkSession, sf_dir: str, path: str | None = Non
     where = path or default_path()
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    return _gathered(docs, "doc_id", "text").mapInArrow(lambda it: _digest(where, it), schema)
+    return _with_shared(docs, where, SharedStore(spark, "chunks")).mapInArrow(lambda it: _digest(where, it), schema)

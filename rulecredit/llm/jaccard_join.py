@@ -22,9 +22,17 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
 The result is the exact components, not the linked pairs: two sets already in one group are
 not tested against each other, so links inside a group are neither listed nor counted.
 
+Lists of one shingle may hold a large part of all sets. Those of shingles that the sketch
+calls frequent are dealt by set as well, what a list needs to know of itself comes from
+aggregates with map-side combine, and joins on it spread its rows (:func:`runtime.spread_join`).
+
 Defined results: null and blank texts have empty sets and stay alone; texts under five
 words are one shingle; repeated rows and ties share a component, named by its smallest
-doc_id; an empty table gives an empty result.
+doc_id; every row is a text of its own, so rows that repeat an id with another text have that
+id and each the component of its text; a row without an id links as any other, and a
+component of such rows only has no name (null); a very long text is one row of one task and
+otherwise like all others; an empty table gives an empty result; columns other than doc_id
+and text are not read, and :func:`one_per_component` passes them on whatever their names.
 """
 
 from __future__ import annotations
@@ -38,9 +46,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rulecredit.llm import anchors
 from rulecredit.llm import bytehash as bh
 from rulecredit.llm.components import connected_components
-from rulecredit.llm.runtime import SharedStore, ship
+from rulecredit.llm.runtime import SharedStore, ship, spread_join
 
 WIDTH = 5
 #: Counting sketch: cells, and the shares of texts from which a cell is reported by a task, and is frequent.
@@ -53,6 +62,8 @@ CHUNK, BLOCK = 64, 1024
 FINE_CELLS = 2048
 #: Tasks over which lists with the same smallest set are spread.
 LIST_TASKS = 8
+#: Sets of a frequent shingle's list in one task when lists are made, about; sets a task remembers as seen.
+DEALT_SETS, SEEN_SETS = 50_000, 200_000
 #: Rounds that check each set against one leader before the exhaustive one.
 LEADER_ROUNDS = 3
 
@@ -195,7 +206,7 @@ def _pair_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """kind 0: (doc_id, set size, set key, parity bits); kind 1: (sketch cell, texts in it), at a task's end."""
+    """Of rows (doc_id, h, text): kind 0, (doc_id, h, set size, set key, parity bits); at a task's end kind 1, (sketch cell, texts in it)."""
     cells = np.zeros(CELLS, np.int32)
     texts = 0
     for b in batches:
@@ -203,7 +214,7 @@ def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits: list[bytes] = [b""] * b.num_rows
         held: list[np.ndarray] = []
         waiting = 0
-        for i, t in shingle_sets(b.column(1)):
+        for i, t in shingle_sets(b.column(2)):
             if len(t):
                 size[i], key[i], bits[i] = len(t), set_key(t), parity_bits(t)
                 held.append(t)
@@ -215,24 +226,24 @@ def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if held:
             cells += np.bincount((np.concatenate(held) & bh.U(CELLS - 1)).astype(np.int64), minlength=CELLS).astype(np.int32)
         kind = pa.array(np.zeros(b.num_rows, np.int32))
-        cols = [kind, b.column(0), pa.array(size), pa.array(key), pa.array(bits, pa.binary())]
-        yield pa.RecordBatch.from_arrays(cols, ["kind", "id", "n", "sid", "bits"])
+        cols = [kind, b.column(0), b.column(1), pa.array(size), pa.array(key), pa.array(bits, pa.binary())]
+        yield pa.RecordBatch.from_arrays(cols, ["kind", "id", "h", "n", "sid", "bits"])
     hot = np.flatnonzero(cells >= max(4, TASK_SHARE * texts))
     yield pa.RecordBatch.from_arrays(
         [
             pa.array(np.ones(len(hot), np.int32)),
             pa.array(hot),
+            pa.array(np.zeros(len(hot), np.int64)),
             pa.array(cells[hot].astype(np.int64)),
             pa.array(np.zeros(len(hot), np.int64)),
             pa.nulls(len(hot), pa.binary()),
         ],
-        ["kind", "id", "n", "sid", "bits"],
+        ["kind", "id", "h", "n", "sid", "bits"],
     )
 
 
-
 def _prefix_rows(boundary: int, frequent: np.ndarray, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(token, sid, n, pos): list rows (pos >= 0) and subset rows (pos = -1) of each set new to the task."""
+    """(token, sid, n, pos, often): list rows (pos >= 0) and subset rows (pos = -1) of each set new to the task; ``often``: a frequent shingle."""
     seen: set[int] = set()
     low_heavy = -(-3 * boundary // 4)
     for b in batches:
@@ -241,15 +252,19 @@ def _prefix_rows(boundary: int, frequent: np.ndarray, batches: Iterator[pa.Recor
         sid: list[int] = []
         size: list[int] = []
         count: list[int] = []
+        often: list[np.ndarray] = []
 
-        def emit(t: np.ndarray, p: np.ndarray, s: int, n: int) -> None:
+        def emit(t: np.ndarray, p: np.ndarray, s: int, n: int, f: np.ndarray) -> None:
             tokens.append(t)
             pos.append(p)
+            often.append(f)
             sid.append(s)
             size.append(n)
             count.append(len(t))
 
-        for _, t in shingle_sets(b.column(1)):
+        if len(seen) > SEEN_SETS:
+            seen.clear()
+        for _, t in shingle_sets(b.column(0)):
             n = len(t)
             if not n:
                 continue
@@ -263,12 +278,12 @@ def _prefix_rows(boundary: int, frequent: np.ndarray, batches: Iterator[pa.Recor
                     keys = np.full(len(subsets), k, np.uint64)
                     for j in range(k):
                         keys = bh.mix(keys * bh.U(0x2545F4914F6CDD1D) + subsets[:, j])
-                    emit(keys, np.full(len(keys), -1, np.int32), s, n)
+                    emit(keys, np.full(len(keys), -1, np.int32), s, n, np.zeros(len(keys), bool))
             if n >= low_heavy:
                 late = frequent[(t & bh.U(CELLS - 1)).astype(np.int64)]
                 take = probe_length(n) if n >= boundary else index_length(n)
                 ordered = np.concatenate([t[~late], t[late]])[:take]
-                emit(ordered, np.arange(take, dtype=np.int32), s, n)
+                emit(ordered, np.arange(take, dtype=np.int32), s, n, np.arange(take) >= n - np.count_nonzero(late))
         if tokens:
             yield pa.RecordBatch.from_arrays(
                 [
@@ -276,8 +291,9 @@ def _prefix_rows(boundary: int, frequent: np.ndarray, batches: Iterator[pa.Recor
                     pa.array(np.repeat(np.array(sid, np.int64), count)),
                     pa.array(np.repeat(np.array(size, np.int32), count)),
                     pa.array(np.concatenate(pos)),
+                    pa.array(np.concatenate(often)),
                 ],
-                ["token", "sid", "n", "pos"],
+                ["token", "sid", "n", "pos", "often"],
             )
 
 
@@ -324,14 +340,14 @@ def filter_pairs(pairs: DataFrame, reps: DataFrame) -> DataFrame:
     return both.mapInArrow(_may_overlap, "x long, y long, near double")
 
 
-def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, turn: int) -> DataFrame:
+def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, turn: int, store: SharedStore) -> DataFrame:
     """(x, y): each set y with the nearest leader x of its lists (token, sid, n, pos, g) that may link.
 
     The first turn's leaders are the lists' smallest sets; later ones are drawn by hash.
     """
-    own = Window.partitionBy("token")
     order = F.col("n").cast("long") if turn == 0 else F.xxhash64("sid", F.lit(turn))
-    led = lists.withColumn("lead", F.min(F.struct(order.alias("o"), "sid", "n", "pos", "g")).over(own)).where("g <> lead.g")
+    heads = lists.groupBy("token").agg(F.min(F.struct(order.alias("o"), "sid", "n", "pos", "g")).alias("lead"), F.count("*").alias("rows"))
+    led = spread_join(lists, store.write(heads, f"heads{turn}"), ["token"], "rows", ["sid"]).where("g <> lead.g")
     ahead = (F.col("lead.n") < F.col("n")) | ((F.col("lead.n") == F.col("n")) & (F.col("lead.sid") < F.col("sid")))
     pick = lambda c, first: F.when(ahead if first else ~ahead, F.col(f"lead.{c}")).otherwise(F.col(c))
     small, large = ({c: pick(c, first) for c in ("n", "pos")} for first in (True, False))
@@ -343,11 +359,11 @@ def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, tu
     return best.select("best.x", "y")
 
 
-def pair_lists(lists: DataFrame, reps: DataFrame) -> DataFrame:
+def pair_lists(lists: DataFrame, reps: DataFrame, store: SharedStore) -> DataFrame:
     """Distinct pairs (x, y) of different groups within lists (token, sid, n, pos, g) that may link."""
-    own = Window.partitionBy("token")
-    sized = lists.withColumn("blocks", F.ceil(F.count("*").over(own) / F.lit(BLOCK)).cast("int")).withColumns(
-        {"lead": F.min("sid").over(own), "salt": F.pmod("token", F.lit(LIST_TASKS))}
+    heads = lists.groupBy("token").agg(F.min("sid").alias("lead"), F.count("*").alias("rows"))
+    sized = spread_join(lists, store.write(heads, "heads-rest"), ["token"], "rows", ["sid"]).withColumns(
+        {"blocks": F.ceil(F.col("rows") / F.lit(BLOCK)).cast("int"), "salt": F.pmod("token", F.lit(LIST_TASKS))}
     )
     dealt = sized.withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")).withColumn(
         "other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
@@ -361,28 +377,34 @@ def pair_lists(lists: DataFrame, reps: DataFrame) -> DataFrame:
     return ordered.mapInArrow(_pair_lists, "x long, y long").distinct()
 
 
-def verify_pairs(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
-    """The linked ones (a, b) of ``pairs`` (x, y). ``reps``: (sid, doc_id); ``docs``: (doc_id, text)."""
-    parts = F.ceil(F.count("*").over(Window.partitionBy("x")) / F.lit(CHUNK))
-    dealt = pairs.withColumn("part", F.pmod(F.xxhash64("y"), parts))
+def verify_pairs(pairs: DataFrame, reps: DataFrame, texts: DataFrame, store: SharedStore, name: str) -> DataFrame:
+    """The linked ones (a, b) of ``pairs`` (x, y). ``reps``: (sid, doc_id, h); ``texts``: (doc_id, h, text)."""
+    sizes = store.write(pairs.groupBy("x").agg(F.count("*").alias("rows")), f"sizes-{name}")
+    dealt = spread_join(pairs, sizes, ["x"], "rows", ["y"])
+    dealt = dealt.withColumn("part", F.pmod(F.xxhash64("y"), F.ceil(F.col("rows") / F.lit(CHUNK))))
     rows = dealt.select("x", "part", F.lit(1).alias("role"), F.col("y").alias("sid")).unionByName(
         dealt.select("x", "part").distinct().select("x", "part", F.lit(0).alias("role"), F.col("x").alias("sid"))
     )
-    wanted = rows.join(reps, "sid").select("doc_id", "x", "part", "role", "sid")
-    texts = docs.join(wanted.hint("shuffle_hash"), "doc_id").select("x", "part", "role", "sid", "text")
-    ordered = texts.repartition("x", "part").sortWithinPartitions("x", "part", "role")
+    wanted = rows.join(reps, "sid").select("doc_id", "h", "x", "part", "role", "sid")
+    found = texts.join(wanted, anchors.same_row(texts, wanted)).select("x", "part", "role", "sid", "text")
+    ordered = found.repartition("x", "part").sortWithinPartitions("x", "part", "role")
     return ordered.mapInArrow(_check, "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
-    """(doc_id, n_shingles, component_id) for every row of ``docs`` (doc_id, text)."""
+    """(doc_id, h, n_shingles, component_id, group) for every row of ``docs`` (doc_id, text).
+
+    ``h``: :func:`anchors.row_key`. ``group``: a key of the component, null for rows without shingles.
+    """
     spark = docs.sparkSession
     ship(spark)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    summary = store.write(texts.mapInArrow(_summary, "kind int, id long, n long, sid long, bits binary"), "summary")
-    members = summary.where("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), "sid")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), anchors.row_key().alias("h"), "text")
+    summary = store.write(texts.mapInArrow(_summary, "kind int, id long, h long, n long, sid long, bits binary"), "summary")
+    members = summary.where("kind = 0").select(F.col("id").alias("doc_id"), "h", F.col("n").alias("n_shingles"), "sid")
     own_sets = summary.where("kind = 0 and n > 0").groupBy("sid")
-    reps = store.write(own_sets.agg(F.min("id").alias("doc_id"), F.first("n").alias("n"), F.first("bits").alias("bits")), "reps")
+    place = F.min(F.struct("id", "h"))
+    reps = own_sets.agg(place.alias("at"), F.min("id").alias("low"), F.first("n").alias("n"), F.first("bits").alias("bits"))
+    reps = store.write(reps.select("sid", F.col("at.id").alias("doc_id"), "at.h", "low", "n", "bits"), "reps")
     sets = reps.count()
     small = reps.where(F.col("n") <= MAX_LIGHT).groupBy("n").agg(F.count("*").alias("c")).collect()
     boundary = choose_boundary({r["n"]: r["c"] for r in small})
@@ -394,67 +416,88 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
     frequent[[r["id"] for r in hot.collect()]] = True
     shared = spark.sparkContext.broadcast(np.packbits(frequent))
     if sets == 0:
-        return members.select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+        return members.select("doc_id", "h", "n_shingles", F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("group"))
 
-    rows = texts.mapInArrow(
-        lambda it: _prefix_rows(boundary, np.unpackbits(shared.value).astype(bool), it), "token long, sid long, n int, pos int"
+    rows = texts.select("text").mapInArrow(
+        lambda it: _prefix_rows(boundary, np.unpackbits(shared.value).astype(bool), it), "token long, sid long, n int, pos int, often boolean"
     )
-    own = Window.partitionBy("token")
+    # a list of one set gives nothing; those of frequent shingles are dealt by set and kept as they are
+    deal = F.when(F.col("often"), 1 + F.pmod(F.xxhash64("sid"), F.lit(max(16, total // DEALT_SETS)))).otherwise(0)
+    own = Window.partitionBy("token", "deal")
     lists = store.write(
-        rows.repartition("token")
+        rows.withColumn("deal", deal.cast("int"))
+        .repartition("token", "deal")
         .withColumn("lo", F.min("sid").over(own))
         .withColumn("hi", F.max("sid").over(own))
-        .where("lo < hi")
-        .dropDuplicates(["token", "sid"])
+        .where("lo < hi or deal > 0")
+        .dropDuplicates(["token", "deal", "sid"])
         .select("token", "sid", "n", "pos", F.col("sid").alias("g")),
         "lists",
     )
     store.release()
-    texts_by_rep = reps.select("sid", "doc_id")
+    places = reps.select("sid", "doc_id", "h")
     edges = tested = None
     for turn in range(LEADER_ROUNDS):
-        pairs = store.write(leader_pairs(lists, reps, tested, turn), f"leaders{turn}")
+        pairs = store.write(leader_pairs(lists, reps, tested, turn, store), f"leaders{turn}")
         if pairs.isEmpty():
             break
         store.release()
-        found = store.write(verify_pairs(pairs, texts_by_rep, texts), f"edges{turn}")
+        found = store.write(verify_pairs(pairs, places, texts, store, str(turn)), f"edges{turn}")
         store.release()
         both = pairs.unionByName(pairs.select(F.col("y").alias("x"), F.col("x").alias("y")))
         tested = both if tested is None else tested.unionByName(both)
         edges = found if edges is None else edges.unionByName(found)
         groups = store.write(connected_components(edges, store, f"cc{turn}"), f"groups{turn}")
         tagged = lists.drop("g").join(groups.withColumnRenamed("node", "sid"), "sid", "left").withColumn("g", F.coalesce("component", "sid"))
+        tagged = store.write(tagged.select("token", "sid", "n", "pos", "g"), f"tagged{turn}")
         # lists within one group can give no more
-        lists = store.write(
-            tagged.withColumn("lo", F.min("g").over(own)).withColumn("hi", F.max("g").over(own)).where("lo < hi").select("token", "sid", "n", "pos", "g"),
-            f"lists{turn}",
-        )
-        store.drop("lists" if turn == 0 else f"lists{turn - 1}")
-    rest = pair_lists(lists, reps)
+        live = tagged.groupBy("token").agg(F.min("g").alias("lo"), F.max("g").alias("hi"), F.count("*").alias("rows")).where("lo < hi")
+        live = store.write(live.select("token", "rows"), f"live{turn}")
+        lists = store.write(spread_join(tagged, live, ["token"], "rows", ["sid"]).drop("rows"), f"lists{turn}")
+        store.drop("lists" if turn == 0 else f"lists{turn - 1}", f"tagged{turn}", f"live{turn}", f"heads{turn}", f"groups{turn}", f"sizes-{turn}")
+    rest = pair_lists(lists, reps, store)
     rest = store.write(rest if tested is None else rest.join(tested, ["x", "y"], "left_anti"), "rest")
     store.release()
     if not rest.isEmpty():
-        found = store.write(verify_pairs(rest, texts_by_rep, texts), "edges-rest")
+        found = store.write(verify_pairs(rest, places, texts, store, "rest"), "edges-rest")
         edges = found if edges is None else edges.unionByName(found)
         store.release()
     if edges is None:
         edges = spark.createDataFrame([], "a long, b long")
-    final = connected_components(edges, store, "cc2")
-    named = final.withColumnRenamed("node", "sid").join(texts_by_rep, "sid")
-    low = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    by_set = texts_by_rep.join(named.select("sid", "component").join(low, "component").select("sid", "component_id"), "sid", "left")
-    by_set = by_set.select("sid", F.coalesce("component_id", "doc_id").alias("component_id"))
-    keyed = members.withColumn("sid", F.when(F.col("n_shingles") > 0, F.col("sid")))
-    return keyed.join(by_set, "sid", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    final = connected_components(edges, store, "cc2").withColumnRenamed("node", "sid").withColumnRenamed("component", "group")
+    named = reps.select("sid", "low").join(final, "sid", "left").withColumn("group", F.coalesce("group", "sid"))
+    named = store.write(named, "named")
+    by_set = store.write(named.groupBy("group").agg(F.min("low").alias("component_id"), F.count("*").alias("sets")), "components")
+    by_set = spread_join(named, by_set, ["group"], "sets", ["sid"]).select("sid", "group", "component_id")
+    sized = store.write(by_set.join(members.groupBy("sid").agg(F.count("*").alias("rows")), "sid"), "by_set_sized")
+    empty = members.where("n_shingles = 0").select(
+        "doc_id", "h", "n_shingles", F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("group")
+    )
+    filled = spread_join(members.where("n_shingles > 0"), sized, ["sid"], "rows", ["doc_id", "h"])
+    out = store.write(filled.select("doc_id", "h", "n_shingles", "component_id", "group").unionByName(empty), "result")
+    store.keep("result")
+    return out
 
 
 def op10_size_aware_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    return jaccard_components(docs, SharedStore(spark, "jaccard"))
+    return jaccard_components(docs, SharedStore(spark, "jaccard")).select("doc_id", "n_shingles", "component_id")
 
 
 def one_per_component(docs: DataFrame) -> DataFrame:
-    """The document with the smallest id of every component; same columns."""
+    """One document of every component, that with the smallest id (then hash), and all without shingles; same columns.
+
+    Rows that repeat an id and a text are one document: one of them stays.
+    """
+    cols = docs.columns
     found = jaccard_components(docs.select("doc_id", "text"), SharedStore(docs.sparkSession, "jaccard"))
-    kept = found.where("doc_id = component_id").select(F.col("doc_id").alias("_keep")).distinct()
-    return docs.join(kept.hint("shuffle_hash"), F.col("doc_id").cast("long") == F.col("_keep"), "left_semi")
+    first = found.where("group is not null").groupBy("group").agg(F.min(F.struct(F.isnull("doc_id").alias("none"), "doc_id", "h")).alias("k"))
+    kept = first.select("k.doc_id", "k.h").unionByName(found.where("group is null").select("doc_id", "h").distinct())
+    key = {"_id": F.coalesce("doc_id", F.lit(0).cast("long")), "_none": F.isnull("doc_id")}
+    kept = kept.select(*[e.alias(k) for k, e in key.items()], F.col("h").alias("_h"))
+    row = docs.select(
+        F.struct(*[F.col(f"`{c}`") for c in cols]).alias("_row"), F.col("doc_id").cast("long").alias("doc_id"), anchors.row_key().alias("_h")
+    )
+    row = row.select("_row", *[e.alias(k) for k, e in key.items()], "_h")
+    names = ["_id", "_none", "_h"]
+    return row.join(kept, names, "left_semi").dropDuplicates(names).select(*[F.col(f"_row.`{c}`").alias(c) for c in cols])

@@ -2,26 +2,37 @@
 
 A batch is a frame of signed changes (+1 insert, -1 delete; a revision is the delete
 of the old text and the insert of the new one). It is tokenised, summed by source,
-language and tokenizer version, and written as one small table under its batch id;
-the totals are the sum over committed batches. A batch counts once Spark has
-committed its folder, and a batch id that is already committed is not applied
-again, so replays and retries leave the totals unchanged.
+language and tokenizer version, and written as one small table of its own.
+
+A batch counts once its commit file, named by the batch id, exists. The file is created only
+where there is none, which file systems do atomically: of two writers of one id, or of a replay
+and the first run, one wins and the others' tables are dropped. Readers start at commit
+files, so tables of lost or beaten writers are never seen.
+
+``compact`` folds committed batches into a snapshot of running totals, with the ids
+folded, and drops their tables; ``apply`` does so whenever ``COMPACT_AFTER`` batches wait. So
+totals are the latest snapshot and a bounded number of deltas, whatever has been committed
+before. A snapshot counts once its own numbered file exists; commit files of batches it
+holds are ignored from then on, so a driver that dies in between changes nothing.
 
 Defined results: null texts count as empty (one document, no tokens); null source or
 language is a group of its own; groups whose documents are all deleted vanish from the
-totals; an empty batch commits an empty table.
+totals; repeated rows count each; an empty batch commits an empty table; a very long text is
+counted whole by one task; other columns are not read, and ties cannot arise.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
+from urllib.parse import quote
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulecredit.llm.bpe import SPLIT, SAFE, default_path, load, ranks_file
+from rulecredit.llm.bpe import SAFE, SPLIT, default_path, load, ranks_file
 from rulecredit.llm.runtime import SharedStore, ship
 
 KEYS = ("source", "lang", "tokenizer")
@@ -38,23 +49,23 @@ class Counter:
         self.memo: dict[str, int] = {}
         if path.endswith(".json"):
             encoder = load(path)
-            self.fast = encoder.memo is not None
-            self.special = encoder.special
             self.whole = lambda t: len(encoder.encode(t)) // 4
             self.piece = lambda p: len(encoder.memo[p]) // 4
+            self.split = lambda t: encoder.split(t) if encoder.in_pieces(t) else None
         else:
             import public_tokenizers
             import tiktoken
 
             core = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks_file(path), special_tokens={})
-            self.fast, self.special = True, []
             self.whole = self.piece = lambda t: len(core.encode_ordinary(t))
+            self.split = lambda t: SPLIT.findall(t) if SAFE.fullmatch(t) else None
 
     def count(self, text: str) -> int:
-        if not self.fast or not SAFE.fullmatch(text) or any(s in text for s in self.special):
+        pieces = self.split(text)
+        if pieces is None:
             return self.whole(text)
         memo, total = self.memo, 0
-        for p in SPLIT.findall(text):
+        for p in pieces:
             n = memo.get(p)
             if n is None:
                 n = self.piece(p)
@@ -94,40 +105,112 @@ def count_changes(changes: DataFrame, versions: dict[str, str]) -> DataFrame:
 
 
 class TokenLedger:
-    """Additive totals over committed batches below ``root``."""
+    """Additive totals over committed batches below ``root``, a folder that all machines see."""
+
+    #: Committed batches that may wait before they are folded into a snapshot.
+    COMPACT_AFTER = 32
 
     def __init__(self, spark: SparkSession, root: str, versions: dict[str, str]):
         self.spark, self.root, self.versions = spark, root.rstrip("/"), versions
 
-    def _fs(self):
-        jvm, sc = self.spark.sparkContext._jvm, self.spark.sparkContext
-        path = jvm.org.apache.hadoop.fs.Path(self.root)
-        return path.getFileSystem(sc._jsc.hadoopConfiguration()), jvm.org.apache.hadoop.fs.Path
+    def _at(self, name: str):
+        """(file system, path) of a name below the root."""
+        sc = self.spark.sparkContext
+        path = sc._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+        return path.getFileSystem(sc._jsc.hadoopConfiguration()), path
+
+    def _names(self, folder: str) -> list[str]:
+        fs, path = self._at(folder)
+        return sorted(s.getPath().getName() for s in fs.listStatus(path)) if fs.exists(path) else []
+
+    def _exists(self, name: str) -> bool:
+        fs, path = self._at(name)
+        return fs.exists(path)
+
+    def _create(self, name: str, content: str) -> bool:
+        """Create a small file; False where one of the name exists."""
+        fs, path = self._at(name)
+        try:
+            out = fs.create(path, False)
+        except Exception as e:  # the file system's word for "exists" differs
+            if fs.exists(path):
+                return False
+            raise e
+        out.write(bytearray(content.encode()))
+        out.close()
+        return True
 
-    def committed(self) -> list[str]:
-        """Paths of the batches Spark has committed."""
-        fs, make = self._fs()
-        root = make(self.root)
-        if not fs.exists(root):
-            return []
-        found = [s.getPath().toString() for s in fs.listStatus(root)]
-        return sorted(p for p in found if fs.exists(make(f"{p}/_SUCCESS")))
+    def _read(self, name: str) -> str:
+        fs, path = self._at(name)
+        stream = fs.open(path)
+        try:
+            return bytes(stream.readAllBytes()).decode()
+        finally:
+            stream.close()
+
+    def _drop(self, name: str) -> None:
+        fs, path = self._at(name)
+        fs.delete(path, True)
+
+    def _snapshot(self) -> tuple[int, str | None]:
+        """Number and table folder of the latest snapshot."""
+        names = self._names("snapshots")
+        return (int(names[-1]), self._read(f"snapshots/{names[-1]}")) if names else (0, None)
+
+    def _folded(self, folder: str | None, files: list[str]) -> set[str]:
+        """Those of the commit files whose batch the snapshot holds."""
+        if folder is None or not files:
+            return set()
+        ids = self.spark.read.schema("file string").parquet(f"{self.root}/{folder}/files")
+        return {r["file"] for r in ids.where(F.col("file").isin(files)).collect()}
+
+    def pending(self) -> dict[str, str]:
+        """Commit file -> table folder of the batches that no snapshot holds yet."""
+        files = self._names("commits")
+        known = self._folded(self._snapshot()[1], files)
+        return {f: self._read(f"commits/{f}") for f in files if f not in known}
 
     def apply(self, batch_id: str, changes: DataFrame) -> bool:
         """Commit a batch; False when its id is committed already."""
-        target = f"{self.root}/batch={batch_id}"
-        fs, make = self._fs()
-        if fs.exists(make(f"{target}/_SUCCESS")):
+        file = quote(batch_id, safe="")
+        if self._exists(f"commits/{file}") or self._folded(self._snapshot()[1], [file]):
+            return False
+        table = f"tables/{uuid.uuid4().hex}"
+        count_changes(changes, self.versions).write.parquet(f"{self.root}/{table}")
+        if not self._create(f"commits/{file}", table):
+            self._drop(table)
             return False
-        count_changes(changes, self.versions).write.mode("overwrite").parquet(target)
+        if len(self._names("commits")) >= self.COMPACT_AFTER:
+            self.compact()
         return True
 
+    def _sums(self, folder: str | None, tables: list[str]) -> DataFrame:
+        paths = [f"{self.root}/{t}" for t in tables] + ([f"{self.root}/{folder}/totals"] if folder else [])
+        rows = self.spark.read.schema(ROLLUP).parquet(*paths) if paths else self.spark.createDataFrame([], ROLLUP)
+        return rows.groupBy(*KEYS).agg(*[F.sum(c).alias(c) for c in SUMS])
+
     def totals(self) -> DataFrame:
-        paths = self.committed()
-        if not paths:
-            return self.spark.createDataFrame([], ROLLUP)
-        rows = self.spark.read.schema(ROLLUP).parquet(*paths)
-        return rows.groupBy(*KEYS).agg(*[F.sum(c).alias(c) for c in SUMS]).where("n_docs <> 0")
+        return self._sums(self._snapshot()[1], list(self.pending().values())).where("n_docs <> 0")
+
+    def compact(self) -> bool:
+        """Fold the waiting batches into a new snapshot; False where nothing waits or another writer was first."""
+        number, old = self._snapshot()
+        waiting = self.pending()
+        if not waiting:
+            return False
+        folder = f"tables/{uuid.uuid4().hex}"
+        self._sums(old, list(waiting.values())).coalesce(1).write.parquet(f"{self.root}/{folder}/totals")
+        files = self.spark.createDataFrame([(f,) for f in waiting], "file string")
+        if old:
+            files = files.unionByName(self.spark.read.schema("file string").parquet(f"{self.root}/{old}/files"))
+        files.write.parquet(f"{self.root}/{folder}/files")
+        if not self._create(f"snapshots/{number + 1:012d}", folder):
+            self._drop(folder)
+            return False
+        for file, table in waiting.items():
+            self._drop(f"commits/{file}")
+            self._drop(table)
+        return True
 
 
 def inserts(docs: DataFrame) -> DataFrame:
@@ -154,7 +237,7 @@ def revised_text():
 
 
 def op5_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Insert every document; revise those with pipes (and replay that batch); delete very short ones."""
+    """Insert every document; revise those with pipes (and replay that batch); delete very short ones, on top of a snapshot."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("source", "lang", "text")
     ledger = TokenLedger(spark, SharedStore(spark, "token-ledger").root, default_versions())
     piped = docs.where(F.instr("text", "|") > 0)
@@ -162,5 +245,7 @@ def op5_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     ledger.apply("0-load", inserts(docs))
     ledger.apply("1-revise", revisions(piped, changed))
     ledger.apply("1-revise", revisions(piped, changed))
+    ledger.compact()
+    ledger.apply("1-revise", revisions(piped, changed))
     ledger.apply("2-retire", deletes(docs.where((F.length("text") < 40) & (F.instr("text", "|") == 0))))
     return ledger.totals()

@@ -1,18 +1,24 @@
 """URL filter: explicit host/path rules, then a character language-model ratio.
 
-Two smoothed variable-order Markov models over a small fixed alphabet are
-estimated from the URLs that the rules accept and reject. A URL no rule decides
-is scored by its length-normalised log-likelihood difference and blocked below a
-threshold calibrated on the labelled URLs.
-
-The models are bounded by ``ALPHABET ** (ORDER + 1)`` cells whatever the input
-size: counts are aggregated by Spark into one array of log ratios (whole
-thousandths, so sums do not depend on row order), which the scoring projection
-holds as a literal. Scoring is a map over the rows: no shuffle, no user function.
-
-Defined results: null URLs and URLs without ``://`` have empty host and path, no
-rule, and score as the empty string (neutral, so ``allow`` unless the calibrated
-threshold is above zero). With no labelled URL at all every cell is neutral.
+Two smoothed variable-order Markov models over all characters are estimated from the URLs that
+the rules accept and reject: a table of every context of up to ``ORDER`` characters that such
+URLs hold, with what follows it, so it grows with the URLs. A next character's probability
+interpolates all orders of its context that were seen, down to uniform (Witten-Bell). A
+URL no rule decides is scored by its length-normalised log-likelihood difference and blocked
+below a cut that is calibrated on a fifth of the rule-decided URLs (by hash), which the
+models do not learn from: the cut with the best balanced accuracy there.
+
+All of it is joins and aggregates without user functions: URLs become rows of ``ORDER`` + 1
+characters, distinct ones look their counts up once, and the summed ratios (whole
+millionths, so sums do not depend on row order) return to the URLs. Common pieces ("https:")
+and common URLs are hot keys, whose joins are spread.
+
+Defined results: null URLs and URLs without ``://`` have empty host and path and no
+rule; a null URL scores 0 as the empty string does (``allow`` unless the calibrated cut is
+above zero); repeated URLs are judged alike, and each row is kept; the longest fitting rule wins,
+and rules of one length cannot both fit; a very long URL is as many rows as it has characters;
+with no labelled URL, or none of one side, every score is 0 and every verdict ``allow``; an empty
+table gives an empty result; columns named like an output column are replaced.
 """
 
 from __future__ import annotations
@@ -20,6 +26,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rulecredit.llm.runtime import SharedStore, spread_join
+
 #: Fixed values: (verdict, host, path) rules.
 RULES = (
     ("allow", "org", "/"),
@@ -28,10 +36,12 @@ RULES = (
     ("allow", "com", "/fr/"),
     ("block", "com", "/de/"),
 )
-#: Position in this string (from 1) is a character's class; all others are class 0.
-SYMBOLS = "abcdefghijklmnopqrstuvwxyz0./:?=&#-_"
-BASE = len(SYMBOLS) + 1
-ORDER = 2
+#: Longest context; fixed marks before and after a URL; probability of a character before any was seen.
+ORDER = 5
+START, END = "\x02", "\x03"
+UNIFORM = 1.0 / 256
+#: One labelled URL in so many calibrates the cut. Scores are compared in so many steps a unit.
+FOLDS, STEPS = 5, 1000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -55,102 +65,115 @@ def rule_column(host: Column, path: Column) -> Column:
     return out
 
 
-def classes(url: Column) -> Column:
-    """The URL's character classes, led by ORDER start markers (class 0)."""
-    folded = F.translate(F.translate(F.coalesce(url, F.lit("")), UPPER, LOWER), "123456789", "000000000")
-    codes = F.transform(
-        F.filter(F.split(folded, ""), lambda c: c != ""), lambda c: F.instr(F.lit(SYMBOLS), c)
-    )
-    return F.concat(F.array(*[F.lit(0)] * ORDER), codes)
+def pieces(url: Column) -> Column:
+    """The URL's characters, each with the ORDER characters before it."""
+    padded = F.concat(F.lit(START * ORDER), F.translate(url, UPPER, LOWER), F.lit(END))
+    return F.transform(F.sequence(F.lit(1), F.length(padded) - ORDER), lambda i: F.substring(padded, i, F.lit(ORDER + 1)))
 
 
-def _counts(labelled: DataFrame) -> DataFrame:
-    """(cell, acc, rej): how often each context of ORDER classes and next class occurs."""
-    grams = F.transform(
-        F.sequence(F.lit(0), F.size("codes") - ORDER - 1),
-        lambda i: sum((F.get("codes", i + j) * BASE ** (ORDER - j) for j in range(ORDER + 1)), F.lit(0)).cast("int"),
+def learn(labelled: DataFrame) -> DataFrame:
+    """The model table of (url, accepted): rows (kind, key, acc, rej, acc_kinds, rej_kinds).
+
+    Kind ``p``: a context and a character, with how often both sides hold it. Kind ``c``: a context,
+    with how often it occurs and how many different characters follow it.
+    """
+    held = labelled.select("accepted", F.explode(pieces(F.col("url"))).alias("piece"))
+    whole = held.groupBy("piece").agg(F.count_if("accepted").alias("acc"), F.count_if(~F.col("accepted")).alias("rej"))
+    keys = F.explode(F.array(*[F.expr(f"right(piece, {k + 1})") for k in range(ORDER + 1)]))
+    pairs = whole.select(keys.alias("key"), "acc", "rej").groupBy("key").agg(F.sum("acc").alias("acc"), F.sum("rej").alias("rej"))
+    contexts = pairs.groupBy(F.expr("left(key, length(key) - 1)").alias("key")).agg(
+        F.sum("acc").alias("acc"),
+        F.sum("rej").alias("rej"),
+        F.count_if(F.col("acc") > 0).alias("acc_kinds"),
+        F.count_if(F.col("rej") > 0).alias("rej_kinds"),
     )
-    return (
-        labelled.where(F.size("codes") > ORDER)
-        .select("accepted", F.explode(grams).alias("cell"))
-        .groupBy("cell")
-        .agg(F.count_if("accepted").alias("acc"), F.count_if(~F.col("accepted")).alias("rej"))
+    none = F.lit(0).cast("long")
+    as_pairs = pairs.select(F.lit("p").alias("kind"), "key", "acc", "rej", none.alias("acc_kinds"), none.alias("rej_kinds"))
+    return as_pairs.unionByName(contexts.select(F.lit("c").alias("kind"), "key", "acc", "rej", "acc_kinds", "rej_kinds"))
+
+
+def ratios(wanted: DataFrame, model: DataFrame) -> DataFrame:
+    """(piece, rows, ratio) of (piece, rows): log(P_accepted / P_rejected) of its last character, in millionths."""
+    cell = lambda kind, k, key: F.struct(F.lit(kind).alias("kind"), F.lit(k).alias("k"), F.expr(key).alias("key"))
+    lookups = [cell("p", k, f"right(piece, {k + 1})") for k in range(ORDER + 1)]
+    lookups += [cell("c", k, f"left(right(piece, {k + 1}), {k})") for k in range(ORDER + 1)]
+    rows = wanted.select("piece", "rows", F.explode(F.array(*lookups)).alias("l")).select("piece", "rows", "l.*")
+    found = rows.join(model, ["kind", "key"])
+    pick = lambda kind, k, c: F.coalesce(F.sum(F.when((F.col("kind") == kind) & (F.col("k") == k), F.col(c))), F.lit(0))
+    sums = found.groupBy("piece").agg(
+        *[pick("p", k, side).alias(f"p{k}_{side}") for k in range(ORDER + 1) for side in ("acc", "rej")],
+        *[pick("c", k, c).alias(f"c{k}_{c}") for k in range(ORDER + 1) for c in ("acc", "rej", "acc_kinds", "rej_kinds")],
     )
+    logs = {}
+    for side in ("acc", "rej"):
+        prob = F.lit(UNIFORM)
+        for k in range(ORDER + 1):
+            n, t, d = F.col(f"p{k}_{side}"), F.col(f"c{k}_{side}"), F.col(f"c{k}_{side}_kinds")
+            prob = F.when(t + d > 0, (n + d * prob) / (t + d)).otherwise(prob)
+        logs[side] = F.log(prob)
+    ratio = F.round(1e6 * (logs["acc"] - logs["rej"])).cast("long")
+    return wanted.join(sums.select("piece", ratio.alias("ratio")), "piece", "left").na.fill(0, ["ratio"])
 
 
-def train(labelled: DataFrame) -> DataFrame:
-    """One row: ``ratios``, log(P_accepted / P_rejected) in thousandths by cell, comma-joined.
+def score_urls(urls: DataFrame, model: DataFrame, store: SharedStore) -> DataFrame:
+    """(url, score) of distinct URLs: the mean ratio of their characters and the end mark."""
+    rows = urls.select("url", F.explode(pieces(F.col("url"))).alias("piece"))
+    known = store.write(ratios(rows.groupBy("piece").agg(F.count("*").alias("rows")), model), "ratios")
+    scored = spread_join(rows, known.select("piece", "rows", "ratio"), ["piece"], "rows", ["url"])
+    return scored.groupBy("url").agg((F.sum("ratio") / (1e6 * F.count("*"))).alias("score"))
 
-    Probabilities interpolate every order down to uniform with Witten-Bell weights:
-    P_k(x | c) = (n(c x) + t(c) P_{k-1}(x | shorter c)) / (n(c) + t(c)), t = distinct successors.
+
+def calibrate(scored: DataFrame) -> float:
+    """The cut on (score, accepted) with the best mean of the two sides' shares of right verdicts.
+
+    Works on a histogram of scores in steps; of equally good cuts the middle one is taken. 0 when a side is empty.
     """
-    size = BASE ** (ORDER + 1)
-    grid = labelled.sparkSession.range(0, size, 1, 4).select(F.col("id").cast("int").alias("cell"))
-    frame = grid.join(_counts(labelled), "cell", "left").na.fill(0, ["acc", "rej"])
-    frame = frame.withColumn("x", F.col("cell") % BASE)
-    prob = {side: F.lit(1.0 / BASE) for side in ("acc", "rej")}
-    for k in range(ORDER + 1):
-        copies = BASE ** (ORDER - k)  # grid rows that share this order's (context, symbol)
-        frame = frame.withColumn("c", F.floor(F.col("cell") / BASE) % (BASE**k))
-        pair, ctx = Window.partitionBy("c", "x"), Window.partitionBy("c")
-        for side in ("acc", "rej"):
-            frame = frame.withColumn(f"n_{side}", F.sum(side).over(pair))
-        for side in ("acc", "rej"):
-            n = F.col(f"n_{side}")
-            total = F.sum(side).over(ctx)
-            kinds = F.sum((n > 0).cast("int")).over(ctx) / copies
-            frame = frame.withColumn(f"t_{side}", total).withColumn(f"d_{side}", kinds)
-        for side in ("acc", "rej"):
-            n, t, d = (F.col(f"{c}_{side}") for c in "ntd")
-            frame = frame.withColumn(f"p_{side}", F.when(t + d > 0, (n + d * prob[side]) / (t + d)).otherwise(prob[side]))
-            prob[side] = F.col(f"p_{side}")
-    ratio = F.round(1000 * (F.log(F.col("p_acc")) - F.log(F.col("p_rej")))).cast("int")
-    cells = frame.agg(F.array_sort(F.collect_list(F.struct("cell", ratio.alias("r")))).alias("c"))
-    return cells.select(F.array_join(F.transform("c", lambda s: s["r"]), ",").alias("ratios"))
-
-
-def model_literal(model: DataFrame) -> Column:
-    """The model as a constant array column; its length is fixed by the alphabet."""
-    return F.split(F.lit(model.first()["ratios"]), ",").cast("array<int>")
-
-
-def score_sum(codes: Column, ratios: Column) -> Column:
-    """Summed log ratio of a URL's characters, in thousandths."""
-    n = F.size(codes) - ORDER
-    positions = F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>"))
-    return F.aggregate(
-        positions,
-        F.lit(0).cast("bigint"),
-        lambda acc, i: acc
-        + F.get(ratios, sum((F.get(codes, i + j) * BASE ** (ORDER - j) for j in range(ORDER + 1)), F.lit(0)).cast("int")),
+    steps = scored.groupBy(F.floor(F.col("score") * STEPS).alias("step")).agg(
+        F.count_if("accepted").alias("acc"), F.count_if(~F.col("accepted")).alias("rej")
     )
+    order = Window.orderBy("step")
+    below, all_ = order.rowsBetween(Window.unboundedPreceding, Window.currentRow), Window.partitionBy()
+    # URLs up to a step are blocked when the cut lies above it; as many rows as scores have steps
+    part = lambda side: F.try_divide(F.sum(side).over(below), F.sum(side).over(all_))
+    share = part("rej") - part("acc")
+    middle = (F.col("step") + 1 + F.lead("step", 1).over(order)) / 2
+    both = steps.withColumns({"good": F.round(share, 9), "cut": F.coalesce(middle, F.col("step") + 1)}).where("good > 0")
+    best = both.where(F.col("good") == both.agg(F.max("good")).scalar())
+    row = best.agg(F.percentile("cut", F.lit(0.5)).alias("m")).first()
+    return 0.0 if row["m"] is None else row["m"] / STEPS
 
 
 def judge_urls(pages: DataFrame, url: str = "url", model: DataFrame | None = None) -> DataFrame:
     """``pages`` with host, path, rule, score and verdict.
 
-    ``model``: a one-row frame with ``ratios``; by default trained on the rule-decided
-    rows of ``pages``. The threshold is the midpoint of the mean accepted and the mean
-    rejected character score (0 when a side is empty).
+    ``model``: a table that :func:`learn` made; by default one of the rule-decided rows of ``pages``.
     """
+    store = SharedStore(pages.sparkSession, "urls")
     cols = [c for c in pages.columns if c not in {"host", "path", "rule", "score", "verdict"}]
     host, path = split_url(F.col(url))
     base = pages.select(*cols).withColumns({"host": host, "path": path})
-    base = base.withColumn("_r", rule_column(F.col("host"), F.col("path"))).withColumn("_codes", classes(F.col(url)))
-    labelled = base.where("_r is not null").select((F.col("_r.verdict") == "allow").alias("accepted"), F.col("_codes").alias("codes"))
-    ratios = model_literal(train(labelled) if model is None else model)
-    sides = (
-        labelled.select("accepted", score_sum(F.col("codes"), ratios).alias("s"), (F.size("codes") - ORDER).alias("n"))
-        .groupBy("accepted")
-        .agg(F.sum("s").alias("s"), F.sum("n").alias("n"))
-        .collect()
-    )
-    means = [r["s"] / r["n"] for r in sides if r["n"]]
-    cut = sum(means) / 2 if len(means) == 2 else 0.0
-    scored = base.withColumn("_s", score_sum(F.col("_codes"), ratios)).withColumn("_m", F.size("_codes") - ORDER)
-    score = F.when(F.col("_m") > 0, F.col("_s") / F.col("_m")).otherwise(F.lit(0.0))
-    verdict = F.coalesce(F.col("_r.verdict"), F.when(F.col("_s") < F.lit(cut) * F.col("_m"), "block").otherwise("allow"))
-    return scored.select(*cols, "host", "path", F.col("_r.rule").alias("rule"), score.alias("score"), verdict.alias("verdict"))
+    base = base.withColumn("_r", rule_column(F.col("host"), F.col("path"))).withColumn("_url", F.coalesce(url, F.lit("")))
+    fold = F.pmod(F.xxhash64("_url"), F.lit(FOLDS))
+    ruled = base.where("_r is not null").select(F.col("_url").alias("url"), (F.col("_r.verdict") == "allow").alias("accepted"), fold.alias("fold"))
+    if model is None:
+        model = store.write(learn(ruled.where("fold > 0").select("url", "accepted")), "model")
+    wanted = base.where(F.col("_r").isNull() | (fold == 0)).groupBy(F.col("_url").alias("url")).agg(F.count("*").alias("rows"))
+    wanted = store.write(wanted, "wanted")
+    scores = store.write(score_urls(wanted.select("url"), model, store).join(wanted, "url"), "scores")
+    both_sides = model.agg((F.sum("acc") > 0).alias("a"), (F.sum("rej") > 0).alias("r")).first()
+    cut = calibrate(ruled.where("fold = 0").join(scores, "url").select("score", "accepted")) if both_sides["a"] and both_sides["r"] else None
+    store.keep("scores")
+    if cut is None:  # nothing to tell the sides apart by
+        return base.select(
+            *cols, "host", "path", F.col("_r.rule").alias("rule"), F.lit(0.0).alias("score"), F.coalesce(F.col("_r.verdict"), F.lit("allow")).alias("verdict")
+        )
+    known = scores.select(F.col("url").alias("_url"), F.col("rows").alias("_rows"), F.col("score").alias("_score"))
+    open_ = spread_join(base.where("_r is null"), known, ["_url"], "_rows", cols[:1])
+    verdict = F.when(F.col("_score") < cut, "block").otherwise("allow")
+    out = [*cols, "host", "path"]
+    judged = open_.select(*out, F.lit(None).cast("string").alias("rule"), F.col("_score").alias("score"), verdict.alias("verdict"))
+    ruled_rows = base.where("_r is not null").select(*out, F.col("_r.rule").alias("rule"), F.lit(None).cast("double").alias("score"), F.col("_r.verdict").alias("verdict"))
+    return judged.unionByName(ruled_rows)
 
 
 def op6_url_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,15 +3,25 @@
 Unit vectors with cosine c lie sqrt(2 - 2c) apart. A table's key is a run of quantised
 Gaussian projections floor((a.x + b) / width); with the table sizes of :func:`plan_tables`
 a pair at the threshold shares a bucket in some table with probability ``RECALL``, closer
-pairs almost surely. Equal vectors are folded first and weigh as many as they are.
-
-Buckets are cut into blocks of bounded size; every pair of blocks is one unit of
-work, so no bucket has to fit one task and none is capped. A pair that meets in several
-tables counts in the first one only. A unit returns, per vector, its link count and a
+pairs almost surely. Equal vectors are folded first and weigh as many as they are. Vectors of
+one length only meet each other: the length is part of a bucket's key.
+
+Hashing writes (table, bucket, node) rows only; the buckets' sizes come from them. Buckets are
+cut into blocks of bounded size, every pair of blocks is one unit of work, so no bucket has
+to fit one task and none is capped, and only now a vector joins the rows that need it. A pair
+that meets in several tables counts in the first one only: a row carries the vector's
+keys in the tables before its own. A unit returns, per vector, its link count and a
 local component root; roots are then merged by :mod:`components`.
 
-Defined results: null, empty, zero or non-finite vectors, and vectors of another length
-than the most common one's, link with nothing; repeated vec_ids are one vector each row.
+Few tables with large buckets cost less than many with small ones: a bucket's vectors are
+compared by one matrix product, while each table moves every vector once.
+
+Defined results: null, empty or zero vectors and vectors with null or non-finite components
+link with nothing; norms neither overflow nor underflow, as vectors are scaled by their largest
+component first; rows that repeat a vec_id are vectors of their own, and a row without an
+id links as any other (its component is named by the smallest id in it, null if none); vectors
+of any length are linked with those of that length; ties go to the smallest id; an empty
+table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -26,13 +36,13 @@ from pyspark.sql import functions as F
 
 from rulecredit.llm import bytehash as bh
 from rulecredit.llm.components import connected_components
-from rulecredit.llm.runtime import SharedStore, ship
+from rulecredit.llm.runtime import SharedStore, ship, spread_join
 
 THRESHOLD = 0.9
 WIDTH = 2.0
 RECALL = 0.96
 #: Unrelated vectors expected in a bucket, and vectors in a block.
-BACKGROUND, BLOCK = 32, 1024
+BACKGROUND, BLOCK = 1024, 1024
 SEED = 20240229
 
 
@@ -50,46 +60,55 @@ def plan_tables(n: int, threshold: float = THRESHOLD) -> tuple[int, int]:
     return k, math.ceil(math.log(1 - RECALL) / math.log(1 - near**k))
 
 
-def _unit_rows(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
+def _unit_rows(column: pa.Array) -> tuple[np.ndarray, list[np.ndarray]]:
     """(row numbers, unit vectors in double) of the valid vectors."""
     keep, rows = [], []
     for i, v in enumerate(column.to_pylist()):
-        if v is None or len(v) != dim or any(x is None for x in v):
+        if v is None or any(x is None for x in v):
             continue
         x = np.array(v, np.float64)
-        size = np.sqrt(np.dot(x, x))
-        if np.isfinite(size) and size > 0:
+        most = np.abs(x).max(initial=0.0)
+        if np.isfinite(most) and most > 0:
+            x /= most
             keep.append(i)
-            rows.append(x / size)
-    return np.array(keep, np.int64), np.array(rows, np.float64).reshape(-1, dim)
+            rows.append(x / np.sqrt(np.dot(x, x)))
+    return np.array(keep, np.int64), rows
 
 
 def _signatures(x: np.ndarray, k: int, tables: int) -> np.ndarray:
     """Bucket key of each vector in each table."""
-    rng = np.random.default_rng(SEED)
+    rng = np.random.default_rng((SEED, x.shape[1]))
     planes = rng.standard_normal((x.shape[1], k * tables))
     shift = rng.uniform(0, WIDTH, k * tables)
     cells = np.floor((x @ planes + shift) / WIDTH).astype(np.int64).view(np.uint64).reshape(len(x), tables, k)
-    out = np.zeros((len(x), tables), np.uint64)
+    out = np.full((len(x), tables), x.shape[1], np.uint64)
     for j in range(k):
         out = bh.mix(out * bh.U(31) + cells[:, :, j])
     return out.view(np.int64)
 
 
-def _hash_rows(dim: int, k: int, tables: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _hash_rows(k: int, tables: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, weight, x, keys) of rows (node, weight, v): unit vectors and their keys in all tables."""
     for b in batches:
-        keep, x = _unit_rows(b.column(1), dim)
-        if not len(keep):
-            continue
-        sigs = _signatures(x, k, tables)
-        ids, weight = b.column(0).take(pa.array(keep)), b.column(2).take(pa.array(keep))
-        vectors = pa.array([r.tobytes() for r in x], pa.binary())
-        keys = pa.array([r.tobytes() for r in sigs], pa.binary())
+        keep, rows = _unit_rows(b.column(2))
+        keys: list[bytes] = [b""] * len(rows)
+        sizes = np.array([len(x) for x in rows], np.int64)
+        for d in np.unique(sizes).tolist():
+            here = np.flatnonzero(sizes == d).tolist()
+            for i, sig in zip(here, _signatures(np.stack([rows[i] for i in here]), k, tables)):
+                keys[i] = sig.tobytes()
+        at = pa.array(keep)
+        vectors = pa.array([x.tobytes() for x in rows], pa.binary())
+        yield pa.RecordBatch.from_arrays([b.column(0).take(at), b.column(1).take(at), vectors, pa.array(keys, pa.binary())], ["node", "weight", "x", "keys"])
+
+
+def _buckets(tables: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(t, bucket, node) of rows (node, keys)."""
+    for b in batches:
+        sigs = np.array([np.frombuffer(x, np.int64) for x in b.column(1).to_pylist()], np.int64).reshape(-1, tables)
         for t in range(tables):
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(np.full(len(keep), t, np.int32)), pa.array(sigs[:, t]), ids, weight, vectors, keys],
-                ["t", "bucket", "vec_id", "weight", "x", "sigs"],
-            )
+            cols = [pa.array(np.full(len(sigs), t, np.int32)), pa.array(sigs[:, t]), b.column(0)]
+            yield pa.RecordBatch.from_arrays(cols, ["t", "bucket", "node"])
 
 
 class _Unit:
@@ -99,9 +118,12 @@ class _Unit:
         self.key, self.rows = key, []
 
     def links(self) -> Iterator[tuple[int, int, int]]:
-        """(vec_id, links found here first, root) of the unit's linked vectors."""
+        """(node, links found here first, root) of the unit's linked vectors."""
+        for size in sorted({len(r[2]) for r in self.rows}):
+            yield from self._links(sorted(r for r in self.rows if len(r[2]) == size))
+
+    def _links(self, rows: list[tuple]) -> Iterator[tuple[int, int, int]]:
         t, _, bi, bj = self.key
-        rows = sorted(self.rows)
         ids = np.array([r[0] for r in rows], np.int64)
         weight = np.array([r[1] for r in rows], np.int64)
         x = np.array([np.frombuffer(r[2], np.float64) for r in rows])
@@ -148,7 +170,7 @@ def _link_units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def flush() -> pa.RecordBatch:
         cols = list(zip(*out)) if out else [[], [], []]
-        batch = pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in cols], ["vec_id", "n", "root"])
+        batch = pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in cols], ["node", "n", "root"])
         out.clear()
         return batch
 
@@ -175,45 +197,49 @@ def link_vectors(vectors: DataFrame, vec_id: str = "vec_id", column: str = "embe
     store = SharedStore(spark, "vectors")
     rows = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(column).cast("array<double>").alias("v"))
     zero = F.lit(0.0)
-    rows = rows.withColumn("v", F.transform("v", lambda e: F.when(e == zero, zero).otherwise(e)))
-    shape = rows.where("size(v) > 0").groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "d").first()
-    if shape is None:
-        return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
     bad = F.exists("v", lambda e: e.isNull() | F.isnan(e) | (F.abs(e) == float("inf")))
-    valid = F.coalesce((F.size("v") == shape["d"]) & ~bad & F.exists("v", lambda e: e != zero), F.lit(False))
+    valid = F.coalesce(~bad & F.exists("v", lambda e: e != zero), F.lit(False))
+    v = F.when(valid, F.transform("v", lambda e: F.when(e == zero, zero).otherwise(e)))
+    # two hashes of a vector stand for it where its 64 and more numbers would be a join key
+    keyed = rows.select("vec_id", v.alias("v")).withColumns({"k1": F.xxhash64("v"), "k2": F.xxhash64(F.lit(1), "v")})
     # equal vectors: one representative with their number
-    folded = rows.where(valid).groupBy("v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight"))
-    reps = store.write(folded.select("rep", "v", "weight"), "reps")
-    n = reps.count()
-    k, tables = plan_tables(n)
-    hashed = reps.select("rep", "v", "weight").mapInArrow(
-        lambda it: _hash_rows(shape["d"], k, tables, it),
-        "t int, bucket long, vec_id long, weight long, x binary, sigs binary",
+    folded = store.write(
+        keyed.where("v is not null").groupBy("v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight"), F.first("k1").alias("k1"), F.first("k2").alias("k2")),
+        "folded",
     )
-    hashed = store.write(hashed, "hashed")
-    sizes = hashed.groupBy("t", "bucket").agg(F.count("*").alias("n")).where("n > 1")
+    # a node is known by its smallest id, or by a hash where other vectors have that id too
+    shared = folded.groupBy("rep").agg(F.count("*").alias("same")).where("same > 1 or rep is null").select(F.col("rep").alias("_rep"), "same")
+    node = F.when(F.col("same").isNull(), F.col("rep")).otherwise(F.col("k1"))
+    nodes = folded.join(shared, F.col("rep").eqNullSafe(F.col("_rep")), "left").withColumn("node", node).drop("same", "_rep")
+    k, tables = plan_tables(folded.count())
+    reps = nodes.select("node", "weight", "v").mapInArrow(lambda it: _hash_rows(k, tables, it), "node long, weight long, x binary, keys binary")
+    reps = store.write(reps, "reps")
+    hashed = store.write(reps.select("node", "keys").mapInArrow(lambda it: _buckets(tables, it), "t int, bucket long, node long"), "hashed")
+    sizes = store.write(hashed.groupBy("t", "bucket").agg(F.count("*").alias("n")).where("n > 1"), "sizes")
+    placed = spread_join(hashed, sizes, ["t", "bucket"], "n", ["node"])
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    own = F.pmod(F.xxhash64("vec_id"), F.col("blocks")).cast("int")
-    units = hashed.join(sizes.select("t", "bucket", blocks.alias("blocks")), ["t", "bucket"]).withColumn("block", own)
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    units = units.withColumn("o", other).select(
-        "t", "bucket", F.least("block", "o").alias("bi"), F.greatest("block", "o").alias("bj"), "vec_id", "weight", "x", "sigs", "block"
-    )
-    units = units.repartition("t", "bucket", "bi", "bj").sortWithinPartitions("t", "bucket", "bi", "bj")
-    found = store.write(units.mapInArrow(_link_units, "vec_id long, n long, root long"), "found")
-    store.drop("hashed")
-    parts = connected_components(found.select(F.col("vec_id").alias("a"), F.col("root").alias("b")), store)
-    links = found.groupBy("vec_id").agg(F.sum("n").alias("n"))
-    per_rep = (
-        reps.select("rep", "v", "weight")
-        .join(links.withColumnRenamed("vec_id", "rep"), "rep", "left")
-        .join(parts.withColumnRenamed("node", "rep"), "rep", "left")
-        .select("v", (F.coalesce("n", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
-    )
-    done = rows.join(per_rep, "v", "left").select(
-        "vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id")
-    )
-    return done.withColumn("kept", F.col("vec_id") == F.col("component_id"))
+    own = F.pmod(F.xxhash64("node", "t"), blocks).cast("int")
+    units = placed.withColumn("block", own).withColumn("o", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    units = units.select("t", "bucket", F.least("block", "o").alias("bi"), F.greatest("block", "o").alias("bj"), "node", "block")
+    before = F.substring("keys", F.lit(1), F.col("t") * 8)  # of the tables before this one
+    full = units.join(reps, "node").select("t", "bucket", "bi", "bj", "node", "weight", "x", before.alias("keys"), "block")
+    ordered = full.repartition("t", "bucket", "bi", "bj").sortWithinPartitions("t", "bucket", "bi", "bj")
+    found = store.write(ordered.mapInArrow(_link_units, "node long, n long, root long"), "found")
+    store.drop("hashed", "sizes", "reps")
+    store.release()
+    parts = connected_components(found.select(F.col("node").alias("a"), F.col("root").alias("b")), store)
+    links = found.groupBy("node").agg(F.sum("n").alias("n"))
+    named = nodes.select("node", "rep", "weight", "k1", "k2").join(links, "node", "left").join(parts, "node", "left")
+    named = store.write(named.withColumn("component", F.coalesce("component", "node")), "named")
+    low = store.write(named.groupBy("component").agg(F.min("rep").alias("component_id"), F.count("*").alias("members")), "low")
+    per_rep = spread_join(named, low, ["component"], "members", ["node"])
+    n_links = (F.coalesce("n", F.lit(0)) + F.col("weight") - 1).cast("long")
+    per_rep = store.write(per_rep.select("k1", "k2", "weight", n_links.alias("n_links"), "component_id"), "per_rep")
+    linked = spread_join(keyed.where("v is not null").drop("v"), per_rep, ["k1", "k2"], "weight", ["vec_id"]).select("vec_id", "n_links", "component_id")
+    alone = keyed.where("v is null").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
+    store.keep("per_rep")
+    done = linked.unionByName(alone)
+    return done.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
 
 
 def op7_pstable_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:

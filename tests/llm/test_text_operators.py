@@ -182,18 +182,51 @@ def test_structured_texts(spark):
     assert {(k, n, n - len(w), brute.digest(b" ".join(w))) for k, (n, w) in kept.items()} == set(brute.substring(rows))
 
 
-def test_jaccard(spark, frame, docs):
-    want = brute.jaccard(docs)
-    got = jaccard_join.jaccard_components(frame, SharedStore(spark, "t"))
-    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got.collect()} == want
+def components_of(rows):
+    """[(doc_id, n_shingles, component_id)] by brute force, every row a text of its own."""
+    own = brute.jaccard({i: t for i, (_, t) in enumerate(rows)})
+    low = {}
+    for i, (_, c) in own.items():
+        ids = [x for x in (rows[i][0], low.get(c)) if x is not None]
+        low[c] = min(ids) if ids else None
+    return [(rows[i][0], n, low[c]) for i, (n, c) in own.items()]
+
+
+def test_jaccard(spark, messy):
+    folder, rows = messy
+    got = [tuple(r) for r in jaccard_join.op10_size_aware_jaccard(spark, folder).collect()]
+    assert Counter(got) == Counter(components_of(rows))
     assert jaccard_join.jaccard_components(empty(spark), SharedStore(spark, "t")).count() == 0
 
 
-def test_jaccard_stage_keeps_columns(spark, frame, docs):
-    wide = frame.selectExpr("doc_id", "text", "'x' as sid", "1 as n", "'s' as component_id")
-    kept = jaccard_join.one_per_component(wide)
-    assert kept.columns == wide.columns
-    assert {r.doc_id for r in kept.collect()} == {c for _, c in brute.jaccard(docs).values()}
+def test_jaccard_with_frequent_shingles(spark, docs, monkeypatch):
+    """Lists of frequent shingles dealt by set, hot joins spread, a forgetful task."""
+    from rulecredit.llm import runtime
+
+    monkeypatch.setattr(jaccard_join, "FREQUENT_SHARE", 0.0)
+    monkeypatch.setattr(runtime, "KEY_ROWS", 3)
+    rows = list(docs.items())
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = jaccard_join.jaccard_components(df, SharedStore(spark, "t"))
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got.collect()} == brute.jaccard(docs)
+
+
+def test_jaccard_stage(spark, messy):
+    folder, rows = messy
+    df = spark.read.parquet(f"{folder}/documents.parquet")
+    kept = jaccard_join.one_per_component(df)
+    assert kept.columns == df.columns
+    own = brute.jaccard({i: t for i, (_, t) in enumerate(rows)})
+    left = {}
+    for i, (n, c) in own.items():  # of each component the smallest id's text, none after all others; blank texts all stay
+        group = c if n else (rows[i][0], rows[i][1])
+        key = (rows[i][0] is None, rows[i][0] or 0)
+        if group not in left or key < left[group][0]:
+            left[group] = (key, rows[i])
+    got = [(r.doc_id, r.text) for r in kept.collect()]
+    assert len(got) == len(left) and {k for k, _ in got} == {r[0] for _, r in left.values()}
+    texts = {k: {t for j, t in rows if j == k} for k, _ in got}
+    assert all(t in texts[k] for k, t in got)
 
 
 def test_needed_overlap():
