@@ -32,15 +32,46 @@ def uniform(*parts: Column | int | str) -> Column:
 
 
 BITS = 24
+#: Degree, inner coefficients and first direction numbers of the primitive polynomials
+#: over GF(2) that the usual Sobol tables take for dimensions 2, 3, ...; dimension 1 needs none.
+POLYNOMIALS = (
+    (1, 0, (1,)),
+    (2, 1, (1, 3)),
+    (3, 1, (1, 3, 1)),
+    (3, 2, (1, 1, 1)),
+    (4, 1, (1, 1, 3, 3)),
+    (4, 4, (1, 3, 5, 13)),
+    (5, 2, (1, 1, 5, 5, 17)),
+    (5, 4, (1, 1, 5, 5, 5)),
+    (5, 7, (1, 1, 7, 11, 19)),
+    (5, 11, (1, 1, 5, 1, 1)),
+    (5, 13, (1, 1, 1, 3, 11)),
+    (5, 14, (1, 3, 5, 5, 31)),
+    (6, 1, (1, 3, 3, 9, 7, 49)),
+    (6, 13, (1, 1, 1, 15, 21, 21)),
+    (6, 16, (1, 3, 1, 13, 27, 49)),
+)
+DIMENSIONS = len(POLYNOMIALS) + 1
+
+
+def directions(dimension: int) -> list[int]:
+    """Direction numbers of one dimension, as BITS-bit integers."""
+    if dimension == 0:
+        return [1 << (BITS - 1 - b) for b in range(BITS)]
+    degree, inner, m = POLYNOMIALS[dimension - 1]
+    v = [x << (BITS - 1 - b) for b, x in enumerate(m)]
+    for b in range(degree, BITS):
+        x = v[b - degree] ^ (v[b - degree] >> degree)
+        for j in range(1, degree):
+            if inner >> (degree - 1 - j) & 1:
+                x ^= v[b - j]
+        v.append(x)
+    return v
 
 
 def sobol_point(i: Column, dimension: int, shift: Column) -> Column:
-    """Coordinate (0 or 1) of the i-th two-dimensional Sobol point, shifted modulo 1."""
-    directions, m = [], 1
-    for b in range(BITS):
-        directions.append((1 if dimension == 0 else m) << (BITS - 1 - b))
-        m ^= 2 * m
-    terms = [F.when(F.shiftright(i, b).bitwiseAND(1) == 1, F.lit(d)).otherwise(F.lit(0)) for b, d in enumerate(directions)]
+    """Coordinate (from 0, below DIMENSIONS) of the i-th Sobol point, shifted modulo 1; i up to 2 ** BITS."""
+    terms = [F.when(F.shiftright(i, b).bitwiseAND(1) == 1, F.lit(d)).otherwise(F.lit(0)) for b, d in enumerate(directions(dimension))]
     x = terms[0]
     for t in terms[1:]:
         x = x.bitwiseXOR(t)

@@ -2,9 +2,7 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rulecredit.functions.aggregates import set_aggregate, top_k_of
@@ -20,8 +18,7 @@ def influence(rules: DataFrame, elements: DataFrame, agg: str = "max") -> DataFr
     """(elem_id, x): interest of the set minus that of the rules without the element.
 
     Sums and averages subtract the element's own part. For max and top-k only an element
-    of one of the best rules can matter, at most k times the largest rule: one aggregate
-    holds a conditional term per such candidate, all others score 0.
+    of one of the best rules can matter, at most k times the largest rule; all others score 0.
     """
     ids = elements.select("elem_id")
     if agg in ("sum", "avg"):
@@ -42,17 +39,11 @@ def influence(rules: DataFrame, elements: DataFrame, agg: str = "max") -> DataFr
     if not candidates:
         return ids.select("elem_id", F.lit(0.0).alias("x"))
 
-    def rest(c: int) -> DataFrame:
-        kept = rules.where(~F.array_contains("items", c)).select("score").orderBy(F.desc("score")).limit(k)
-        return kept.agg(F.lit(c).alias("elem_id"), F.coalesce(F.sum("score"), F.lit(0.0)).alias("rest"))
-
-    if k == 1:
-        terms = [F.max(F.when(~F.array_contains("items", c), F.col("score"))).alias(f"c{c}") for c in candidates]
-        row = rules.agg(*terms)
-        pairs = F.array(*[F.struct(F.lit(c).alias("elem_id"), F.coalesce(f"c{c}", F.lit(0.0)).alias("rest")) for c in candidates])
-        left = row.select(F.explode(pairs).alias("p")).select("p.*")
-    else:
-        left = reduce(DataFrame.unionByName, [rest(c) for c in candidates])
+    # each candidate's best k rules among those without it; Spark keeps k a task and candidate before the shuffle
+    lacking = rules.select(F.explode(F.array_except(F.array(*[F.lit(c) for c in candidates]), "items")).alias("elem_id"), "score")
+    nth = F.row_number().over(Window.partitionBy("elem_id").orderBy(F.desc("score")))
+    kept = lacking.withColumn("nth", nth).where(F.col("nth") <= k).groupBy("elem_id").agg(F.sum("score").alias("rest"))
+    left = rules.sparkSession.createDataFrame([(c,) for c in candidates], "elem_id int").join(kept, "elem_id", "left").na.fill(0.0, ["rest"])
     joined = ids.join(F.broadcast(left), "elem_id", "left")
     return joined.select("elem_id", F.coalesce(F.lit(total) - F.col("rest"), F.lit(0.0)).alias("x"))
 

@@ -4,7 +4,8 @@ Two frames. ``index`` draws from the pruned coalitions: a size first, then a set
 the size. An estimate of S is w(|S|) (V(S + e) - V(S)) / q(S), averaged over the draws;
 split as in the decomposed form, a draw only touches the elements that extend it to a
 mined itemset and the attributes of S. ``permutation`` draws orders of the elements and
-looks at the set before each element; only prefixes up to the largest itemset matter.
+looks at the set before each element; only prefixes up to the largest itemset matter. A Sobol
+order takes one coordinate a place: it picks among the elements not yet taken.
 
 Estimators: monte_carlo (independent draws, sizes weighted by w), kernel (sizes weighted by
 the regression kernel; the two ends counted exactly), antithetic (half the draws, each with
@@ -20,16 +21,46 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rulecredit.functions.weights import kernel_weights, lookup, shapley_weights, sobol_point, uniform
+from rulecredit.functions.weights import BITS, DIMENSIONS, kernel_weights, lookup, shapley_weights, sobol_point, uniform
 from rulecredit.operators.contribution import contribution_decomposed, pruned_coalitions, shape
+from rulecredit.sources.store import TableStore
 
 ESTIMATORS = ("kernel", "monte_carlo", "antithetic", "stratified", "sobol")
 
 
+#: Coalitions numbered by one task, about.
+BUCKET_ROWS = 100_000
+
+
 def _positions(values: DataFrame) -> DataFrame:
-    """(items, k, pos): pruned coalitions numbered within their size, in item order."""
-    sets = pruned_coalitions(values).withColumn("k", F.size("items"))
-    return sets.withColumn("pos", F.row_number().over(Window.partitionBy("k").orderBy("items")) - 1)
+    """(items, k, pos): pruned coalitions numbered within their size, by hash bucket, then item order.
+
+    Buckets are counted first and each numbers its own rows, so that no size has to fit one task.
+    """
+    store = TableStore(values.sparkSession, "coalitions")
+    sets = store.write(pruned_coalitions(values).withColumn("k", F.size("items")), "sets")
+    buckets = max(1, sets.count() // BUCKET_ROWS)
+    placed = sets.withColumn("bucket", F.pmod(F.xxhash64("items"), F.lit(buckets)))
+    before = Window.partitionBy("k").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    base = placed.groupBy("k", "bucket").agg(F.count("*").alias("n")).select("k", "bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    own = Window.partitionBy("k", "bucket").orderBy("items")
+    return placed.withColumn("nth", F.row_number().over(own) - 1).join(base, ["k", "bucket"]).select("items", "k", (F.col("base") + F.col("nth")).alias("pos"))
+
+
+def _lowest(numbered: DataFrame, quota: dict[int, int], seed: int) -> DataFrame:
+    """The quota[k] sets of each size with the lowest hash.
+
+    A histogram of the hashes tells the last cell that is needed; only rows up to it are ranked.
+    """
+    cells = 4096
+    take = F.create_map(*[F.lit(x) for k in quota for x in (k, quota[k])])[F.col("k")]
+    drawn = numbered.withColumn("u", uniform(F.col("k"), F.col("pos"), seed)).withColumn("cell", F.floor(F.col("u") * cells))
+    before = Window.partitionBy("k").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    counts = drawn.groupBy("k", "cell").agg(F.count("*").alias("n"))
+    needed = counts.withColumn("ahead", F.coalesce(F.sum("n").over(before), F.lit(0))).where(F.col("ahead") < take)
+    few = drawn.join(F.broadcast(needed.select("k", "cell")), ["k", "cell"], "left_semi")  # sizes x cells rows at most
+    ranked = few.withColumn("r", F.row_number().over(Window.partitionBy("k").orderBy("u", "pos")))
+    return ranked.where(F.col("r") <= take).select("items", "k")
 
 
 def _size_counts(numbered: DataFrame) -> dict[int, int]:
@@ -61,7 +92,7 @@ def _draws(numbered: DataFrame, counts: dict[int, int], weight: list[float], m:
         size = F.when(F.col("u1") >= edge, k).otherwise(size)
     number = F.create_map(*[F.lit(x) for k in counts for x in (k, counts[k])])
     drawn = spark.range(m).select(u1.alias("u1"), u2.alias("u2")).select(size.alias("k"), "u2")
-    drawn = drawn.withColumn("pos", F.least(F.floor(F.col("u2") * number[F.col("k")]), number[F.col("k")] - 1).cast("int"))
+    drawn = drawn.withColumn("pos", F.least(F.floor(F.col("u2") * number[F.col("k")]), number[F.col("k")] - 1).cast("long"))
     tally = drawn.groupBy("k", "pos").agg(F.count("*").alias("times"))
     q = lookup([weight[k] / total if k < len(weight) else 0.0 for k in range(max(counts) + 1)], F.col("k"))
     return numbered.join(tally, ["k", "pos"]).select("items", "k", (F.col("times") / (F.lit(float(m)) * q)).alias("factor"))
@@ -98,11 +129,9 @@ def estimate_index(
         total = sum(counts.values())
         share = {k: (c / total if alloc == "proportional" else 1 / len(counts)) for k, c in counts.items()}
         quota = {k: min(counts[k], max(1, round(n_samples * share[k]))) for k in counts}
-        order = Window.partitionBy("k").orderBy(uniform(F.col("k"), F.col("pos"), seed), "pos")
-        ranked = numbered.withColumn("r", F.row_number().over(order))
-        take = F.create_map(*[F.lit(x) for k in quota for x in (k, quota[k])])[F.col("k")]
         factor = F.create_map(*[F.lit(x) for k in quota for x in (k, counts[k] / quota[k])])[F.col("k")]
-        return _estimate(ranked.where(F.col("r") <= take).select("items", "k", factor.alias("factor")), values, elements, w)
+        chosen = _lowest(numbered, quota, seed).withColumn("factor", factor) if quota else numbered.select("items", "k", F.lit(0.0).alias("factor"))
+        return _estimate(chosen, values, elements, w)
     if method == "kernel":
         ends = numbered.where((F.col("k") == 0) | (F.col("k") == n)).select("items", "k", F.lit(1.0).alias("factor"))
         drawn = _draws(numbered, counts, kernel_weights(n, max(counts, default=0)), n_samples, seed, "independent")
@@ -132,12 +161,22 @@ def estimate_permutation(values: DataFrame, elements: DataFrame, method: str, n_
     attr = F.create_map(*[F.lit(x) for r in rows for x in (r[0], r[1])])
     i, depth = F.col("id"), min(top + 1, n)
     base = F.floor(i / 2) if method == "antithetic" else i
+    full = F.array(*[F.lit(e) for e in ids])
     if method == "sobol":
-        key = lambda e: sobol_point((i % (1 << 20)).cast("int"), 0, uniform(e, seed))
+        if depth > DIMENSIONS or n_samples > 1 << BITS:
+            raise ValueError(f"Sobol orders have at most {DIMENSIONS} places and {1 << BITS} draws")
+        spots = F.array(*[sobol_point(i.cast("int"), d, uniform(seed, 7919 + d)) for d in range(depth)])
+        start = F.struct(F.array().cast("array<int>").alias("o"), full.alias("rest"))
+
+        def pick(acc: Column, u: Column) -> Column:
+            rest = acc["rest"]
+            at = F.least(F.floor(u * F.size(rest)), F.size(rest) - 1).cast("int")
+            return F.struct(F.concat(acc["o"], F.array(F.get(rest, at))).alias("o"), F.filter(rest, lambda e, j: j != at).alias("rest"))
+
+        order = F.aggregate(spots, start, pick, lambda acc: acc["o"])
     else:
         key = lambda e: uniform(base, e, seed)
-    full = F.array(*[F.lit(e) for e in ids])
-    order = F.transform(F.array_sort(F.transform(full, lambda e: F.struct(key(e).alias("u"), e.alias("e")))), lambda s: s["e"])
+        order = F.transform(F.array_sort(F.transform(full, lambda e: F.struct(key(e).alias("u"), e.alias("e")))), lambda s: s["e"])
     if method == "antithetic":
         order = F.when(i % 2 == 1, F.reverse(order)).otherwise(order)
     spark = values.sparkSession

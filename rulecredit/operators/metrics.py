@@ -33,11 +33,16 @@ def _average_rank(c: Column) -> Column:
     return F.rank().over(w) + (F.count("*").over(same) - 1) / 2.0
 
 
+def _correlation(a: str, b: str) -> Column:
+    """Pearson correlation, null where a side does not vary."""
+    return F.try_divide(F.covar_pop(a, b), F.stddev_pop(a) * F.stddev_pop(b))
+
+
 def spearman(ref: DataFrame, est: DataFrame) -> DataFrame:
     """One row ``rho``: Pearson correlation of average ranks."""
     both = ref.select("elem_id", F.col("x").alias("a")).join(est.select("elem_id", F.col("x").alias("b")), "elem_id")
     ranked = both.select(_average_rank(F.col("a")).alias("ra"), _average_rank(F.col("b")).alias("rb"))
-    return ranked.agg(F.corr("ra", "rb").alias("rho"))
+    return ranked.agg(_correlation("ra", "rb").alias("rho"))
 
 
 def score_error(ref: DataFrame, est: DataFrame) -> DataFrame:
@@ -49,23 +54,29 @@ def score_error(ref: DataFrame, est: DataFrame) -> DataFrame:
 
 def mean_ci(df: DataFrame, column: str, by: list[str] | None = None) -> DataFrame:
     """Mean and 95 % interval over instances."""
-    half = 1.96 * F.coalesce(F.stddev_samp(column), F.lit(0.0)) / F.sqrt(F.count(column))
+    half = F.try_divide(1.96 * F.coalesce(F.stddev_samp(column), F.lit(0.0)), F.sqrt(F.count(column)))
     return df.groupBy(*(by or [])).agg(F.avg(column).alias("mean"), (F.avg(column) - half).alias("low"), (F.avg(column) + half).alias("high"))
 
 
 def quality_by(ref: DataFrame, lists: DataFrame, key: str, k: int = 10) -> DataFrame:
     """(key, p, ap, rho) of many score lists (key, elem_id, x) against one reference, in one plan."""
-    pairs = lists.select(key, "elem_id", F.col("x").alias("b")).join(F.broadcast(ref.select("elem_id", F.col("x").alias("a"))), "elem_id")
-    of = lambda c: Window.partitionBy(key).orderBy(F.desc(F.round(c, DIGITS)), "elem_id")
-    mid = lambda c: F.rank().over(Window.partitionBy(key).orderBy(F.round(c, DIGITS))) + (
-        F.count("*").over(Window.partitionBy(key, F.round(c, DIGITS))) - 1
+    return quality_within(ref, lists, [], key, "elem_id", k)
+
+
+def quality_within(ref: DataFrame, lists: DataFrame, groups: list[str], key: str, elem: str, k: int = 10) -> DataFrame:
+    """(groups, key, p, ap, rho) of score lists (groups, key, elem, x) against their group's reference (groups, elem, x)."""
+    by = [*groups, key]
+    pairs = lists.select(*by, elem, F.col("x").alias("b")).join(ref.select(*groups, elem, F.col("x").alias("a")), [*groups, elem])
+    of = lambda c: Window.partitionBy(*by).orderBy(F.desc(F.round(c, DIGITS)), elem)
+    mid = lambda c: F.rank().over(Window.partitionBy(*by).orderBy(F.round(c, DIGITS))) + (
+        F.count("*").over(Window.partitionBy(*by, F.round(c, DIGITS))) - 1
     ) / 2.0
     both = pairs.select(
-        key, F.greatest(F.row_number().over(of("a")), F.row_number().over(of("b"))).alias("r"), mid("a").alias("ra"), mid("b").alias("rb")
+        *by, F.greatest(F.row_number().over(of("a")), F.row_number().over(of("b"))).alias("r"), mid("a").alias("ra"), mid("b").alias("rb")
     )
     gain = F.aggregate(
         F.when(F.col("r") <= k, F.sequence(F.col("r"), F.lit(k))).otherwise(F.array().cast("array<int>")), F.lit(0.0), lambda acc, j: acc + 1.0 / j
     )
-    return both.groupBy(key).agg(
-        (F.count_if(F.col("r") <= k) / F.lit(float(k))).alias("p"), (F.sum(gain) / k).alias("ap"), F.corr("ra", "rb").alias("rho")
+    return both.groupBy(*by).agg(
+        (F.count_if(F.col("r") <= k) / F.lit(float(k))).alias("p"), (F.sum(gain) / k).alias("ap"), _correlation("ra", "rb").alias("rho")
     )

@@ -9,9 +9,9 @@ from pyspark.sql import functions as F
 
 
 def sample_rows(df: DataFrame, n: int, seed: int = 0, key: list[str] | None = None) -> DataFrame:
-    """The n rows with the smallest hash: the same rows for any partitioning."""
+    """The n rows with the smallest MD5 of seed and key (default: all columns): the same rows for any partitioning and engine."""
     cols = [F.col(c) for c in key or df.columns]
-    return df.orderBy(F.xxhash64(F.lit(seed), *cols), *cols).limit(n)
+    return df.orderBy(F.md5(F.concat_ws("|", F.lit(str(seed)), *[c.cast("string") for c in cols])), *cols).limit(n)
 
 
 @dataclass(frozen=True)
@@ -47,8 +47,10 @@ class Bins:
         return Bins("keep")
 
 
-def _label(c: Column, cuts: list[float]) -> Column:
-    """Half-open ranges ``lo-hi`` between the cuts."""
+def _label(c: Column, cuts: list[float], labels: str) -> Column:
+    """Half-open ranges ``lo-hi`` between the cuts, or their numbers from 0."""
+    if labels == "index":
+        return F.when(c.isNotNull(), sum(((c >= x).cast("int") for x in cuts), F.lit(0)).cast("string"))
     names = [f"<{cuts[0]:g}"] + [f"{a:g}-{b:g}" for a, b in zip(cuts, cuts[1:])] + [f">={cuts[-1]:g}"] if cuts else ["all"]
     out = F.lit(names[0])
     for cut, name in zip(cuts, names[1:]):
@@ -82,8 +84,8 @@ def fit_bins(df: DataFrame, spec: dict[str, Bins]) -> dict[str, list]:
     return found
 
 
-def discretize(df: DataFrame, spec: dict[str, Bins], nulls: str = "none", max_distinct: int = 1000) -> DataFrame:
-    """One STRING column per entry of ``spec``.
+def discretize(df: DataFrame, spec: dict[str, Bins], nulls: str = "none", max_distinct: int = 1000, labels: str = "range") -> DataFrame:
+    """One STRING column per entry of ``spec``; bins are named by their ``range`` or ``index``.
 
     ``nulls``: ``none`` (no element) or ``element`` (a value of its own). Kept columns
     with more than ``max_distinct`` values are refused: bin them first.
@@ -98,7 +100,7 @@ def discretize(df: DataFrame, spec: dict[str, Bins], nulls: str = "none", max_di
     out = []
     for c, b in spec.items():
         if b.kind in ("width", "depth", "depth_exact", "cuts"):
-            e = _label(F.col(c), cuts[c])
+            e = _label(F.col(c), cuts[c], labels)
         elif b.kind == "top":
             e = F.when(F.col(c).isin(cuts[c]), F.col(c).cast("string")).when(F.col(c).isNotNull(), "other")
         elif b.kind == "part":

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from rulecredit.functions.weights import lookup, shapley_weights
+from rulecredit.operators.contribution import contribution, shape
 from rulecredit.operators.mining import element_bands
 
 DIGITS = 9  # scores are ranked after rounding: sums depend on row order, and equal elements must tie
@@ -86,9 +88,7 @@ def drop_elements(rules: DataFrame, scores: DataFrame, eps: float) -> DataFrame:
 
 
 def interaction(rules: DataFrame, elements: DataFrame, elem_id: int, attr: str, agg: str = "max") -> DataFrame:
-    """The element's score within the rules that hold each value of another attribute."""
-    from rulecredit.operators.contribution import contribution
-
+    """The element's score within the rules that hold each value of another attribute; no row for values it meets in no rule."""
     out = None
     for r in elements.where(F.col("attr") == attr).select("elem_id", "val").orderBy("elem_id").collect():
         part = contribution(rules.where(F.array_contains("items", r["elem_id"])), elements, agg)
@@ -102,6 +102,26 @@ def subset_importance(scores: DataFrame, elem_ids: list[int]) -> DataFrame:
     return scores.where(F.col("elem_id").isin(elem_ids)).agg(F.sum("x").alias("x"), F.count("*").alias("n_elems"))
 
 
+def union_importance(values: DataFrame, elements: DataFrame, elem_ids: list[int]) -> DataFrame:
+    """One row ``x``: the score of a group of elements of different attributes as one player.
+
+    The group joins a coalition as a whole, so the others and it are n - size + 1 players.
+    A coalition is an itemset without the group, or one with no attribute of it.
+    """
+    own = elements.where(F.col("elem_id").isin(elem_ids)).select("elem_id", "attr_id").collect()
+    attrs = {r["attr_id"] for r in own}
+    if len(attrs) != len(set(elem_ids)):
+        raise ValueError("a group needs elements of different attributes, all of them given")
+    n, top = shape(values, elements)
+    w = shapley_weights(n - len(attrs) + 1, top)
+    ids, held = (F.array(*[F.lit(i) for i in sorted(x)]) for x in (set(elem_ids), attrs))
+    inside = F.size(F.array_except(ids, "items")) == 0
+    apart = ~F.arrays_overlap(held, "attrs")
+    gain = F.when(inside, lookup(w, F.col("size") - len(attrs)) * F.col("value"))
+    loss = F.when(apart, lookup(w, F.col("size")) * F.col("value"))
+    return values.agg((F.coalesce(F.sum(gain), F.lit(0.0)) - F.coalesce(F.sum(loss), F.lit(0.0))).alias("x"))
+
+
 def score_correlation(scores: DataFrame) -> DataFrame:
     """Correlation of the scores with the elements' frequencies."""
     return scores.agg(F.corr("x", "freq_cnt").alias("corr"))

@@ -5,11 +5,6 @@ from __future__ import annotations
 from math import comb
 
 
-def choose_contribution(n_elements: int, tau: int, n_itemsets: int, coalitions: int | None = None, limit: int = 1_000_000) -> str:
-    """The decomposed form is never worse: one pass, no coalition; the others exist for checks."""
-    return "decomposed"
-
-
 def choose_miner(n_attributes: int, max_len: int, limit: int = 256) -> str:
     """One pass over all subsets while a tuple has few of them, else level by level."""
     subsets = sum(comb(n_attributes, k) for k in range(1, min(max_len, n_attributes) + 1))

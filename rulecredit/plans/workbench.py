@@ -1,7 +1,7 @@
-"""Mined rule sets of the experiment workloads, written once per session and folder.
+"""Mined rule sets of the experiment workloads, written once per session and state of a folder.
 
 A query over a view's rules reads the written tables, so the form under test is what
-runs, not the miner again.
+runs, not the miner again. Changed input files, or written tables that are gone, mean mining anew.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 
 from rulecredit.operators.contribution import itemset_values, rule_elements
+from rulecredit.operators.evaluation import build_instances, grid_rules
 from rulecredit.operators.mining import filter_lift, frequent_itemsets, generate_rules, with_score
 from rulecredit.sources.store import TableStore
 from rulecredit.sources.views import VIEWS
@@ -46,15 +47,47 @@ class Bench:
 
 
 _held: dict[tuple, Bench] = {}
+_grids: dict[tuple, DataFrame] = {}
+
+
+def _state(spark: SparkSession, folder: str) -> tuple:
+    """What tells that a folder's tables are those seen before: their files' paths, sizes and times."""
+    sc = spark.sparkContext
+    make = sc._jvm.org.apache.hadoop.fs.Path
+    root = make(folder)
+    fs = root.getFileSystem(sc._jsc.hadoopConfiguration())
+    out = []
+    for s in fs.listStatus(root):
+        parts = fs.listStatus(s.getPath()) if s.isDirectory() else [s]
+        out.extend((str(p.getPath()), p.getLen(), p.getModificationTime()) for p in parts)
+    return sc.applicationId, folder, tuple(sorted(out))
+
+
+def _stands(spark: SparkSession, df: DataFrame) -> bool:
+    """Whether a written table is still there: others may clean the shared folder."""
+    sc = spark.sparkContext
+    make = sc._jvm.org.apache.hadoop.fs.Path
+    return all(make(f).getFileSystem(sc._jsc.hadoopConfiguration()).exists(make(f)) for f in df.inputFiles()[:1])
 
 
 def bench(spark: SparkSession, folder: str, view: str, setting: Setting | None = None) -> Bench:
     setting = setting or SETTINGS[view]
-    key = (spark.sparkContext.applicationId, folder, view, setting)
-    if key not in _held:
+    key = (*_state(spark, folder), view, setting)
+    if key not in _held or not _stands(spark, _held[key].rules):
         store = TableStore(spark, f"bench-{view}")
         mined = frequent_itemsets(VIEWS[view](spark, folder), setting.min_support, setting.max_len, setting.method, store)
         rules = store.write(with_score(filter_lift(generate_rules(mined), setting.min_lift)), "rules")
         scope = store.write(rule_elements(itemset_values(rules), mined.elements), "scope")
+        store.keep("elements", "itemsets", "rules", "scope")
         _held[key] = Bench(mined.n_rows, mined.elements, mined.itemsets, rules, scope)
     return _held[key]
+
+
+def grid(spark: SparkSession, folder: str) -> DataFrame:
+    """Rules of the whole evaluation set (``evaluation.grid_rules``)."""
+    key = _state(spark, folder)
+    if key not in _grids or not _stands(spark, _grids[key]):
+        store = TableStore(spark, "grid")
+        _grids[key] = grid_rules(spark, folder, build_instances(), store)
+        store.keep("rules")
+    return _grids[key]

@@ -12,8 +12,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulecredit.operators.contribution import contribution, merge_statistics
-from rulecredit.operators.grouped import grouped_contribution, grouped_itemsets, grouped_rules, grouped_values, limits, tuple_texts
+from rulecredit.operators.contribution import contribution, merge_statistics, statistics
+from rulecredit.operators.grouped import far_from_independent, grouped_contribution, grouped_itemsets, grouped_rules, grouped_values, limits, tuple_texts
 from rulecredit.operators.mining import filter_lift, frequent_itemsets, generate_rules, with_score
 from rulecredit.sources.store import TableStore
 from rulecredit.sources.views import event_attributes
@@ -65,9 +65,9 @@ def contribution_by_window(
     store = store or TableStore(tuples.sparkSession, "windows")
     attrs = [c for c in tuples.columns if c not in {"start", "end", "c"}]
     held = store.write(tuples.select(F.col("start").alias("g"), tuple_texts(attrs).alias("items"), "c"), "tuples")
-    groups = held.select("g").distinct().withColumns({"min_support": limits(min_support), "min_lift": F.lit(min_lift)})
-    sets = grouped_itemsets(held, groups, max_len, len(attrs), store)
-    values = store.write(grouped_values(grouped_rules(sets)), "values")
+    groups = held.select("g").distinct().withColumn("min_support", limits(min_support))
+    rules = grouped_rules(grouped_itemsets(held, groups, max_len, store)).where(far_from_independent(F.lit(min_lift)))
+    values = store.write(grouped_values(rules), "values")
     scores = grouped_contribution(values, max_len)
     return scores.select(F.col("g").alias("start"), F.substring_index("elem", "=", 1).alias("attr"), F.expr("substring(elem, instr(elem, '=') + 1)").alias("val"), "x")
 
@@ -94,3 +94,27 @@ def score_closed_windows(out: str, **knobs) -> Callable[[DataFrame, int], None]:
 def update_statistics(held: DataFrame, before: DataFrame, after: DataFrame) -> DataFrame:
     """Contribution statistics after some itemsets' values changed: add the new cells, take back the old."""
     return merge_statistics(held, before.withColumn("v", -F.col("v")), after)
+
+
+CHANGES = "items array<int>, attrs array<int>, size int, before double, after double"
+CELLS = "kind string, id int, size int, v double"
+
+
+def change_statistics(changes: DataFrame) -> DataFrame:
+    """Signed cells of changed itemset values (CHANGES; null before: a new itemset, null after: one that is gone)."""
+    side = lambda c: statistics(changes.where(F.col(c).isNotNull()).withColumn("value", F.col(c)))
+    return merge_statistics(side("after"), side("before").withColumn("v", -F.col("v")))
+
+
+def maintain_statistics(out: str) -> Callable[[DataFrame, int], None]:
+    """A ``foreachBatch`` handler for a stream of CHANGES: a batch's cells go to a table of its own, so a replay overwrites them."""
+
+    def handle(batch: DataFrame, batch_id: int) -> None:
+        change_statistics(batch).write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
+
+    return handle
+
+
+def held_statistics(spark: SparkSession, out: str) -> DataFrame:
+    """The cells over all batches so far: scores follow by ``combine`` whenever they are asked for."""
+    return merge_statistics(spark.read.schema(f"{CELLS}, batch long").parquet(out).drop("batch"))

@@ -5,7 +5,7 @@ from math import comb
 import pytest
 from pyspark.sql import functions as F
 
-from rulecredit.functions.weights import kernel_weights, shapley_weights
+from rulecredit.functions.weights import BITS, DIMENSIONS, directions, kernel_weights, shapley_weights
 from rulecredit.operators import contribution as c
 from rulecredit.operators.alternatives import i_top, influence
 from rulecredit.operators.approx import ESTIMATORS, approximate
@@ -125,3 +125,57 @@ def test_plan_has_no_cartesian(spark, small):
     b = bench(spark, small, "conversations")
     plan = c.contribution_decomposed(c.itemset_values(b.rules), b.scope)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
+
+
+def test_sobol_points_fill_every_dimension():
+    """In each dimension the first 2 ** k points hit every interval of length 2 ** -k once."""
+    for d in range(DIMENSIONS):
+        v = directions(d)
+        for k in (3, 6, 9):
+            seen = set()
+            for i in range(1 << k):
+                x = 0
+                for b in range(BITS):
+                    x ^= v[b] if i >> b & 1 else 0
+                seen.add(x >> (BITS - k))
+            assert len(seen) == 1 << k, d
+
+
+@pytest.mark.parametrize("method", ["monte_carlo", "antithetic", "sobol"])
+def test_orders_are_unbiased(spark, method):
+    """Six elements: many draws come near the mean over all 720 orders, which is the exact score."""
+    e, r = example_elements(spark), example_rules(spark)
+    values = c.itemset_values(r)
+    ref = by_id(c.contribution_decomposed(values, e))
+    est = by_id(approximate(values, e, method, 1 << 15, seed=5, frame="permutation"))
+    assert max(abs(ref[i] - est[i]) for i in ref) < 0.5, (ref, est)
+
+
+def test_sobol_orders_differ(spark):
+    """Twelve elements: orders are no rotations of one cycle, and first places are even."""
+    e = spark.range(12).selectExpr("cast(id as int) elem_id", "cast(id as int) attr_id", "'a' attr", "'v' val", "1L freq_cnt", "0D freq")
+    one = spark.createDataFrame([([3, 7], [3, 7], 2, 1, 1.0)], "items array<int>, attrs array<int>, size int, n_rules long, value double")
+    x = by_id(approximate(one, e, "sobol", 1 << 16, seed=2, frame="permutation"))
+    ref = by_id(c.contribution_decomposed(one, e))
+    assert max(abs(x[i] - ref[i]) for i in ref) < 0.2 * max(map(abs, ref.values()))
+
+
+def test_ranks_in_buckets(spark, small, monkeypatch):
+    """Numbers within a size are whole and unique however many buckets count them; quotas take the lowest hashes."""
+    from rulecredit.operators import approx
+
+    values = c.itemset_values(bench(spark, small, "conversations").rules)
+    monkeypatch.setattr(approx, "BUCKET_ROWS", 10)
+    rows = approx._positions(values).collect()
+    sizes = {k: sorted(r["pos"] for r in rows if r["k"] == k) for k in {r["k"] for r in rows}}
+    assert all(p == list(range(len(p))) for p in sizes.values()) and len(rows) > 50
+    quota = {k: max(1, len(p) // 3) for k, p in sizes.items()}
+    numbered = approx._positions(values).cache()
+    got = {(r["k"], tuple(r["items"])) for r in approx._lowest(numbered, quota, 4).collect()}
+    u = numbered.withColumn("u", approx.uniform(F.col("k"), F.col("pos"), 4)).collect()
+    want = {(k, tuple(r["items"])) for k, q in quota.items() for r in sorted((r for r in u if r["k"] == k), key=lambda r: (r["u"], r["pos"]))[:q]}
+    assert got == want
+
+
+def test_worst_case_count():
+    assert c.count_worst(1000, 5) == pytest.approx(15) and c.count_worst(0, 5) == 0.0

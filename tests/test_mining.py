@@ -1,11 +1,14 @@
 """Views, binning, mining, rules, metrics, use cases, windows."""
 
+from itertools import combinations
+from math import factorial
+
 import pytest
 from pyspark.sql import functions as F
 
 from rulecredit.operators import metrics as mt
 from rulecredit.operators import usecases as us
-from rulecredit.operators.contribution import contribution
+from rulecredit.operators.contribution import combine, contribution, contribution_decomposed, itemset_values, shape
 from rulecredit.operators.mining import (
     build_elements,
     filter_lift,
@@ -18,10 +21,11 @@ from rulecredit.operators.mining import (
     with_score,
 )
 from rulecredit.operators.prepare import Bins, discretize, sample_rows
+from rulecredit.plans.fixtures import example_elements, example_rules
 from rulecredit.plans.workbench import bench
 from rulecredit.sources.tables import read_rules, render_rule, table
 from rulecredit.sources.views import VIEWS
-from rulecredit.streaming.windows import read_events, score_closed_windows, tumbling, windowed_tuples
+from rulecredit.streaming.windows import CHANGES, held_statistics, maintain_statistics, read_events, score_closed_windows, tumbling, windowed_tuples
 
 
 def sets(mined):
@@ -168,3 +172,69 @@ def test_late_rows_are_dropped(spark, tmp_path):
         q.stop()
     got = {str(r["start"])[:10]: r["c"] for r in spark.read.parquet(str(tmp_path / "sink")).collect()}
     assert got["2024-01-01"] == 1 and got["2024-01-19"] == 1
+
+
+def test_statistics_follow_a_stream(spark, small, tmp_path):
+    """Changes of itemset values by stream, one batch replayed: scores are those of the last values."""
+    b = bench(spark, small, "conversations")
+    old, new = itemset_values(b.rules), itemset_values(with_score(b.rules, "lift"))
+    folder, cells = str(tmp_path / "in"), str(tmp_path / "cells")
+    first = old.select("items", "attrs", "size", F.lit(None).cast("double").alias("before"), F.col("value").alias("after"))
+    then = old.select("items", "attrs", "size", F.col("value").alias("before")).join(new.select("items", F.col("value").alias("after")), "items")
+    for part in (first, then.select(first.columns)):
+        part.coalesce(1).write.mode("append").parquet(folder)
+        q = spark.readStream.schema(CHANGES).parquet(folder).writeStream.foreachBatch(maintain_statistics(cells))
+        q = q.option("checkpointLocation", str(tmp_path / "ck")).start()
+        q.processAllAvailable()
+        q.stop()
+    maintain_statistics(cells)(then.select(first.columns), 1)
+    got = combine(b.scope, held_statistics(spark, cells), *shape(new, b.scope))
+    want = {r["elem_id"]: r["x"] for r in contribution_decomposed(new, b.scope).collect()}
+    assert max(abs(r["x"] - want[r["elem_id"]]) for r in got.collect()) < 1e-9
+
+
+def test_repeated_events_count_once(spark, small, tmp_path):
+    events = table(spark, small, "events")
+    folder = str(tmp_path / "in")
+    events.unionByName(events.where("event_id % 3 = 0")).repartition(1).sortWithinPartitions("ts").write.parquet(folder)
+    once = windowed_tuples(events, tumbling("7 days"))
+    batch = windowed_tuples(spark.read.parquet(folder), tumbling("7 days"), dedup=True)
+    assert sorted(map(str, batch.collect())) == sorted(map(str, once.collect()))
+    q = windowed_tuples(read_events(spark, folder), tumbling("7 days"), dedup=True).writeStream.format("memory").queryName("once").outputMode("append")
+    q = q.option("checkpointLocation", str(tmp_path / "ck")).start()
+    q.processAllAvailable()
+    q.stop()
+    seen = spark.table("once")
+    closed = [r[0] for r in seen.select("start").distinct().collect()]
+    assert len(closed) > 1 and sorted(map(str, seen.collect())) == sorted(str(r) for r in once.collect() if r["start"] in closed)
+
+
+def test_group_as_one_player(spark):
+    """The score of a pair as one player, by enumeration of the coalitions of the others."""
+    e, r = example_elements(spark), example_rules(spark)
+    values = itemset_values(r)
+    v = {frozenset(x["items"]): x["value"] for x in values.collect()}
+    attr = {x["elem_id"]: x["attr"] for x in e.collect()}
+    pair, n, want = {2, 3}, 5, 0.0
+    others = [i for i in attr if i not in pair and attr[i] not in {attr[j] for j in pair}]
+    for k in range(len(others) + 1):
+        for s in combinations(others, k):
+            if len({attr[i] for i in s}) == k:
+                want += factorial(k) * factorial(n - k - 1) / factorial(n) * (v.get(frozenset(s) | pair, 0.0) - v.get(frozenset(s), 0.0))
+    assert us.union_importance(values, e, [2, 3]).first()["x"] == pytest.approx(want)
+    with pytest.raises(ValueError):
+        us.union_importance(values, e, [4, 6])
+
+
+def test_interaction_by_hand(spark):
+    e, r = example_elements(spark), example_rules(spark)
+    got = {x["given"]: x["x"] for x in us.interaction(r, e, 2, "income").collect()}
+    only = contribution(r.where("rule_id <= 2"), e)
+    assert got == {">=50K": pytest.approx(only.where("elem_id = 2").first()["x"])}
+
+
+def test_mean_and_interval(spark):
+    df = spark.createDataFrame([("a", 1.0), ("a", 3.0), ("b", 2.0), ("c", None)], "k string, x double")
+    got = {r["k"]: (r["mean"], r["low"], r["high"]) for r in mt.mean_ci(df, "x", ["k"]).collect()}
+    half = 1.96 * 2**0.5 / 2**0.5
+    assert got["a"] == pytest.approx((2.0, 2.0 - half, 2.0 + half)) and got["b"] == (2.0, 2.0, 2.0) and got["c"] == (None, None, None)

@@ -6,13 +6,18 @@ from itertools import combinations
 import pytest
 from pyspark.sql import functions as F
 
+from rulecredit.operators import contribution as c
 from rulecredit.operators import evaluation as ev
+from rulecredit.operators.alternatives import i_top, influence
+from rulecredit.operators.approx import approximate
+from rulecredit.operators.grouped import grouped_contribution, grouped_counts, grouped_estimate, grouped_influence, grouped_top, grouped_values
 from rulecredit.operators.mining import min_count
 from rulecredit.plans import registry
 from rulecredit.plans.registry import QUERIES
 from rulecredit.plans.workbench import SETTINGS, bench
+from rulecredit.sources.store import TableStore
 from rulecredit.sources.tables import table
-from rulecredit.sources.views import VIEWS
+from rulecredit.sources.views import RAW, VIEWS
 from rulecredit.streaming.windows import tumbling, window_contribution, windowed_tuples
 
 
@@ -53,22 +58,48 @@ def test_settings_do_not_cap_sizes(spark, small, view):
 
 
 def test_grid_equals_single_instances(spark, small):
-    grid = ev.build_instances(samples=(2000,), bins=(3, 5), supports=(0.05,), lifts=(1.05, 1.2))
-    some = [i for i in grid if (i.view, i.n_bins) in {("events", 3), ("part", 5)}]
-    counts, _ = ev.grid_counts(ev.grid_values(spark, small, some))
-    got = sorted((r["run_id"], int(r["naive"]), r["pruned"]) for r in counts.collect())
-    want = []
+    """Counts, scores and estimates of instances mined together are those of each on its own."""
+    some = [i for i in ev.build_instances(("events", "pages"), (300,), (3,), (0.1, 0.2), (1.05, 1.2))]
+    store = TableStore(spark, "t")
+    rules = ev.grid_rules(spark, small, some)
+    values = store.write(grouped_values(rules), "values")
+    counts = {(r["g"], r["elem"]): (int(r["naive"]), r["pruned"]) for r in grouped_counts(values).collect()}
+    scores = {(r["g"], r["elem"]): r["x"] for r in grouped_contribution(values, 8).collect()}
+    frames = {"top": grouped_top(rules), "influence": grouped_influence(rules)}
+    frames |= {m: grouped_estimate(values, m, 512, 8, store, 3) for m in ("monte_carlo", "kernel", "antithetic", "stratified", "sobol")}
+    lists = {m: {(r["g"], r["elem"]): r["x"] for r in f.collect()} for m, f in frames.items()}
+    met = 0
     for inst in some:
-        rules, elements = ev.mine_instance(spark, small, inst)
-        want += [(r["run_id"], int(r["naive"]), r["pruned"]) for r in ev.coalition_counts(rules, elements, inst.run_id).collect()]
-    assert got and got == sorted(want)
-
-
-def test_experiment_runs_the_whole_grid(spark, small, monkeypatch):
-    seen, run = [], ev.grid_values
-    monkeypatch.setattr(ev, "grid_values", lambda s, d, instances: run(s, d, seen.extend(instances) or instances[:1]))
-    QUERIES["evaluation_coalitions"](spark, small)
-    assert len({i.run_id for i in seen}) == 180
+        one, elements = ev.mine_instance(spark, small, inst)
+        scope = c.rule_elements(c.itemset_values(one), elements)
+        names = {r["elem_id"]: (inst.run_id, f"{r['attr']}={r['val']}") for r in scope.collect()}
+        met += len(names)
+        alone = {names[r["elem_id"]]: (int(r["naive"]), r["pruned"]) for r in ev.coalition_counts(one, elements, inst.run_id).collect()}
+        assert alone == {k: v for k, v in counts.items() if k[0] == inst.run_id}
+        if not names:
+            continue
+        held = c.itemset_values(one)
+        wanted = {"top": i_top(one, scope), "influence": influence(one, scope)}
+        wanted |= {m: approximate(held, scope, m, 512, 3) for m in frames if m not in wanted}
+        for m, want in {"exact": c.contribution_decomposed(held, scope), **wanted}.items():
+            got = scores if m == "exact" else lists[m]
+            assert all(abs(got[names[r["elem_id"]]] - r["x"]) < 1e-9 for r in want.collect()), (inst.run_id, m)
+    assert met == len(scores) > 20
+
+
+def test_experiments_cover_the_whole_grid():
+    assert len({i.run_id for i in registry._INSTANCES}) == 6 * 2 * 3 * 3 * 2
+    assert {i.view for i in registry._INSTANCES} == set(RAW)
+
+
+def test_changed_tables_are_mined_anew(spark, small, tmp_path):
+    folder = str(tmp_path)
+    rows = table(spark, small, "conversations")
+    rows.write.parquet(f"{folder}/conversations.parquet")
+    first = bench(spark, folder, "conversations")
+    assert bench(spark, folder, "conversations") is first
+    rows.limit(40).write.mode("overwrite").parquet(f"{folder}/conversations.parquet")
+    assert bench(spark, folder, "conversations").n_rows == 40 != first.n_rows
 
 
 def test_wide_view_has_every_component(spark, small):
