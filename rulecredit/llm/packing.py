@@ -11,8 +11,9 @@
    a length that holds most rows is spread over many tasks.
 
 Defined results: null and empty texts are one piece holding the end id; ties within a
-length are taken in (doc_id, piece) order within their salt bucket; equal rows are
-packed separately; an empty table gives an empty result.
+length are taken in (doc_id, piece) order within their salt bucket; equal rows, and rows that
+repeat an id or have none, are packed as documents of their own; a very long text is cut by one
+task; an empty table gives an empty result; columns other than doc_id and text are not read.
 """
 
 from __future__ import annotations

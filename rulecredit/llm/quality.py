@@ -6,8 +6,10 @@ expressions over a handful of shared measures, so a pass is one scan without
 a shuffle, a join or a user function.
 
 Defined results: a null or blank text has no words, fails the base rule and is
-rejected; ties and repeated rows are judged alike; an empty table gives an empty
-result; columns of the input whose names clash with a measure are replaced.
+rejected; ties and repeated rows are judged alike, each on its own text, whatever its id; a very
+long text is one row of one task; an empty table gives an empty result. :func:`apply_quality_rules`
+replaces columns named like a measure and drops those named like a working column (``_words``, ``_n``,
+``_dense``, ``_keys``, ``_tagged``, ``_lines``); :func:`kept_documents` passes all columns on.
 """
 
 from __future__ import annotations

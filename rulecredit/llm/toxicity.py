@@ -11,14 +11,20 @@ each word-start prefix of 3 to 8 characters. An entry is a prefix with enough to
 documents whose log-odds exceed a bound. It gives way to an extension that holds nearly
 all its documents, and to a shorter remaining entry; its weight is the log-odds. Exception phrases are whole words (learned: they
 extend an entry, yet clean documents hold them at least as often) and the given
-phrases; a match inside one counts nothing. The lexicon is bounded by ``max_entries``.
+phrases; a match inside one counts nothing.
+
+What training reads and keeps is bounded by parameters: ``TRAIN_ROWS`` and ``FIT_ROWS`` labelled rows; of the
+candidates, the ``MAX_ENTRIES`` prefixes in most toxic documents and the ``MAX_ENTRIES`` exceptions in most clean
+ones; a word of over ``MAX_WORD`` characters is no exception. Scoring reads every whole text.
 
 Score: weights of all matches over (words + prior words), mapped to 0..1 so that the
 cut between the two labels' scores, fitted on a bounded sample of the training rows, is 0.5.
 
 Defined results: null and blank texts score as no match; with no labelled rows, or
 none of one label, the lexicon is empty and every score is below 0.5; repeated rows
-score alike; extra columns are ignored.
+score alike, and rows that repeat a labelled id all train; a row without an id is scored and trains
+nothing; entries of equal counts go by length, then text; a very long text is one row of one task; an empty table gives
+an empty result; extra columns are ignored, and the stage passes them on whatever their names.
 """
 
 from __future__ import annotations
@@ -37,7 +43,7 @@ from rulecredit.llm.runtime import SharedStore, ship
 PREFIX_LENGTHS = range(3, 9)
 #: An entry needs this share of the toxic documents (and at least 5 of them), and these log-odds.
 MIN_SHARE, MIN_DOCS, MIN_LOG_ODDS = 0.01, 5, 3.0
-MAX_ENTRIES = 2_000
+MAX_ENTRIES, MAX_WORD = 2_000, 40
 #: Labelled rows the lexicon is learned from, at most (up to the spread of a hash threshold).
 TRAIN_ROWS = 40_000
 #: Labelled rows used to fit the cut, about (by a hash threshold).
@@ -96,7 +102,7 @@ def _word_docs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             found: set[str] = set()
             for w in set(fold(text or "").split()):
                 found.update(w[:n] for n in PREFIX_LENGTHS if len(w) >= n)
-                if len(w) <= 40:
+                if len(w) <= MAX_WORD:
                     found.add(w + " ")
             out.extend(found)
             label.extend([toxic] * len(found))
