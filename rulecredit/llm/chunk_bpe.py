@@ -2,10 +2,14 @@
 
 1. A rolling hash cuts each text into chunks wherever 32 bytes hash to a multiple of about
    1,000, so equal passages are cut alike wherever they stand; a text without a cut is one chunk.
-   A first pass writes each chunk's place and 128-bit key.
-2. A key that occurs twice or more is a shared chunk. Its first occurrence is encoded, once for
-   all documents; the ids go, with the pre-token borders near both ends, to every text that holds it.
-3. A text is encoded from left to right: shared chunks bring their ids, others are encoded
+   A first pass counts chunks by a 128-bit key.
+2. The chunks that most texts share, up to ``SHARED_BYTES`` of them, are encoded once for all: each
+   where it first occurs. Their ids, with the pre-token borders near both ends, are broadcast; the
+   bound holds whatever the input.
+3. The other shared chunks are encoded once where they meet: texts are rebalanced by their smallest
+   chunk key, and a task keeps the chunks it has encoded (bounded). Sending every chunk's ids to every
+   text that holds it would move more bytes than the texts have.
+4. A text is encoded from left to right: known chunks bring their ids, others are encoded
    where they stand. At each chunk join the last pre-tokens of the left chunk are dropped
    and the text is re-encoded until a pre-token border agrees with one of the right
    chunk; from there on both encodings are the same, as the pre-tokenizer looks ahead only. If none
@@ -15,8 +19,9 @@ Texts travel compressed. Decoding maps ids back to bytes and decodes as the libr
 
 Defined results: null and empty texts have no ids; texts with a special token's string go
 to the library whole; every row is a text of its own, whatever ids repeat or are null; repeated rows
-are encoded alike; a very long text is one row of one task and many chunks; an empty table
-gives an empty result; columns other than the two named are not read; ties cannot arise.
+are encoded alike; chunks shared by equally many texts are taken in the order of their keys; a very long text is one
+row of one task and many chunks; an empty table gives an empty result; columns other than the two
+named are not read.
 """
 
 from __future__ import annotations
@@ -33,9 +38,11 @@ from pyspark.sql import functions as F
 from rulecredit.llm import anchors
 from rulecredit.llm import bytehash as bh
 from rulecredit.llm.bpe import ExactEncoder, default_path, load, sha256
-from rulecredit.llm.runtime import SharedStore, ship, spread_join
+from rulecredit.llm.runtime import SharedStore, ship
 
 GRAM, MEAN_CHUNK, MIN_CHUNK = 32, 1024, 256
+#: Text of the chunks encoded once for all, and how many of them are looked at; chunk text a task remembers.
+SHARED_BYTES, SHARED_CHUNKS, MEMO_BYTES = 12 << 20, 20_000, 8 << 20
 #: Pre-tokens whose borders are known at a chunk's start and end, and characters of the right chunk a join may re-encode.
 HEAD, TAIL, LOOK = 24, 4, 256
 #: Pre-tokens at a chunk's end that following text may change: a blank run, or a contraction's parts.
@@ -109,20 +116,22 @@ class Chunk:
 
 
 class ChunkEncoder:
-    def __init__(self, encoder: ExactEncoder):
-        self.encoder = encoder
-        self.encoded = self.reused = self.joined = 0
+    """Encodes texts by chunks. ``known``: packed chunks by key, encoded elsewhere."""
 
-    def encode(self, raw: bytes, cuts: np.ndarray, known: dict[int, bytes] | None = None) -> bytes:
-        """Ids of a text cut at ``cuts``; ``known``: packed chunks by their start."""
-        known = known or {}
+    def __init__(self, encoder: ExactEncoder, known: dict[bytes, bytes] | None = None):
+        self.encoder, self.known = encoder, known or {}
+        self.memo: dict[bytes, Chunk] = {}
+        self.held = self.encoded = self.reused = self.joined = 0
+
+    def encode(self, raw: bytes, cuts: np.ndarray) -> bytes:
+        """Ids of a text cut at ``cuts``."""
         if not self.encoder.in_pieces(raw.decode()):
             return self.encoder.encode(raw.decode())
         bounds = [0, *cuts.tolist(), len(raw)]
         out: list[bytes] = []
-        left, text, start = self._chunk(raw, 0, bounds[1], known), raw[: bounds[1]].decode(), 0
+        left, text, start = self._chunk(raw[: bounds[1]]), raw[: bounds[1]].decode(), 0
         for a, b in zip(bounds[1:], bounds[2:]):
-            right, right_text = self._chunk(raw, a, b, known), raw[a:b].decode()
+            right, right_text = self._chunk(raw[a:b]), raw[a:b].decode()
             keep = max(start, left.n - UNSURE)
             (at, done), begun = left.place(keep), left.place(start)[1]
             out.append(left.ids[begun:done])
@@ -137,12 +146,22 @@ class ChunkEncoder:
         out.append(left.ids[left.place(start)[1] :])
         return b"".join(out)
 
-    def _chunk(self, raw: bytes, a: int, b: int, known: dict[int, bytes]) -> Chunk:
-        if a in known:
+    def _chunk(self, raw: bytes) -> Chunk:
+        key = xxhash.xxh3_128_digest(raw)
+        made = self.memo.get(key)
+        if made is None:
+            code = self.known.get(key)
+            made = Chunk.of(raw.decode(), self.encoder) if code is None else Chunk.unpack(code)
+            self.encoded += code is None
+            self.reused += code is not None
+            if self.held > MEMO_BYTES:
+                self.memo.clear()
+                self.held = 0
+            self.held += len(raw)
+            self.memo[key] = made
+        else:
             self.reused += 1
-            return Chunk.unpack(known[a])
-        self.encoded += 1
-        return Chunk.of(raw[a:b].decode(), self.encoder)
+        return made
 
     def _join(self, pending: str, right: Chunk, right_text: str) -> tuple[list[bytes], int | None]:
         """Ids from the pending text on up to the first border that agrees with one of ``right``, and that border's pre-token."""
@@ -181,47 +200,70 @@ def _chunk_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, h, compressed text)"""
+    """(doc_id, affinity, compressed text) of rows (doc_id, text)."""
     zip_ = zstandard.ZstdCompressor(level=1)
     for batch in batches:
-        packed = [zip_.compress((t or "").encode()) for t in batch.column(2).to_pylist()]
-        yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(packed, pa.binary())], ["doc_id", "h", "packed"])
+        ids, column = batch.column(0), batch.column(1)
+        for buf in bh.slices(column):
+            cuts, prefix = cut_points(buf), buf.prefix()
+            keys = np.zeros(len(cuts), np.uint64)
+            for i, c in enumerate(cuts):
+                bounds = np.concatenate([[0], c, [buf.offs[i + 1] - buf.offs[i]]]).astype(np.int64) + buf.offs[i]
+                keys[i] = bh.range_hash(prefix, bounds[:-1], bounds[1:]).min()
+            packed = [zip_.compress(buf.text(i)) for i in range(len(cuts))]
+            yield pa.RecordBatch.from_arrays(
+                [ids.slice(buf.first, len(cuts)), pa.array(bh.signed(keys)), pa.array(packed, pa.binary())], ["doc_id", "affinity", "packed"]
+            )
 
 
 def _encode_shared(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(k1, k2, code) of rows (doc_id, h, packed, want); equal rows in a row count once."""
-    encoder, unzip, last = load(path), zstandard.ZstdDecompressor(), None
+    """(key, code) of rows (text, want)."""
+    encoder = load(path)
     for batch in batches:
-        cols: tuple[list, list, list] = ([], [], [])
-        for doc, h, packed, want in zip(*(c.to_pylist() for c in batch.columns)):
-            if (doc, h) == last:
-                continue
-            last = (doc, h)
-            raw = unzip.decompress(packed)
-            if not encoder.in_pieces(raw.decode()):
+        keys: list[bytes] = []
+        codes: list[bytes] = []
+        for text, want in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            if not encoder.in_pieces(text):
                 continue  # the library takes such texts whole
+            raw = text.encode()
             for w in want:
-                cols[0].append(w["k1"])
-                cols[1].append(w["k2"])
-                cols[2].append(Chunk.of(raw[w["at"] : w["at"] + w["size"]].decode(), encoder).pack())
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.binary()))], ["k1", "k2", "code"])
+                chunk = raw[w["at"] : w["at"] + w["size"]]
+                keys.append(xxhash.xxh3_128_digest(chunk))
+                codes.append(Chunk.of(chunk.decode(), encoder).pack())
+        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(codes, pa.binary())], ["key", "code"])
+
+
+def shared_codes(texts: DataFrame, path: str, store: SharedStore) -> dict[bytes, bytes]:
+    """Packed chunks by key: the most shared ones of (doc_id, h, text), at most SHARED_BYTES of text, each encoded once."""
+    chunks = texts.where("text <> ''").mapInArrow(_chunk_rows, CHUNKS)
+    first = F.min(F.struct("doc_id", "h", "at", "size")).alias("first")
+    counted = chunks.groupBy("k1", "k2").agg(F.count("*").alias("n"), first).where("n > 1")
+    top = counted.where(F.col("first.size") <= 16 * MEAN_CHUNK).orderBy(F.desc("n"), "k1", "k2").limit(SHARED_CHUNKS).select("first.*").collect()
+    room = np.searchsorted(np.cumsum([r["size"] for r in top]), SHARED_BYTES, "right") if top else 0
+    if not room:
+        return {}
+    places = texts.sparkSession.createDataFrame([tuple(r) for r in top[:room]], "doc_id long, h long, at int, size int")
+    wanted = store.write(places.groupBy("doc_id", "h").agg(F.collect_set(F.struct("at", "size")).alias("want")), "wanted")
+    held = texts.join(F.broadcast(wanted), anchors.same_row(texts, wanted)).select("text", "want")  # SHARED_CHUNKS rows at most
+    codes = held.mapInArrow(lambda it: _encode_shared(path, it), "key binary, code binary").dropDuplicates(["key"])
+    out = {bytes(r["key"]): bytes(r["code"]) for r in codes.collect()}
+    store.keep()
+    return out
 
 
-def _encoded(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, ExactEncoder, list[np.ndarray]]]:
-    """Each batch of (doc_id, packed, held) with its texts' ids."""
-    encoder, unzip = ChunkEncoder(load(path)), zstandard.ZstdDecompressor()
+def _encoded(path: str, known: dict[bytes, bytes], batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, ExactEncoder, list[np.ndarray]]]:
+    """Each batch of (doc_id, affinity, packed) with its texts' ids."""
+    encoder, unzip = ChunkEncoder(load(path), known), zstandard.ZstdDecompressor()
     for batch in batches:
-        raws = [unzip.decompress(x) for x in batch.column(1).to_pylist()]
-        held, ids = batch.column(2), []
+        raws = [unzip.decompress(x) for x in batch.column(2).to_pylist()]
+        ids = []
         for buf in bh.slices(pa.array(raws, pa.binary())):
-            for i, cuts in enumerate(cut_points(buf)):
-                known = {w["at"]: w["code"] for w in held[buf.first + i].as_py() or ()}
-                ids.append(np.frombuffer(encoder.encode(buf.text(i), cuts, known), "<u4"))
+            ids += [np.frombuffer(encoder.encode(buf.text(i), cuts), "<u4") for i, cuts in enumerate(cut_points(buf))]
         yield batch, encoder.encoder, ids
 
 
-def _digest(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch, encoder, ids in _encoded(path, batches):
+def _digest(path: str, known: dict[bytes, bytes], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch, encoder, ids in _encoded(path, known, batches):
         cols = (
             pa.array([len(x) for x in ids], pa.int64()),
             pa.array([sha256(encoder.ids_text(x).encode()) for x in ids], pa.string()),
@@ -230,36 +272,25 @@ def _digest(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordB
         yield pa.RecordBatch.from_arrays([batch.column(0), *cols], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
 
-def _ids(path: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch, _, ids in _encoded(path, batches):
+def _ids(path: str, known: dict[bytes, bytes], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch, _, ids in _encoded(path, known, batches):
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32()))], ["doc_id", "ids"])
 
 
-def _with_shared(docs: DataFrame, path: str, store: SharedStore, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, packed, held): every text with the encodings of its shared chunks."""
-    ship(docs.sparkSession)
+def _by_chunks(docs: DataFrame, path: str, task, schema: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """Rows of ``task`` over the rebalanced texts, the shared chunks' codes at hand."""
+    spark = docs.sparkSession
+    ship(spark)
     texts = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
-    texts = texts.select("doc_id", F.xxhash64("text").alias("h"), "text")
-    packed = texts.mapInArrow(_pack, "doc_id long, h long, packed binary")
-    chunks = texts.where("text <> ''").mapInArrow(_chunk_rows, CHUNKS).dropDuplicates(["doc_id", "h", "at"])
-    chunks = store.write(chunks, "chunks")
-    keys = chunks.groupBy("k1", "k2").agg(F.count("*").alias("rows"), F.min(F.struct("doc_id", "h", "at", "size")).alias("first")).where("rows > 1")
-    keys = store.write(keys.select("k1", "k2", "rows", "first.*"), "keys")
-    wanted = keys.groupBy("doc_id", "h").agg(F.collect_list(F.struct("at", "size", "k1", "k2")).alias("want"))
-    first = packed.join(wanted, anchors.same_row(packed, wanted)).select(packed["doc_id"], packed["h"], "packed", "want")
-    codes = first.mapInArrow(lambda it: _encode_shared(path, it), "k1 long, k2 long, code binary").dropDuplicates(["k1", "k2"])
-    codes = store.write(codes.join(keys.select("k1", "k2", "rows"), ["k1", "k2"]), "codes")
-    store.release()
-    places = spread_join(chunks.select("doc_id", "h", "at", "k1", "k2"), codes, ["k1", "k2"], "rows", ["doc_id", "h", "at"])
-    held = places.groupBy("doc_id", "h").agg(F.collect_list(F.struct("at", "code")).alias("held"))
-    return packed.join(held, anchors.same_row(packed, held), "left").select(packed["doc_id"], "packed", "held")
+    keyed = texts.select("doc_id", F.xxhash64("text").alias("h"), "text")
+    known = spark.sparkContext.broadcast(shared_codes(keyed, path, SharedStore(spark, "chunks")))
+    packed = texts.mapInArrow(_pack, "doc_id long, affinity long, packed binary").hint("rebalance", "affinity")
+    return packed.mapInArrow(lambda it: task(path, known.value, it), schema)
 
 
 def encode_documents(docs: DataFrame, path: str | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, ids): the exact ids of every text."""
-    where = path or default_path()
-    rows = _with_shared(docs, where, SharedStore(docs.sparkSession, "chunks"), doc_id, text)
-    return rows.mapInArrow(lambda it: _ids(where, it), "doc_id long, ids array<int>")
+    return _by_chunks(docs, path or default_path(), _ids, "doc_id long, ids array<int>", doc_id, text)
 
 
 def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
@@ -277,7 +308,6 @@ def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def op1_bpe_chunk_reuse(spark: SparkSession, sf_dir: str, path: str | None = None) -> DataFrame:
-    where = path or default_path()
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    return _with_shared(docs, where, SharedStore(spark, "chunks")).mapInArrow(lambda it: _digest(where, it), schema)
+    return _by_chunks(docs, path or default_path(), _digest, schema)

@@ -10,6 +10,7 @@ from collections import Counter
 import numpy as np
 import pyarrow as pa
 import pytest
+import xxhash
 
 from rulecredit.llm import bytehash as bh
 from rulecredit.llm import chunk_bpe, packing, token_counts, toxicity, url_filter, vector_dedup
@@ -72,36 +73,38 @@ def test_library_splits(spark):
 
 
 def test_chunk_joins():
-    rng = random.Random(3)
-    encoder = chunk_bpe.ChunkEncoder(load(default_path()))
+    rng, whole = random.Random(3), load(default_path())
     for _ in range(3000):
         text = "".join(rng.choice("ab'srelvm  \n\t.1é中😀") for _ in range(rng.randint(0, 120)))
         raw = text.encode()
         spots = [i for i in range(1, len(raw)) if raw[i] & 0xC0 != 0x80]
         cuts = np.array(sorted(rng.sample(spots, min(len(spots), rng.randint(0, 6)))), np.int64)
         bounds = [0, *cuts.tolist(), len(raw)]
-        pick = [k for k in range(len(bounds) - 1) if rng.random() < 0.5 and raw]
-        known = {bounds[k]: chunk_bpe.Chunk.of(raw[bounds[k] : bounds[k + 1]].decode(), encoder.encoder).pack() for k in pick}
-        assert encoder.encode(raw, cuts, known) == np.array(ids_of(text), "<u4").tobytes()
+        chunks = [raw[a:b] for a, b in zip(bounds, bounds[1:]) if rng.random() < 0.5 and raw]
+        known = {xxhash.xxh3_128_digest(x): chunk_bpe.Chunk.of(x.decode(), whole).pack() for x in chunks}
+        assert chunk_bpe.ChunkEncoder(whole, known).encode(raw, cuts) == np.array(ids_of(text), "<u4").tobytes()
 
 
-def test_shared_chunks_are_encoded_once(spark):
-    """A passage of many documents has one code a chunk; its other occurrences bring no text to an encoder."""
+def test_shared_chunks_are_encoded_once(spark, monkeypatch):
+    """A passage of many documents has one code a chunk; no text's encoder sees its other occurrences."""
     rng = random.Random(4)
     make = lambda n: " ".join(rng.choice(["stone", "river", "größe", "中文字", "naïve", "it's", "42"]) + str(rng.randrange(99)) for _ in range(n))
     passage = make(3000)
     rows = [(i, make(200) + " " + passage + " " + make(100)) for i in range(12)]
-    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
-    held = chunk_bpe._with_shared(df, default_path(), SharedStore(spark, "t"), "doc_id", "text").collect()
-    encoder = chunk_bpe.ChunkEncoder(load(default_path()))
-    texts = dict(rows)
-    for r in held:
-        raw = texts[r.doc_id].encode()
-        cuts = chunk_bpe.cut_points(next(bh.slices(pa.array([raw], pa.binary()))))[0]
-        ids = encoder.encode(raw, cuts, {w.at: w.code for w in r.held})
-        assert ids == np.array(ids_of(texts[r.doc_id]), "<u4").tobytes()
-    assert len({bytes(w.code) for r in held for w in r.held}) == len(held[0].held) > 10
-    assert encoder.reused == 12 * len(held[0].held) and encoder.encoded + encoder.joined <= 12 * 8
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6).selectExpr("doc_id", "xxhash64(text) as h", "text")
+    codes = chunk_bpe.shared_codes(df, default_path(), SharedStore(spark, "t"))
+    inside = set()
+    for _, text in rows:  # each in a task of its own
+        encoder = chunk_bpe.ChunkEncoder(load(default_path()), codes)
+        cuts = chunk_bpe.cut_points(next(bh.slices(pa.array([text], pa.string()))))[0]
+        assert encoder.encode(text.encode(), cuts) == np.array(ids_of(text), "<u4").tobytes()
+        assert encoder.reused == len(codes) > 10 and encoder.encoded <= 12 and encoder.joined <= 2  # the 300 words around it
+        bounds = [0, *cuts.tolist(), len(text.encode())]
+        inside |= {xxhash.xxh3_128_digest(text.encode()[a:b]) for a, b in zip(bounds, bounds[1:])}
+    assert set(codes) <= inside
+    monkeypatch.setattr(chunk_bpe, "SHARED_BYTES", 3000)
+    few = chunk_bpe.shared_codes(df, default_path(), SharedStore(spark, "t"))
+    assert 0 < len(few) < len(codes) and set(few) < set(codes)
 
 
 def test_packing(frame):
