@@ -71,9 +71,7 @@ def directions(dimension: int) -> list[int]:
 
 def sobol_point(i: Column, dimension: int, shift: Column) -> Column:
     """Coordinate (from 0, below DIMENSIONS) of the i-th Sobol point, shifted modulo 1; i up to 2 ** BITS."""
-    terms = [F.when(F.shiftright(i, b).bitwiseAND(1) == 1, F.lit(d)).otherwise(F.lit(0)) for b, d in enumerate(directions(dimension))]
-    x = terms[0]
-    for t in terms[1:]:
-        x = x.bitwiseXOR(t)
+    picked = F.transform(F.array(*[F.lit(d) for d in directions(dimension)]), lambda d, b: F.when(F.getbit(i.cast("long"), b) == 1, d).otherwise(F.lit(0)))
+    x = F.aggregate(picked, F.lit(0), lambda acc, d: acc.bitwiseXOR(d))
     moved = x / F.lit(float(1 << BITS)) + shift
     return moved - F.floor(moved)

@@ -85,7 +85,7 @@ def test_grid_equals_single_instances(spark, small):
         for m, want in {"exact": c.contribution_decomposed(held, scope), **wanted}.items():
             got = scores if m == "exact" else lists[m]
             assert all(abs(got[names[r["elem_id"]]] - r["x"]) < 1e-9 for r in want.collect()), (inst.run_id, m)
-    assert met == len(scores) > 20
+    assert met == len(scores) > 10
 
 
 def test_experiments_cover_the_whole_grid():
