@@ -6,6 +6,7 @@ from math import factorial
 import pytest
 from pyspark.sql import functions as F
 
+from rulecredit.operators import bitmaps
 from rulecredit.operators import metrics as mt
 from rulecredit.operators import usecases as us
 from rulecredit.operators.contribution import combine, contribution, contribution_decomposed, itemset_values, shape
@@ -38,6 +39,22 @@ def test_miners_agree(spark, small):
     assert level == cube == fp and level
 
 
+@pytest.mark.parametrize("view,support,most", [("conversations", 0.05, 4), ("documents", 0.05, 8), ("pages", 0.1, 3)])
+def test_bitmaps_find_the_same_itemsets(spark, small, view, support, most, monkeypatch):
+    """Over chunks smaller than a batch, null cells and elements handed on early too."""
+    monkeypatch.setattr(bitmaps, "CHUNK_ROWS", 24)
+    monkeypatch.setattr(bitmaps, "COUNTED", 3)
+    rows = VIEWS[view](spark, small)
+    level, bits = (frequent_itemsets(rows, support, most, m) for m in ("levelwise", "bitmap"))
+    assert sets(level) == sets(bits) and sets(bits)
+    assert sorted(level.elements.collect()) == sorted(bits.elements.collect()) and level.n_rows == bits.n_rows
+
+
+def test_bitmaps_of_nothing(spark, small):
+    none = frequent_itemsets(VIEWS["conversations"](spark, small).where("false"), 0.05, 4, "bitmap")
+    assert none.n_rows == none.itemsets.count() == none.elements.count() == 0
+
+
 def test_support_is_antimonotone(spark, small):
     counts = dict(sets(frequent_itemsets(VIEWS["pages"](spark, small), 0.1, 3, "cube")))
     for items, n in counts.items():
