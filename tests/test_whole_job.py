@@ -13,6 +13,7 @@ from rulecredit.operators.approx import approximate
 from rulecredit.operators.grouped import grouped_contribution, grouped_counts, grouped_estimate, grouped_influence, grouped_top, grouped_values
 from rulecredit.operators.mining import min_count
 from rulecredit.plans import registry
+from rulecredit.plans.fixtures import measured_rules
 from rulecredit.plans.registry import QUERIES
 from rulecredit.plans.workbench import SETTINGS, bench
 from rulecredit.sources.store import TableStore
@@ -126,3 +127,25 @@ def test_naive_form_scores_every_element(spark, small):
     got, want = ({(r["attr"], r["val"]): r["x"] for r in QUERIES[q](spark, small).collect()} for q in ("contribution_naive", "contribution_conversations"))
     assert len(got) > 1 and got.keys() == want.keys()
     assert max(abs(got[k] - want[k]) for k in got) < 2e-6
+
+
+def test_every_query_mines_its_own_rules(spark, small, monkeypatch):
+    """A query reads its table whatever ran before it."""
+    read = []
+    view = VIEWS["conversations"]
+    monkeypatch.setitem(VIEWS, "conversations", lambda s, d: read.append(d) or view(s, d))
+    first, second = ({tuple(r) for r in QUERIES[q](spark, small).collect()} for q in ("coalitions_naive", "coalitions_naive"))
+    assert len(read) == 2 and first == second
+
+
+def test_example_follows_its_table(spark, tmp_path):
+    shape = "conv_id long, turn long, role string, text string"
+    kinds = [(1, "user", "a" * 300 + "\n", 4), (0, "user", "b", 2), (0, "system", "b", 1), (2, "system", "c" * 150, 3), (2, "assistant", "d" * 150, 2)]
+    rows = [(i, turn, role, text) for turn, role, text, n in kinds for i in range(n)]
+    spark.createDataFrame(rows, shape).write.parquet(f"{tmp_path}/conversations.parquet")
+    got = {q: {(r["attr"], r["val"]): r["x"] for r in QUERIES[q](spark, str(tmp_path)).collect()} for q in ("contribution_example_printed", "contribution_naive_example")}
+    assert got["contribution_example_printed"] == pytest.approx(got["contribution_naive_example"], abs=2e-6)
+    # supports 4/12, 4/12, 3/12 and 2/12; lifts 3, 3, 4 and 4
+    scores = {r["rule_id"]: r["score"] for r in measured_rules(VIEWS["conversations"](spark, str(tmp_path))).collect()}
+    assert scores == {1: 100, 2: 100, 3: 100, 4: 67}
+    assert len(got["contribution_naive_example"]) == 6
