@@ -5,6 +5,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from rulecredit.llm import anchors, jaccard_join, quality, substring, suffix_dedup
 from rulecredit.llm import bytehash as bh
@@ -147,6 +148,18 @@ def test_suffix_digest(spark, messy):
     assert Counter(got) == Counter(want)
 
 
+@pytest.mark.parametrize("words", [1, 1 << 18])
+def test_only_rows_with_a_partner_move(spark, monkeypatch, words):
+    """A filter before the joins on texts loses no row that meets one, and keeps few others when it has room."""
+    monkeypatch.setattr(anchors, "MOST_WORDS", words)
+    rows = spark.range(3000).select(F.xxhash64("id").alias("h"), "id")
+    got = {r["id"]: r["near"] for r in anchors.possible(rows, rows.where("id % 10 = 3")).collect()}
+    near = {i for i, n in got.items() if n}
+    assert len(got) == 3000 and near >= set(range(3, 3000, 10))
+    assert len(near) < 600 or words == 1
+    assert not any(r["near"] for r in anchors.possible(rows, rows.where("false")).collect())
+
+
 def test_common_line_in_many_surroundings(spark, monkeypatch):
     """One line in every text, surroundings all different, some texts sharing a little around it."""
     monkeypatch.setattr(suffix_dedup, "SHARD_BYTES", 2_000)
