@@ -17,7 +17,8 @@ A text's set is its distinct 5-word shingles (ASCII lower case). Two sets link w
   a leader, and a set takes the leader whose bitmap is closest. This ties large groups of
   near copies together in linear work. The last round checks every remaining pair of a
   list whose sets are still in different groups, so no link between groups is missed; lists
-  are cut into blocks of bounded size, and only pairs that pass all filters leave a block.
+  are cut into blocks of bounded size. Pairs do not leave a block: its sets in pairs that pass all filters get
+their texts, and links that join groups leave, fewer than its sets.
 
 The result is the exact components, not the linked pairs: two sets already in one group are
 not tested against each other, so links inside a group are neither listed nor counted.
@@ -64,6 +65,8 @@ FINE_CELLS = 2048
 LIST_TASKS = 8
 #: Sets of a frequent shingle's list in one task when lists are made, about; sets a task remembers as seen.
 DEALT_SETS, SEEN_SETS = 50_000, 200_000
+#: Pairs a task remembers as seen in one of its units, about.
+SEEN_PAIRS = 1_000_000
 #: Rounds that check each set against one leader before the exhaustive one.
 LEADER_ROUNDS = 3
 
@@ -180,31 +183,94 @@ def _block_pairs(rows: list[tuple]) -> Iterator[tuple[int, int]]:
                 yield from zip(sid[u[good]].tolist(), sid[v[good]].tolist())
 
 
-def _pair_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (token, bi, bj, sid, n, pos, g, bits, block) sorted by unit; yields each pair once a task."""
+def _paired_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (token, bi, bj, sid, n, pos, g, bits, block) sorted by unit; passes on those in a pair of their unit that is new to the task."""
     rows: list[tuple] = []
     unit: tuple | None = None
-    out: set[tuple[int, int]] = set()
+    seen: set[tuple[int, int]] = set()
+    out: list[tuple] = []
+    kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.int32()]
+    names = ["token", "bi", "bj", "sid", "n", "pos", "g", "bits", "block"]
+
+    def solve() -> None:
+        fresh = set(_block_pairs(rows)) - seen if len(rows) > 1 else set()
+        wanted = {k for pair in fresh for k in pair}
+        out.extend((*unit, *r) for r in rows if r[0] in wanted)
+        if len(seen) > SEEN_PAIRS:
+            seen.clear()
+        seen.update(fresh)
 
     def flush() -> pa.RecordBatch:
-        x, y = zip(*out) if out else ((), ())
+        cols = list(zip(*out)) if out else [()] * len(names)
         out.clear()
-        return pa.RecordBatch.from_arrays([pa.array(list(x), pa.int64()), pa.array(list(y), pa.int64())], ["x", "y"])
+        return pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, kinds)], names)
 
     for b in batches:
         for r in zip(*(c.to_pylist() for c in b.columns)):
             if unit != r[:3]:
-                if len(rows) > 1:
-                    out.update(_block_pairs(rows))
+                if rows:
+                    solve()
                 rows, unit = [], r[:3]
             rows.append(r[3:])
-        if len(out) > 200_000:
+        if len(out) > 20_000:
             yield flush()
-    if len(rows) > 1:
-        out.update(_block_pairs(rows))
+    if rows:
+        solve()
     yield flush()
 
 
+def _linked_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of units (as for :func:`_paired_sets`, and text) sorted by unit; yields links (a, b), exact, that join a unit's groups.
+
+    Pairs of sets that the unit's links have joined already are not tested: fewer links than sets leave.
+    """
+    held: dict[int, tuple[tuple, np.ndarray]] = {}
+    unit: tuple | None = None
+
+    def solve() -> pa.RecordBatch:
+        a: list[int] = []
+        c: list[int] = []
+        root: dict[int, int] = {}
+
+        def find(g: int) -> int:
+            while root.setdefault(g, g) != g:
+                root[g] = g = root[root[g]]
+            return g
+
+        sids = list(held)
+        spot = {k: i for i, k in enumerate(sids)}
+        tokens = [held[k][1] for k in sids]
+        size = np.array([len(t) for t in tokens], np.int64)
+        words, ids = np.unique(np.concatenate(tokens), return_inverse=True) if tokens else (np.zeros(0), np.zeros(0, np.int64))
+        head = np.cumsum(size) - size
+        mark = np.zeros(len(words), bool)
+        last, common = None, size
+        for x, y in _block_pairs([r for r, _ in held.values()]) if len(held) > 1 else ():
+            gx, gy = find(held[x][0][3]), find(held[y][0][3])
+            if gx == gy:
+                continue
+            i, j = spot[x], spot[y]
+            if last != i:  # pairs come by x: its shingles are held against all sets at once
+                mark[:] = False
+                mark[ids[head[i] : head[i] + size[i]]] = True
+                common, last = np.add.reduceat(mark[ids], head, dtype=np.int64), i
+            if 100 * common[j] >= 75 * (size[i] + size[j] - common[j]):
+                root[gx] = gy
+                a.append(x)
+                c.append(y)
+        held.clear()
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
+
+    for b in batches:
+        rows = list(zip(*(c.to_pylist() for c in b.columns[:9])))
+        for i, t in shingle_sets(b.column(9)):
+            if unit != rows[i][:3]:
+                yield solve()
+                unit = rows[i][:3]
+            held.setdefault(rows[i][3], (rows[i][3:], t))
+    yield solve()
+
+
 def _summary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Of rows (doc_id, h, text): kind 0, (doc_id, h, set size, set key, parity bits); at a task's end kind 1, (sketch cell, texts in it)."""
     cells = np.zeros(CELLS, np.int32)
@@ -359,8 +425,11 @@ def leader_pairs(lists: DataFrame, reps: DataFrame, tested: DataFrame | None, tu
     return best.select("best.x", "y")
 
 
-def pair_lists(lists: DataFrame, reps: DataFrame, store: SharedStore) -> DataFrame:
-    """Distinct pairs (x, y) of different groups within lists (token, sid, n, pos, g) that may link."""
+def linked_lists(lists: DataFrame, reps: DataFrame, texts: DataFrame, store: SharedStore) -> DataFrame:
+    """Links (a, b) that join all groups within lists (token, sid, n, pos, g) that some link joins.
+
+    Pairs stay in their units: a unit first names its sets that are in any pair, then gets their texts.
+    """
     heads = lists.groupBy("token").agg(F.min("sid").alias("lead"), F.count("*").alias("rows"))
     sized = spread_join(lists, store.write(heads, "heads-rest"), ["token"], "rows", ["sid"]).withColumns(
         {"blocks": F.ceil(F.col("rows") / F.lit(BLOCK)).cast("int"), "salt": F.pmod("token", F.lit(LIST_TASKS))}
@@ -374,7 +443,13 @@ def pair_lists(lists: DataFrame, reps: DataFrame, store: SharedStore) -> DataFra
     # lists with one smallest id mostly hold the same sets: a few tasks for them instead of one a
     # token let a task see, and drop, most repeats of a pair
     ordered = units.repartition("lead", "salt", "bi", "bj").drop("lead", "salt").sortWithinPartitions("token", "bi", "bj")
-    return ordered.mapInArrow(_pair_lists, "x long, y long").distinct()
+    unit = "token long, bi int, bj int, sid long, n int, pos int, g long, bits binary, block int"
+    paired = store.write(ordered.mapInArrow(_paired_sets, unit), "paired")
+    store.release()
+    cols = ["token", "bi", "bj", "sid", "n", "pos", "g", "bits", "block"]
+    wanted = paired.join(reps.select("sid", "doc_id", "h"), "sid").select(*cols, "doc_id", "h")
+    found = texts.join(wanted, anchors.same_row(texts, wanted)).select(*cols, "text")
+    return found.repartition("token", "bi", "bj").sortWithinPartitions("token", "bi", "bj").mapInArrow(_linked_sets, "a long, b long")
 
 
 def verify_pairs(pairs: DataFrame, reps: DataFrame, texts: DataFrame, store: SharedStore, name: str) -> DataFrame:
@@ -455,15 +530,9 @@ def jaccard_components(docs: DataFrame, store: SharedStore) -> DataFrame:
         live = store.write(live.select("token", "rows"), f"live{turn}")
         lists = store.write(spread_join(tagged, live, ["token"], "rows", ["sid"]).drop("rows"), f"lists{turn}")
         store.drop("lists" if turn == 0 else f"lists{turn - 1}", f"tagged{turn}", f"live{turn}", f"heads{turn}", f"groups{turn}", f"sizes-{turn}")
-    rest = pair_lists(lists, reps, store)
-    rest = store.write(rest if tested is None else rest.join(tested, ["x", "y"], "left_anti"), "rest")
+    found = store.write(linked_lists(lists, reps, texts, store), "edges-rest")
+    edges = found if edges is None else edges.unionByName(found)
     store.release()
-    if not rest.isEmpty():
-        found = store.write(verify_pairs(rest, places, texts, store, "rest"), "edges-rest")
-        edges = found if edges is None else edges.unionByName(found)
-        store.release()
-    if edges is None:
-        edges = spark.createDataFrame([], "a long, b long")
     final = connected_components(edges, store, "cc2").withColumnRenamed("node", "sid").withColumnRenamed("component", "group")
     named = reps.select("sid", "low").join(final, "sid", "left").withColumn("group", F.coalesce("group", "sid"))
     named = store.write(named, "named")

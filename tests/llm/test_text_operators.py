@@ -4,6 +4,7 @@ import random
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -242,6 +243,20 @@ def test_jaccard_stage(spark, messy):
     assert all(t in texts[k] for k, t in got)
 
 
+def test_block_passes_on_fewer_links_than_sets():
+    """A list of many sets that all link gives one link a set, not one a pair; sets below the threshold give none."""
+    base = [f"w{i}" for i in range(60)]
+    texts = [" ".join([*base[:k], f"x{k}", *base[k + 1 :]]) for k in range(0, 60, 2)]
+    texts = [*texts, *(" ".join(f"{n}y{i}" for i in range(60)) for n in range(3))]
+    sets = [t for _, t in jaccard_join.shingle_sets(pa.array(texts))]
+    rows = [(1, 0, 0, i, len(t), -1, i, jaccard_join.parity_bits(t), 0, x) for i, (t, x) in enumerate(zip(sets, texts))]
+    kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.int32(), pa.string()]
+    batch = pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows), kinds)], list("abcdefghij"))
+    named = sum(b.num_rows for b in jaccard_join._paired_sets(iter([batch.select(range(9))])))
+    links = [p for b in jaccard_join._linked_sets(iter([batch])) for p in zip(*(c.to_pylist() for c in b.columns))]
+    assert 30 <= named <= 33 and len(links) == 29 and {k for p in links for k in p} == set(range(30))
+
+
 def test_needed_overlap():
     for s in range(1, 40):
         for t in range(1, 40):
