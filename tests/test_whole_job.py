@@ -4,6 +4,7 @@ from collections import Counter
 from itertools import combinations
 
 import pytest
+from pyspark.sql import Observation
 from pyspark.sql import functions as F
 
 from rulecredit.operators import contribution as c
@@ -149,3 +150,23 @@ def test_example_follows_its_table(spark, tmp_path):
     scores = {r["rule_id"]: r["score"] for r in measured_rules(VIEWS["conversations"](spark, str(tmp_path))).collect()}
     assert scores == {1: 100, 2: 100, 3: 100, 4: 67}
     assert len(got["contribution_naive_example"]) == 6
+
+
+ONE_TABLE = [
+    "contribution_example_is_product",
+]
+
+
+@pytest.mark.parametrize("query", ONE_TABLE)
+def test_tasks_read_every_row(spark, small, monkeypatch, query):
+    """All rows of the table pass Spark's tasks, also after a query that mined the same rules."""
+    QUERIES["coalitions_pruned"](spark, small)
+    view, read = VIEWS["conversations"], []
+
+    def watched(s, d):
+        read.append(Observation())
+        return view(s, d).observe(read[-1], F.count(F.lit(1)).alias("n"))
+
+    monkeypatch.setitem(VIEWS, "conversations", watched)
+    QUERIES[query](spark, small).collect()
+    assert read and read[0].get["n"] == table(spark, small, "conversations").count()
