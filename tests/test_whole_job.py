@@ -155,6 +155,7 @@ def test_example_follows_its_table(spark, tmp_path):
 ONE_TABLE = [
     "contribution_example_is_product",
     "contribution_example_printed",
+    "contribution_naive_example",
 ]
 
 
