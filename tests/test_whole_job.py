@@ -156,6 +156,7 @@ ONE_TABLE = [
     "contribution_example_is_product",
     "contribution_example_printed",
     "contribution_naive_example",
+    "influence_sum",
 ]
 
 
