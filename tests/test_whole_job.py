@@ -157,6 +157,7 @@ ONE_TABLE = [
     "contribution_example_printed",
     "contribution_naive_example",
     "influence_sum",
+    "is_bands",
 ]
 
 
