@@ -158,6 +158,7 @@ ONE_TABLE = [
     "contribution_naive_example",
     "influence_sum",
     "is_bands",
+    "itemset_values_avg",
 ]
 
 
